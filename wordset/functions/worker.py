@@ -28,3 +28,25 @@ def on_worker(module: str, name: str, *args) -> Callable:
         yield from getattr(m, name)(batches, *args)
 
     return run
+
+
+def column_kernel(module: str, name: str, schema: str, *args):
+    """A column function: ``module.name(array, *args)`` over Arrow arrays, looked up on the executor as above."""
+    import pyarrow as pa
+    from pyspark.sql import functions as F
+
+    root = _ROOT
+
+    def run(values):
+        import importlib
+        import sys
+
+        try:
+            m = importlib.import_module(module)
+        except ImportError:
+            sys.path.append(root)
+            m = importlib.import_module(module)
+        return getattr(m, name)(values, *args)
+
+    run.__annotations__ = {"values": pa.Array, "return": pa.Array}  # types, not their names: they tell the kind of function
+    return F.arrow_udf(run, schema)
