@@ -34,7 +34,7 @@ RULES: dict[int, tuple[str, str]] = {
     0: ("few_words", "n_words < 20"),
     1: ("repeated_windows", "100 * n_repeat_words > 30 * n_words"),
     2: ("symbols", "10 * n_symbols > n_words"),
-    3: ("repeated_lines", "10 * n_dup_lines > 3 * n_lines"),
+    3: ("repeated_lines", "n_dup_lines >= 3 and 10 * n_dup_lines > 3 * n_lines"),
     4: ("capitals", "10 * n_upper > 6 * n_letters"),
     5: ("exclamations", "10 * n_shouts > 3 * n_words"),
     6: ("stutter", "10 * n_stutters > 3 * n_words"),
