@@ -12,7 +12,7 @@ from wordset.config import Cfg
 
 def word_of(y: Column) -> Column:
     """Aggregate: the word whose bits are the values y, 0 to 63."""
-    return F.bit_or(F.shiftleft(F.lit(1).cast("long"), y.cast("int")))
+    return F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), y.cast("int")))
 
 
 def image(y: str, k: int, cfg: Cfg) -> Column:

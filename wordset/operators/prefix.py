@@ -80,7 +80,7 @@ def build_multires(sets: DataFrame, cfg: Cfg, coarse: int = 4) -> tuple[DataFram
     level = written(level, "level")
     out = level
     while (top := level.agg(F.max("t")).first()[0]) and top > 0:
-        merge = F.aggregate("maps", F.expr("cast(map() as map<int,bigint>)"), lambda acc, m: F.map_concat(acc, F.map_filter(m, lambda k, v: ~F.map_contains_key(acc, k))))
+        merge = F.aggregate("maps", F.expr("cast(map() as map<int,bigint>)"), lambda acc, m: F.map_concat(acc, F.map_filter(m, lambda k, v: ~F.call_function("map_contains_key", acc, k))))
         up = level.filter("t > 0").select("set_id", (F.col("t") - 1).alias("t"), F.shiftrightunsigned("z", 1).alias("z"), "left", "right", "img", "first")
         up = up.groupBy("set_id", "t", "z").agg(F.min("left").alias("left"), F.max("right").alias("right"), F.bit_or("img").alias("img"), F.transform(F.sort_array(F.collect_list(F.struct("left", F.map_entries("first").alias("first")))), lambda x: F.map_from_entries(x["first"])).alias("maps"))
         level = written(up.select("set_id", "t", "z", "left", "right", "img", merge.alias("first")), "level")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing
-from wordset.operators import baselines, fixed, prefix, probe, scan
+from wordset.operators import baselines, blocks, fixed, prefix, probe, scan
 from wordset.operators import groups as G
 from wordset.sources import families as fam
 
@@ -242,3 +242,24 @@ query("base_arrays", _three)(_base(baselines.spark_arrays, TRIPLES))
 @query("base_intersect", f"select elem from ({F_SQL['F1']}) where set_id = '0' intersect select elem from ({F_SQL['F1']}) where set_id = '1'")
 def base_intersect(spark, d):
     return baselines.spark_intersect(fam.supp_orders(spark, d), "0", "1")
+
+
+# ---- kernels over packed blocks
+
+
+def _kernel(method, names, codec="plain", m=1):
+    def run(spark, d):
+        s = fam.supp_orders(spark, d)
+        return blocks.intersect(s, frames(s, names), CFG, method, codec=codec, m=m)
+
+    return run
+
+
+for _name in ("merge", "hash", "skip", "packed", "lookup", "svs", "adaptive", "median", "hybrid", "probe"):
+    query(f"kernel_{_name}", _three)(_kernel(_name, TRIPLES))
+query("m3_blocks", _three)(_kernel("scan", TRIPLES, m=2))
+for _codec in ("gamma", "delta", "lowbits"):
+    query(f"m3_{_codec}", _two)(_kernel("scan", PAIRS, _codec))
+    if _codec != "lowbits":
+        query(f"base_merge_{_codec}", _two)(_kernel("merge", PAIRS, _codec))
+        query(f"base_lookup_{_codec}", _two)(_kernel("lookup", PAIRS, _codec))
