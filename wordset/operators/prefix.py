@@ -54,12 +54,16 @@ def intersect_pairs(sets: DataFrame, queries: DataFrame, cfg: Cfg, mode: str = "
 # ---- all granularities of one order
 
 
+#: Levels that are made in one pass over the level below them.
+STRIDE = 5
+
+
 def build_multires(sets: DataFrame, cfg: Cfg, coarse: int = 4) -> tuple[DataFrame, DataFrame]:
     """The element table ``set_id, pos, g, elem, y, next_pos`` and the level table ``set_id, t, z, left, right, img, first``.
 
     Positions number a set's members by g. No window spans a whole set: members are numbered within their coarse
-    prefix, and the counts of the prefixes before give the offset. Levels are made by halving: a group of level t is the union of
-    its two halves at level t+1."""
+    prefix, and the counts of the prefixes before give the offset. A group of level t is the union of its two halves at level
+    t+1, so levels are made upward from the finest, several in one pass."""
     rows = hashed(sets, cfg, 1).withColumn("c", F.expr(hashing.prefix_sql("g", coarse, cfg)))
     in_block = Window.partitionBy("set_id", "c").orderBy(ordered("g", cfg))
     counts = rows.groupBy("set_id", "c").agg(F.count(F.lit(1)).alias("n"))
@@ -75,17 +79,17 @@ def build_multires(sets: DataFrame, cfg: Cfg, coarse: int = 4) -> tuple[DataFram
 
     sizes = set_stats(sets).withColumn("t", F.expr(hashing.bits_of_sql("n")).cast("int"))  # levels 0 to ceil(log2 n)
     leaf = elements.join(sizes.select("set_id", "t"), "set_id").withColumn("z", F.expr(hashing.prefix_sql("g", "t", cfg)))
-    level = leaf.groupBy("set_id", "t", "z", "y").agg(F.min("pos").alias("at"), F.max("pos").alias("last"))
-    level = level.groupBy("set_id", "t", "z").agg(F.min("at").alias("left"), F.max("last").alias("right"), words.word_of(F.col("y")).alias("img"), F.map_from_entries(F.sort_array(F.collect_list(F.struct("y", "at")))).alias("first"))
-    level = written(level, "level")
-    out = level
+    level = written(leaf.groupBy("set_id", "t", "z", "y").agg(F.min("pos").alias("at"), F.max("pos").alias("last")), "level")
+    rows = level
     while (top := level.agg(F.max("t")).first()[0]) and top > 0:
-        merge = F.aggregate("maps", F.expr("cast(map() as map<int,bigint>)"), lambda acc, m: F.map_concat(acc, F.map_filter(m, lambda k, v: ~F.call_function("map_contains_key", acc, k))))
-        up = level.filter("t > 0").select("set_id", (F.col("t") - 1).alias("t"), F.shiftrightunsigned("z", 1).alias("z"), "left", "right", "img", "first")
-        up = up.groupBy("set_id", "t", "z").agg(F.min("left").alias("left"), F.max("right").alias("right"), F.bit_or("img").alias("img"), F.transform(F.sort_array(F.collect_list(F.struct("left", F.map_entries("first").alias("first")))), lambda x: F.map_from_entries(x["first"])).alias("maps"))
-        level = written(up.select("set_id", "t", "z", "left", "right", "img", merge.alias("first")), "level")
-        out = out.unionByName(level)
-    return elements, out
+        # the next STRIDE levels of each set in one shuffle, from the top level so far
+        up = level.withColumn("by", F.explode(F.expr(f"sequence(1, least({STRIDE}, t))"))).filter("t > 0")
+        up = up.select("set_id", (F.col("t") - F.col("by")).alias("t"), F.expr("shiftrightunsigned(z, by)").alias("z"), "y", "at", "last", "by")
+        up = written(up.groupBy("set_id", "t", "z", "y").agg(F.min("at").alias("at"), F.max("last").alias("last"), F.max("by").alias("by"), F.lit(0).alias("_")), "level")
+        rows = rows.unionByName(up.drop("by", "_"))
+        level = up.filter((F.col("by") == STRIDE) & (F.col("t") > 0)).drop("by", "_")
+    out = rows.groupBy("set_id", "t", "z").agg(F.min("at").alias("left"), F.max("last").alias("right"), words.word_of(F.col("y")).alias("img"), F.map_from_entries(F.sort_array(F.collect_list(F.struct("y", "at")))).alias("first"))
+    return elements, written(out, "multires-levels")
 
 
 def inverse_of(elements: DataFrame, levels: DataFrame, t: int) -> DataFrame:

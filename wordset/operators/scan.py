@@ -86,7 +86,7 @@ def fetch(index: Index, alive: DataFrame, q: DataFrame, k_max: int, elems=None,
     for rank in ranks:
         mine = q.filter(F.col("rank") == rank).select(F.col("qid").alias("e_qid"), "set_id")
         rows = index.groups.select("set_id", "z", "elems").join(mine, "set_id").select("e_qid", F.col("z").alias("e_z"), "elems")
-        need = got.withColumn("at", F.expr(f"case when k >= {rank} then shiftrightunsigned(zk, t_k - ts[{rank - 1}].t) end"))
+        need = got.withColumn("at", F.expr(f"case when k >= {rank} then shiftrightunsigned(zk, t_k - get(ts, {rank - 1}).t) end"))
         held = need.join(rows, (F.col("qid") == F.col("e_qid")) & (F.col("at") == F.col("e_z")), "left" if rank > 1 else "inner")
         now = elems(F.col("elems")) if elems else F.col("elems")
         if bag:

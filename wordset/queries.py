@@ -9,9 +9,13 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing
-from wordset.operators import baselines, blocks, fixed, prefix, probe, scan
+from wordset.functions.store import written
+from wordset.operators import baselines, blocks, fixed, measures, prefix, probe, scan
 from wordset.operators import groups as G
+from wordset.plans import api, planner, workloads
+from wordset.plans.sizing import small_side
 from wordset.sources import families as fam
+from wordset.sources.tables import load
 
 CFG = Cfg(m=4)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -263,3 +267,295 @@ for _codec in ("gamma", "delta", "lowbits"):
     if _codec != "lowbits":
         query(f"base_merge_{_codec}", _two)(_kernel("merge", PAIRS, _codec))
         query(f"base_lookup_{_codec}", _two)(_kernel("lookup", PAIRS, _codec))
+
+
+# ---- structures and measures, recomputed by SQL from the same portable hash functions
+
+
+def e_sql(family: str = "F1", m: int = 4) -> str:
+    """CTEs ``sets, st, e``: members with size, exponent, place, prefix and image bits."""
+    g = hashing.g_sql("elem", CFG, True)
+    ys = ", ".join(f"{hashing.h_sql('elem', j, CFG, True)} as y_{j}" for j in range(1, m + 1))
+    return f"""sets as ({F_SQL[family]}), st as (select set_id, count(*) as n, min(elem) as inf, max(elem) as sup, {hashing.t_scan_sql('count(*)', CFG, True)} as t from sets group by set_id),
+e0 as (select set_id, elem, n, t, {g} as g, {ys} from sets join st using (set_id)), e as (select *, {hashing.prefix_sql('g', 't', CFG, True)} as z from e0)"""
+
+
+def grp_sql(m: int = 4) -> str:
+    return f"grp as (select set_id, t, z, count(*) as n, {', '.join(f'bit_or({_bit63.format(y=f'y_{j}')}) as img_{j}' for j in range(1, m + 1))} from e group by set_id, t, z)"
+
+
+def legs_sql(names) -> str:
+    return f"q as (select * from {q_sql(names)}), legs as (select qid, set_id, t, count(*) over (partition by qid) as k, row_number() over (partition by qid order by n, set_id) as rank from q join st using (set_id))"
+
+
+def _f1_index(spark, d, m=4):
+    s = fam.supp_orders(spark, d)
+    return s, G.build(s, CFG.with_(m=m))
+
+
+@query("m2_groups", f"with {e_sql(m=1)}, {grp_sql(1)} select set_id, t, z, n, img_1 from grp")
+def m2_groups(spark, d):
+    g = prefix.build(fam.supp_orders(spark, d), CFG).groups
+    return g.select("set_id", F.col("t").cast("long").alias("t"), "z", F.col("n").cast("long").alias("n"), "img_1")
+
+
+@query("m2_inverse", f"with {e_sql(m=1)} select set_id, z, y_1 as y, count(*) as n, sum(elem)::bigint as total, arg_min(elem, g) as first from e group by set_id, z, y_1")
+def m2_inverse(spark, d):
+    lists = prefix.inverse_lists(prefix.build(fam.supp_orders(spark, d), CFG))
+    return lists.select("set_id", "z", F.col("y").cast("long").alias("y"), F.size("elems").cast("long").alias("n"), F.expr("aggregate(elems, 0L, (a, x) -> a + x)").alias("total"), F.element_at("elems", 1).alias("first"))
+
+
+_levels = f"""with {e_sql(m=1)}, p as (select set_id, n, g, y_1 as y, row_number() over (partition by set_id order by g) - 1 as pos, case when n <= 1 then 0 else length(bin(n - 1)) end as top from e),
+l as (select set_id, unnest(range(0, top + 1)) as t, g, y, pos from p), z as (select set_id, t, {hashing.prefix_sql('g', 't', CFG, True)} as z, y, pos from l)
+select set_id, t, z, min(pos) as "left", max(pos) as "right", bit_or({_bit63.format(y='y')}) as img, count(distinct y) as n_first from z group by set_id, t, z"""
+
+
+@query("m2_levels", _levels)
+def m2_levels(spark, d):
+    _, lv = prefix.build_multires(fam.supp_orders(spark, d), CFG)
+    return lv.select("set_id", F.col("t").cast("long").alias("t"), "z", F.col("left").cast("long").alias("left"), F.col("right").cast("long").alias("right"), "img", F.size("first").cast("long").alias("n_first"))
+
+
+@query("m2_next", f"with {e_sql(m=1)}, p as (select set_id, elem, g, y_1 as y, row_number() over (partition by set_id order by g) - 1 as pos from e) select set_id, pos, elem, y, coalesce(lead(pos) over (partition by set_id, y order by pos), -1) as next_pos from p")
+def m2_next(spark, d):
+    e, _ = prefix.build_multires(fam.supp_orders(spark, d), CFG)
+    return e.select("set_id", F.col("pos").cast("long").alias("pos"), "elem", F.col("y").cast("long").alias("y"), F.coalesce(F.col("next_pos"), F.lit(-1)).cast("long").alias("next_pos"))
+
+
+@query("m3_group_sizes", f"with {e_sql(m=1)}, {grp_sql(1)} select n, count(*) as groups from grp group by n")
+def m3_group_sizes(spark, d):
+    return measures.group_sizes(_f1_index(spark, d, 1)[1])
+
+
+_pairs_cte = f"""{e_sql()}, {grp_sql()}, {legs_sql(PAIRS)},
+pr as (select a.qid, a.set_id as sa, b.set_id as sb, x.z as za, y.z as zb, {', '.join(f'(x.img_{j} & y.img_{j}) <> 0 as hit_{j}' for j in range(1, 5))}
+ from legs a join legs b on a.qid = b.qid and a.rank = 1 and b.rank = 2 join grp x on x.set_id = a.set_id join grp y on y.set_id = b.set_id and (y.z >> (y.t - x.t)) = x.z),
+cm as (select l.qid, eb.z as zb, count(*) as r from legs l join legs k on l.qid = k.qid and l.rank = 1 and k.rank = 2 join e ea on ea.set_id = l.set_id join e eb on eb.set_id = k.set_id and eb.elem = ea.elem group by l.qid, eb.z),
+pt as (select pr.*, coalesce(cm.r, 0) as r from pr left join cm using (qid, zb))"""
+_rate = " union all ".join(f"select {j} as m, count(*) as empty_pairs, count(*) filter (not ({' and '.join(f'hit_{i}' for i in range(1, j + 1))})) as filtered from pt where r = 0" for j in range(1, 5))
+
+
+@query("m3_filter_rate", f"with {_pairs_cte} {_rate}")
+def m3_filter_rate(spark, d):
+    s, ix = _f1_index(spark, d)
+    return measures.filter_rate(ix, frames(s, PAIRS), 4)
+
+
+_void = "(select sum(power(2, t))::bigint from (select qid, max(t) as t from legs group by qid)) - (select count(*) from pt)"
+
+
+@query("m3_filter_all", f"with {_pairs_cte}, b as ({_rate}) select m, empty_pairs + {_void} as empty_pairs, filtered + {_void} as filtered from b")
+def m3_filter_all(spark, d):
+    s, ix = _f1_index(spark, d)
+    return measures.filter_rate_all_prefixes(ix, frames(s, PAIRS), 4)
+
+
+@query("m3_merge_cases", f"with {_pairs_cte} select qid, count(*) filter (hit_1 and hit_2) as passed, count(*) filter (r > 0) as useful, sum(r)::bigint as r, count(*) filter (hit_1 and hit_2 and r = 0) as wasted from pt group by qid")
+def m3_merge_cases(spark, d):
+    s, ix = _f1_index(spark, d, 2)
+    return measures.merge_cases(ix, frames(s, PAIRS), 2)
+
+
+_coll = f"""with {e_sql(m=1)}, run as (select set_id, elem, y_1 as y, (row_number() over (partition by set_id order by elem) - 1) // {CFG.root} as p from e), rg as (select set_id, p, min(elem) as inf, max(elem) as sup from run group by set_id, p), {legs_sql(PAIRS)},
+mt as (select a.qid, a.set_id as sa, b.set_id as sb, x.p as pa, y.p as pb from legs a join legs b on a.qid = b.qid and a.rank = 1 and b.rank = 2 join rg x on x.set_id = a.set_id join rg y on y.set_id = b.set_id where x.inf <= y.sup and y.inf <= x.sup),
+sm as (select qid, count(*) filter (u.elem <> v.elem) as unequal, count(*) filter (u.elem = v.elem) as r from mt join run u on u.set_id = sa and u.p = pa join run v on v.set_id = sb and v.p = pb and v.y = u.y group by qid),
+np as (select qid, count(*) as pairs from mt group by qid) select qid, pairs, coalesce(unequal, 0) as unequal, coalesce(r, 0) as r from np left join sm using (qid)"""
+
+
+@query("m1_collisions", _coll)
+def m1_collisions(spark, d):
+    s = fam.supp_orders(spark, d)
+    return measures.collisions(s, frames(s, PAIRS), CFG)
+
+
+@query("m2_survivors", f"with {e_sql(m=1)}, {grp_sql(1)}, {legs_sql(TRIPLES)}, s1 as (select qid, l.t, z, img_1 as h from legs l join grp using (set_id) where rank = 1), "
+       "s2 as (select s1.qid, y.t, y.z, s1.h & y.img_1 as h from s1 join legs l on l.qid = s1.qid and l.rank = 2 join grp y on y.set_id = l.set_id and (y.z >> (y.t - s1.t)) = s1.z where (s1.h & y.img_1) <> 0), "
+       "s3 as (select s2.qid, y.t, y.z, s2.h & y.img_1 as h from s2 join legs l on l.qid = s2.qid and l.rank = 3 join grp y on y.set_id = l.set_id and (y.z >> (y.t - s2.t)) = s2.z where (s2.h & y.img_1) <> 0) "
+       "select qid, 1 as step, count(*) as chains from s1 group by qid union all select qid, 2, count(*) from s2 group by qid union all select qid, 3, count(*) from s3 group by qid")
+def m2_survivors(spark, d):
+    s, ix = _f1_index(spark, d, 1)
+    return measures.survivors_by_step(ix, frames(s, TRIPLES))
+
+
+_space = f"""with {e_sql(m=1)}, {grp_sql(1)}, a as (select (select count(*) from grp) as g, (select count(*) from e) as n, (select sum(ceil(n / {CFG.root}.0)) from st) as runs)
+select structure, m, floor(words)::bigint as words, round(words / n - 1, 6) as overhead from (select n, unnest(['plain', 'image_scan', 'image_scan', 'image_scan', 'image_scan', 'prefix_groups', 'fixed_groups', 'prefix_probe']) as structure,
+ unnest([0, 1, 2, 4, 8, 1, 1, 0]) as m, unnest([n::double, n + 2.0 * g, n + 3.0 * g, n + 5.0 * g, n + 9.0 * g, 1.5 * n + 3 * g, 1.5 * n + 2 * runs, n + 2.0 * g]) as words from a)"""
+
+
+@query("space_words", _space)
+def space_words(spark, d):
+    return measures.space_words(fam.supp_orders(spark, d), CFG)
+
+
+_lb = "(length(bin({x})) - 1)"
+_gm = "(2 * " + _lb + " + 1)"
+_dl = "(" + _lb + " + 2 * (length(bin(length(bin({x})))) - 1) + 1)"
+_bits = f"""with {e_sql(m=1)}, {grp_sql(1)}, li as (select elem - coalesce(lag(elem) over (partition by set_id order by elem), -1) as x from e),
+lw as (select *, g & ((1::bigint << ({CFG.universe_bits} - t)) - 1) as low from e), gp as (select t, low - coalesce(lag(low) over (partition by set_id, z order by g), -1) as x from lw),
+v as (select (select count(*) * {CFG.universe_bits} from e) as plain, (select sum({_gm.format(x='x')}) from li) as lg, (select sum({_dl.format(x='x')}) from li) as ld, (select sum({_gm.format(x='x')}) from gp) as gg, (select sum({_dl.format(x='x')}) from gp) as gd, (select sum({CFG.universe_bits} - t) from e) as lo,
+ (select count(*) * {CFG.w} + sum(n) from grp) + (select sum(1::bigint << t) from st) as head)
+select structure, codec, bits::bigint as bits, round(bits / plain, 6) as share from (select plain, unnest(['list', 'list', 'list', 'image_scan', 'image_scan', 'image_scan']) as structure, unnest(['plain', 'gamma', 'delta', 'gamma', 'delta', 'lowbits']) as codec, unnest([plain, lg, ld, head + gg, head + gd, head + lo]) as bits from v)"""
+
+
+@query("space_bits", _bits)
+def space_bits(spark, d):
+    return measures.space_bits(fam.supp_orders(spark, d), CFG)
+
+
+@query("bounds", """select w, m, round(power(1 - 1 / s, s), 6) as one_image, round(delta, 6) as delta, round(b1, 6) as beta_1, round(b2, 6) as beta_2, round(1 - power(1 - greatest(b1, b2), m), 6) as m_images, round(1 / (1 - greatest(b1, b2)), 6) as alpha
+from (select *, greatest(0, 1 - (1 + delta * s) / (4 * s)) * power(q, delta * s) as b1, greatest(0, 1 - exp(-s / 12) - 0.375) * power(q, 1.5 * s) as b2 from (select *, greatest(0, 1 - delta / s) as q from
+(select w, m, sqrt(w) as s, 1 + sqrt(6 * ln(4 * sqrt(w)) / sqrt(w)) as delta from (values (16), (64), (256), (1024), (4096)) a(w), (values (1), (2), (4), (8)) b(m))))""")
+def bounds(spark, d):
+    return measures.bounds_frame(spark, [(w, m) for w in (16, 64, 256, 1024, 4096) for m in (1, 2, 4, 8)])
+
+
+# ---- workloads
+
+
+def ctl_sql(points) -> str:
+    """Controlled sets and, per point, the size of the result by counting."""
+    scramble = fam.SCRAMBLE.format(x="o_orderkey")
+    parts = " union all ".join(f"select {j}::bigint as qid, case when side = 0 then 'A' else 'B' end as s, o_orderkey from k, (values (0), (1)) v(side) where case when side = 0 then i <= {n1} else i > {n1 - r} and i <= {n1 - r + n2} end" for j, (n1, n2, r) in enumerate(points))
+    return f"with k as (select o_orderkey, row_number() over (order by {scramble}) as i from orders), u as ({parts}) select qid, count(*) as r from (select qid, o_orderkey from u group by all having count(*) = 2) group by qid"
+
+
+def _sweep(points_of, n=15_000, method="scan"):
+    def run(spark, d):
+        s, q = workloads.controlled(spark, d, points_of(n))
+        got = blocks.run_kernel(s, q, CFG, method, m=2)
+        return got.groupBy("qid").agg(F.sum(F.size("elems")).alias("r")).filter("r > 0")
+
+    return run
+
+
+query("w1_equal", ctl_sql(workloads.equal_points(15_000)))(_sweep(workloads.equal_points))
+query("w2_overlap", ctl_sql(workloads.overlap_points(15_000)))(_sweep(workloads.overlap_points))
+query("w3_ratio", ctl_sql(workloads.ratio_points(15_000)))(_sweep(workloads.ratio_points, method="probe"))
+
+
+@query("w4_keywords", " union all ".join(f"select {k}::bigint as k, count(*) as r from ({inter_sql('F1', suppliers(k))})" for k in (2, 3, 4)))
+def w4_keywords(spark, d):
+    s = fam.supp_orders(spark, d)
+    ix = G.build(s, CFG.with_(m=2), keep=True)
+    out = [scan.intersect(ix, frames(s, suppliers(k))).agg(F.count(F.lit(1)).alias("r")).select(F.lit(k).cast("long").alias("k"), "r") for k in (2, 3, 4)]
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
+_words = r"select regexp_extract_all(lower(text), '[\p{L}\p{N}]+') as w from (select text from benchmark union all select text from conversations where role = 'user')"
+_qterms = " union all ".join(
+    f"select * from (select {k} as k, ids, count(*) as freq from (select list_sort(list_distinct(w[i:i + {k - 1}])) as ids from (select w, unnest(range(1, len(w) - {k - 2})) as i from ({_words}) where len(w) >= {k})) where len(ids) = {k} group by ids order by freq desc, array_to_string(ids, ' ') limit {workloads.TOP_QUERIES})"
+    for k in (2, 3, 4)
+)
+_results = f"""with tq as (select row_number() over (order by k, freq desc, array_to_string(ids, ' ')) - 1 as qid, k, ids from ({_qterms})), sets as ({F_SQL["F5"]}), st as (select set_id, count(*) as n from sets group by set_id),
+q as (select qid, k, unnest(ids) as set_id from tq), qs as (select qid, k, set_id, n, count(n) over (partition by qid) as known from q left join st using (set_id)),
+sz as (select qid, k, min(n) as n1, list_sort(list(n))[2] as n2, max(n) as nk from qs where known = k group by qid, k),
+hit as (select qid, count(*) as r from (select qid, elem from qs join sets using (set_id) where known = k group by qid, elem having count(*) = any_value(k)) group by qid),
+res as (select qid, k, n1, n2, nk, coalesce(r, 0) as r from sz left join hit using (qid))"""
+
+
+def _results_frame(spark, d):
+    q = workloads.term_queries(spark, d)
+    names = q.select(F.explode("set_ids").alias("set_id")).distinct()
+    return measures.results(fam.term_docs(spark, d).join(small_side(names), "set_id", "left_semi"), q)
+
+
+@query("batch_terms", _results + " select qid, k::bigint as k, n1, nk, r from res")
+def batch_terms(spark, d):
+    return _results_frame(spark, d).select("qid", F.col("k").cast("long").alias("k"), "n1", "nk", "r")
+
+
+@query("batch_terms_scan", _results + " select qid, r from res where r > 0")
+def batch_terms_scan(spark, d):
+    """The term workload as one batch through the image scan."""
+    q = written(workloads.term_queries(spark, d), "term-queries")
+    names = q.select(F.explode("set_ids").alias("set_id")).distinct()
+    sets = written(fam.term_docs(spark, d).join(small_side(names), "set_id", "left_semi"), "term-sets")
+    return scan.intersect(G.build(sets, CFG.with_(m=2), keep=True), q).groupBy("qid").agg(F.count(F.lit(1)).alias("r"))
+
+
+@query("query_profile", _results + " select k::bigint as k, count(*) as queries, round(avg(n1 / n2), 6) as n1_n2, round(avg(n1 / nk), 6) as n1_nk, round(avg(r / n1), 6) as r_n1, round(avg((r = 0)::int), 6) as empty from res group by k")
+def query_profile(spark, d):
+    return measures.query_profile(_results_frame(spark, d)).withColumn("k", F.col("k").cast("long"))
+
+
+@query("selectivity_profile", _results + " select k::bigint as k, round(avg((r * 10 <= n1)::int), 6) as tenth, round(avg((r * 100 <= n1)::int), 6) as hundredth from res group by k")
+def selectivity_profile(spark, d):
+    return measures.selectivity_profile(_results_frame(spark, d)).withColumn("k", F.col("k").cast("long"))
+
+
+@query("auto_plan", inter_sql("F42", _small_big + [["AF", "NF"]]))
+def auto_plan(spark, d):
+    s = fam.part_orders(spark, d).unionByName(fam.flag_orders(spark, d))
+    return api.intersect_batch(api.build_index(s, CFG.with_(m=2)), frames(s, _small_big + [["AF", "NF"]]), "auto")
+
+
+@query("plan_methods", f"""with sets as ({F_SQL['F42']}), st as (select set_id, count(*) as n, min(elem) as inf, max(elem) as sup from sets group by set_id), q as (select * from {q_sql(_small_big + [['AF', 'NF']])}),
+a as (select qid, count(*) as k, min(n) as n1, max(n) as nk, max(inf) > min(sup) as apart from q join st using (set_id) group by qid)
+select qid, k, n1, nk, case when apart then 'empty' when nk / n1 >= 100 then 'probe' when nk / n1 >= 32 then 'lookup' else 'scan' end as method from a""")
+def plan_methods(spark, d):
+    s = fam.part_orders(spark, d).unionByName(fam.flag_orders(spark, d))
+    return planner.plan_batch(frames(s, _small_big + [["AF", "NF"]]), G.set_stats(s))
+
+
+# ---- bags, predicates and other families
+
+_DAY = "2024-01-0{}"
+BAGS = [[f"view|{_DAY.format(i)}", f"click|{_DAY.format(i)}"] for i in range(1, 8)]
+BAGS3 = [[f"{e}|{_DAY.format(i)}" for e in ("view", "click", "purchase")] for i in range(1, 8)]
+
+
+def bag_sql(names) -> str:
+    return f"with sets as ({F_SQL['F8']}), q as (select * from {q_sql(names)}) select qid, elem, min(freq) as freq from q join sets using (set_id) group by qid, elem having count(*) = (select count(*) from q p where p.qid = q.qid) and qid not in (select q.qid from q left join (select distinct set_id as s from sets) on s = q.set_id where s is null)"
+
+
+def _bag(names, method):
+    def run(spark, d):
+        s = fam.event_users(spark, d)
+        return api.intersect_batch(api.build_index(s, CFG.with_(m=2), bag=True), frames(s, names), method)
+
+    return run
+
+
+query("bag_pair", bag_sql(BAGS))(_bag(BAGS, "scan"))
+query("bag_k3", bag_sql(BAGS3))(_bag(BAGS3, "scan"))
+query("bag_fixed", bag_sql(BAGS))(_bag(BAGS, "fixed"))
+
+
+@query("conj_predicates", "select distinct p_partkey as elem from part where p_brand = 'Brand#1' and p_type like 'ECONOMY%' and p_size between 1 and 10")
+def conj_predicates(spark, d):
+    return api.intersect_predicates(load(spark, d, "part"), "p_partkey", ["p_brand = 'Brand#1'", "p_type like 'ECONOMY%'", "p_size between 1 and 10"])
+
+
+DIMS = [["quality=1", "lang=en"], ["quality=0", "lang=de"], ["quality=1", "lang=en", "source=src0"]]
+query("dim_intersect", inter_sql("F10", DIMS))(_m3(DIMS, 2, fam.doc_attrs))
+SIGNS = [[f"{i}+" for i in range(k)] for k in (2, 3, 4, 5, 6, 8)]
+query("sign_conjunction", inter_sql("F14", SIGNS))(_m3(SIGNS, 4, fam.emb_sign))
+VECS = [["0", "1"], ["2", "3"]]
+
+
+@query("disjoint_labels", f"select qid, true as disjoint from (values (0::bigint), (1::bigint)) q(qid) where not exists (select 1 from ({inter_sql('F11', VECS)}) x where x.qid = q.qid)")
+def disjoint_labels(spark, d):
+    s = fam.label_vecs(spark, d)
+    return api.is_disjoint(api.build_index(s, CFG.with_(m=1)), frames(s, VECS))
+
+
+PAGES = [["the", "of"], ["the", "and", "of"]]
+
+
+@query("page_search", inter_sql("F7", PAGES))
+def page_search(spark, d):
+    s = fam.page_terms(spark, d).filter(F.col("set_id").isin("the", "of", "and"))
+    return scan.intersect(G.build(s, CFG.with_(m=2)), frames(s, PAGES))
+
+
+@query("pair_support", f"with s as ({F_SQL['F1']}) select a.set_id as a, b.set_id as b, count(*) as support from s a join s b on a.elem = b.elem and a.set_id < b.set_id group by a.set_id, b.set_id")
+def pair_support(spark, d):
+    s = fam.supp_orders(spark, d)
+    a, b = s.select("elem", F.col("set_id").alias("a")), s.select("elem", F.col("set_id").alias("b"))
+    return a.join(b, "elem").filter("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("support"))
+
+
+@query("boolean_sets", f"with s as ({F_SQL['F10']}) (select elem from s where set_id = 'lang=en' intersect (select elem from s where set_id = 'source=src0' union select elem from s where set_id = 'source=src1')) except select elem from s where set_id = 'toxic=1'")
+def boolean_sets(spark, d):
+    s = fam.doc_attrs(spark, d)
+    return api.evaluate(s, ("not", ("and", "lang=en", ("or", "source=src0", "source=src1")), "toxic=1"))
