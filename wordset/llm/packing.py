@@ -13,9 +13,11 @@ pieces; doc_id may be null.
 
 from __future__ import annotations
 
+import re
 import zlib
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -81,19 +83,40 @@ def best_fit(lengths: list[int], window: int, first: int = 0) -> list[tuple[int,
     return out
 
 
-@lru_cache(2)
-def _library_codec(path: str) -> bpe.Codec:
-    """Words by the public library itself; splitting and the table of words as in ``bpe``."""
-    from tokenizers import Tokenizer
+#: Splits text before the merges; the vocabulary file's own pattern.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+class WholeTextEncoder:
+    """Ids of whole texts by a compiled public encoder, from the same vocabulary file. Special tokens are cut out first."""
+
+    def __init__(self, path: str):
+        import tiktoken
+
+        a = bpe.automaton(path)
+        ranks = {label: i for i, label in a.label.items() if label.decode("utf-8", "replace") not in a.special}
+        self.special = a.special
+        self.cut = re.compile("(" + "|".join(map(re.escape, sorted(a.special, key=len, reverse=True))) + ")") if a.special else None
+        self.plain = tiktoken.Encoding("vocabulary", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
 
-    t = Tokenizer.from_file(path)
-    return bpe.Codec(bpe.automaton(path), lambda word: t.encode(word.decode(), add_special_tokens=False).ids)
+    def encode(self, text: str | None) -> bytes:
+        text = text or ""
+        if self.cut is None or not any(s in text for s in self.special):
+            ids = self.plain(text)
+        else:
+            ids = [i for p in self.cut.split(text) if p for i in ([self.special[p]] if p in self.special else self.plain(p))]
+        return np.array(ids, "<u4").tobytes()
+
+
+@lru_cache(2)
+def _encoder(path: str) -> WholeTextEncoder:
+    return WholeTextEncoder(path)
 
 
 def pack_batches(batches, path: str, window: int):
     from pyspark import TaskContext
 
-    c = _library_codec(path)
+    c = _encoder(path)
     base = TaskContext.get().partitionId() << LOCAL_BITS
     made = 0
     rest: list[tuple] = []
