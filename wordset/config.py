@@ -16,7 +16,7 @@ class Cfg:
 
     g orders the elements (``mulshift``: a bijection in portable integer arithmetic, up to 32 bits; ``xx64``: Spark's xxhash64,
     64 bits, any long). h draws image bits (``cw31``: linear modulo a prime; ``xx64``; ``perm``: the first bits of
-    another permutation). bucket: mean size of a bucket of the lookup baseline."""
+    another permutation; ``sql:`` and an expression over ``{x}``: a hash of one's own). bucket: mean size of a bucket of the lookup baseline."""
 
     w: int = 64
     m: int = 4
@@ -31,7 +31,7 @@ class Cfg:
             raise ValueError(f"w must be one of {WIDTHS}")
         if self.m < 1:
             raise ValueError("m must be 1 or more")
-        if self.g not in ("mulshift", "xx64", "hash") or self.h not in ("cw31", "xx64", "perm"):
+        if self.g not in ("mulshift", "xx64", "hash") or self.h not in ("cw31", "xx64", "perm") and not self.h.startswith("sql:"):
             raise ValueError("unknown g or h")
         if self.g == "mulshift" and not (2 <= self.universe_bits <= 32 and self.universe_bits % 2 == 0):
             raise ValueError("mulshift needs an even universe_bits of 2 to 32")
@@ -53,10 +53,6 @@ class Cfg:
         m = self.m if m is None else m
         return [[f"img_{j}"] if self.words == 1 else [f"img_{j}_{k}" for k in range(self.words)] for j in range(1, m + 1)]
 
-    @cached_property
-    def _draw(self) -> random.Random:
-        return random.Random(self.seed)
-
     @cached_property
     def rounds(self) -> list[tuple[int, int]]:
         """Multiplier and addend of the two rounds of the permutation."""

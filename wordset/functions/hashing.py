@@ -40,6 +40,8 @@ def g_sql(x: str, cfg: Cfg, duck: bool = False) -> str:
 
 def h_sql(x: str, j: int, cfg: Cfg, duck: bool = False) -> str:
     """The image bit of x under hash function j: 0 to w-1."""
+    if cfg.h.startswith("sql:"):
+        return f"({cfg.h[4:].format(x=x)})"
     if cfg.h == "xx64":
         return f"(xxhash64({cfg.seed + 7919 * j}, 'bit', {x}) & {cfg.w - 1})"
     if cfg.h == "perm":
