@@ -285,7 +285,7 @@ def grp_sql(m: int = 4) -> str:
 
 
 def legs_sql(names) -> str:
-    return f"q as (select * from {q_sql(names)}), legs as (select qid, set_id, t, count(*) over (partition by qid) as k, row_number() over (partition by qid order by n, set_id) as rank from q join st using (set_id))"
+    return f"q as (select * from {q_sql(names)}), legs as (select qid, set_id, t, count(*) over (partition by qid) as k, row_number() over (partition by qid order by n, set_id) as rank from q join st using (set_id) where qid not in (select qid from q where set_id not in (select set_id from st)))"
 
 
 def _f1_index(spark, d, m=4):
@@ -350,7 +350,7 @@ def m3_filter_all(spark, d):
     return measures.filter_rate_all_prefixes(ix, frames(s, PAIRS), 4)
 
 
-@query("m3_merge_cases", f"with {_pairs_cte} select qid, count(*) filter (hit_1 and hit_2) as passed, count(*) filter (r > 0) as useful, sum(r)::bigint as r, count(*) filter (hit_1 and hit_2 and r = 0) as wasted from pt group by qid")
+@query("m3_merge_cases", f"with {_pairs_cte}, a as (select qid, count(*) filter (hit_1 and hit_2) as passed, count(*) filter (r > 0) as useful, sum(r)::bigint as r, count(*) filter (hit_1 and hit_2 and r = 0) as wasted from pt group by qid) select i.qid, coalesce(passed, 0) as passed, coalesce(useful, 0) as useful, coalesce(r, 0) as r, coalesce(wasted, 0) as wasted from (select unnest(range({len(PAIRS)})) as qid) i left join a using (qid)")
 def m3_merge_cases(spark, d):
     s, ix = _f1_index(spark, d, 2)
     return measures.merge_cases(ix, frames(s, PAIRS), 2)
