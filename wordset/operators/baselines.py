@@ -6,18 +6,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
-from wordset.operators.groups import longest, query_sets, set_stats
+from wordset.operators.groups import dealt_by_element, longest, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
 
 def _legs(sets: DataFrame, queries: DataFrame):
+    sets = pruned(sets, queries)
     q = query_sets(queries, set_stats(sets))
-    return q, longest(queries), lambda rank: sets.join(small_side(q.filter(F.col("rank") == rank).select("qid", "k", "set_id")), "set_id").drop("set_id")
+    return sets, q, longest(queries), lambda rank: sets.join(small_side(q.filter(F.col("rank") == rank).select("qid", "k", "set_id")), "set_id").drop("set_id")
 
 
 def merge(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """Sorted lists met in step: a sort-merge join per further set."""
-    _, k_max, leg = _legs(sets, queries)
+    _, _, k_max, leg = _legs(sets, queries)
     now = leg(1)
     for rank in range(2, k_max + 1):
         more = leg(rank).select("qid", "elem").hint("merge")
@@ -27,14 +28,14 @@ def merge(sets: DataFrame, queries: DataFrame) -> DataFrame:
 
 def counting(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """One pass over all lists: an element in as many lists as the query has."""
-    q, _, _ = _legs(sets, queries)
-    rows = sets.join(small_side(q.select("qid", "k", "set_id")), "set_id")
+    sets, q, _, _ = _legs(sets, queries)
+    rows = dealt_by_element(sets).join(small_side(q.select("qid", "k", "set_id")), "set_id")
     return rows.groupBy("qid", "elem").agg(F.count(F.lit(1)).alias("c"), F.max("k").alias("k")).filter("c = k").select("qid", "elem")
 
 
 def hashing_(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """The smallest list against a hash table of each other one, dropping what misses."""
-    _, k_max, leg = _legs(sets, queries)
+    _, _, k_max, leg = _legs(sets, queries)
     now = leg(1)
     for rank in range(2, k_max + 1):
         more = leg(rank).select("qid", "elem").hint("shuffle_hash")
@@ -44,7 +45,7 @@ def hashing_(sets: DataFrame, queries: DataFrame) -> DataFrame:
 
 def smallest_first(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """Candidates of the smallest list, narrowed list by list; the planner picks each join by the candidates' size."""
-    _, k_max, leg = _legs(sets, queries)
+    _, _, k_max, leg = _legs(sets, queries)
     now = leg(1)
     for rank in range(2, k_max + 1):
         now = now.filter(F.col("k") >= rank).join(leg(rank).select("qid", "elem"), ["qid", "elem"], "left_semi").unionByName(now.filter(F.col("k") < rank))
@@ -53,6 +54,7 @@ def smallest_first(sets: DataFrame, queries: DataFrame) -> DataFrame:
 
 def lookup(sets: DataFrame, queries: DataFrame, cfg: Cfg) -> DataFrame:
     """A directory from id ranges to buckets of about ``cfg.bucket`` members; each candidate scans one bucket."""
+    sets = pruned(sets, queries)
     sizes = set_stats(sets).withColumn("width", F.expr(f"greatest(1, ((sup - inf + 1) * {cfg.bucket}) div n)"))
     q = query_sets(queries, sizes).join(sizes.select("set_id", "inf", "width"), "set_id")
     k_max = longest(queries)
@@ -72,6 +74,7 @@ def packed_codes(sets: DataFrame, queries: DataFrame, cfg: Cfg, bits: int = 8) -
     """Buckets by leading hash bits; short codes in a bucket are compared first and members behind equal codes verified."""
     from wordset.functions import hashing
 
+    sets = pruned(sets, queries)
     sizes = set_stats(sets)
     q = query_sets(queries, sizes)
     q = q.join(q.groupBy("qid").agg(F.max("n").alias("n_max")), "qid").withColumn("t", F.expr(hashing.bits_of_sql("n_max div 8")).cast("int"))
@@ -93,6 +96,7 @@ def packed_codes(sets: DataFrame, queries: DataFrame, cfg: Cfg, bits: int = 8) -
 
 def spark_arrays(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """Spark's own ``array_intersect`` over whole lists, for lists that fit in a row."""
+    sets = pruned(sets, queries)
     q = query_sets(queries, set_stats(sets))
     lists = sets.groupBy("set_id").agg(F.collect_list("elem").alias("elems")).join(small_side(q.select("qid", "k", "set_id")), "set_id")
     all_ = lists.groupBy("qid").agg(F.collect_list("elems").alias("ls"))

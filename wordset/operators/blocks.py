@@ -16,7 +16,7 @@ from wordset.config import Cfg
 from wordset.functions import codes, hashing
 from wordset.functions.worker import on_worker
 from wordset.operators import kernels
-from wordset.operators.groups import group_by_prefix, hashed, query_sets, set_stats
+from wordset.operators.groups import group_by_prefix, hashed, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
 #: Codings of a block's members; ``plain`` keeps them as arrays.
@@ -98,6 +98,7 @@ def run_kernel(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str, coars
     if method not in kernels.METHODS:
         raise ValueError(f"method must be one of {sorted(kernels.METHODS)}")
     m = cfg.m if m is None else m
+    sets = pruned(sets, queries)
     blocks = build_blocks(sets, cfg, coarse_bits, m, codec)
     members = ["g", "elem"] if codec == "plain" else ["payload"]
     met = _met(blocks, queries, set_stats(sets), ["t", "zs", "ns", "imgs", *members])

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
-from wordset.operators.groups import query_sets, set_stats
+from wordset.operators.groups import pruned, query_sets, set_stats
 
 
 def numbered(sets: DataFrame) -> DataFrame:
@@ -51,6 +51,7 @@ def build_levels(sets: DataFrame, cfg: Cfg, most: int = 64) -> DataFrame:
 
 def query_groups(sets: DataFrame, queries: DataFrame, cfg: Cfg, sizes=None, bag: bool = False) -> DataFrame:
     """The groups of both sets of each query under ``side`` 1 and 2, at sizes: None for root(w), ``optimal``, or a pair of numbers."""
+    sets = pruned(sets, queries)
     q = query_sets(queries, set_stats(sets))
     if (k := q.agg(F.max("k")).first()[0] or 0) > 2:
         raise ValueError(f"runs of equal count don't align for {k} sets; fold pairs instead")

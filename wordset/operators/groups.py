@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
+from wordset.plans.sizing import small_side
 
 
 @dataclass
@@ -73,7 +74,25 @@ def build(sets: DataFrame, cfg: Cfg, m: int | None = None, t: str | None = None,
     sizes = set_stats(sets).withColumn("t", F.expr(t or hashing.t_scan_sql("n", cfg)).cast("int"))
     rows = hashed(sets, cfg, m).join(sizes.select("set_id", "t"), "set_id")
     groups = group_by_prefix(rows, cfg, m, bag=bag)
-    return Index(written(groups, "groups") if keep else groups, sizes, cfg, bag=bag)
+    if keep:  # dealt by prefix: all sets' groups of a prefix lie in the same file, and files are even
+        groups = written(groups.repartition(int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions")), "z"), "groups")
+        sizes = written(sizes, "sizes")
+    return Index(groups, sizes, cfg, bag=bag)
+
+
+def pruned(sets: DataFrame, queries: DataFrame) -> DataFrame:
+    """The sets that the queries name, as a table of their own.
+
+    Without a stored index the source is read once, however many sets and joins a query has, and what nothing names is
+    dropped where it is read."""
+    names = queries.select(F.explode("set_ids").alias("set_id")).distinct()
+    return written(sets.join(small_side(names), "set_id", "left_semi"), "named-sets")
+
+
+def dealt_by_element(sets: DataFrame) -> DataFrame:
+    """The rows dealt by element over all shuffle partitions: what queries make of them grows far beyond the rows themselves,
+    and counts by (query, element) need no further shuffle."""
+    return sets.repartition(int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions")), "elem")
 
 
 def query_sets(queries: DataFrame, stats: DataFrame) -> DataFrame:

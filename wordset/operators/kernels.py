@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from bisect import bisect_left
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 
@@ -23,6 +24,43 @@ class Block:
     imgs: np.ndarray
     g: np.ndarray
 
+    def __post_init__(self):
+        self.low, self.high = (int(self.zs[0]), int(self.zs[-1])) if len(self.zs) else (0, -1)
+
+    def _placed(self, values: np.ndarray) -> np.ndarray:
+        """Values of the groups at the places of their prefixes, zero where there is no group."""
+        if self.high - self.low + 1 == len(self.zs):
+            return np.ascontiguousarray(values)
+        out = np.zeros(self.high - self.low + 1, values.dtype)
+        out[(self.zs - np.uint64(self.low)).astype(np.int64)] = values
+        return out
+
+    @cached_property
+    def size(self) -> np.ndarray:
+        return self._placed(self.ns)
+
+    @cached_property
+    def start(self) -> np.ndarray:
+        return np.cumsum(self.size) - self.size
+
+    def members(self, groups: np.ndarray) -> np.ndarray:
+        """Members of some groups in order: by their places if few, by a mask over all members if many."""
+        if len(groups) * 3 < len(self.size):
+            row, place = _spread(self.size[groups])
+            return self.g[self.start[groups][row] + place]
+        if len(groups) * 10 > len(self.size) * 9:
+            return self.g  # nearly all: leaving few out costs more than it saves
+        mask = np.zeros(len(self.size), bool)
+        mask[groups] = True
+        return self.g[np.repeat(mask, self.size)]
+
+    def image(self, j: int) -> np.ndarray:
+        if not hasattr(self, "_images"):
+            self._images = {}
+        if j not in self._images:
+            self._images[j] = self._placed(self.imgs[:, j])
+        return self._images[j]
+
 
 def _array(values) -> np.ndarray:
     return np.array(values, np.uint64)
@@ -245,35 +283,55 @@ def binary_probe(blocks: list[Block], cfg: Cfg):
 
 
 def image_scan(blocks: list[Block], cfg: Cfg):
-    """Groups aligned by prefix, tested by all images, and only then opened."""
+    """Groups aligned by prefix, tested image by image, and only the survivors' members merged.
+
+    Groups lie at the place of their prefix, empty ones with image zero, so sets of one prefix length align without any
+    search, and images of a shorter prefix are repeated for the prefixes below it."""
     last = blocks[-1]
-    images = last.imgs
-    at = []
-    alive = np.ones(len(last.zs), bool)
-    for b in blocks[:-1]:
-        z = last.zs >> np.uint64(last.t - b.t)
-        p = np.searchsorted(b.zs, z)
-        alive &= (p < len(b.zs)) & (b.zs[np.minimum(p, len(b.zs) - 1)] == z)
-        at.append(p)
-    met = int(alive.sum())
-    chains = np.flatnonzero(alive)
-    images = images[chains]
-    for b, p in zip(blocks[:-1], at, strict=True):
-        images = images & b.imgs[p[chains]]
-    chains = chains[(images != 0).all(1)]
-    count = {"pairs_met": met, "pairs_passed": len(chains), "pairs_hit": 0, "elems_fetched": 0}
-    ends = [np.r_[0, np.cumsum(b.ns)] for b in blocks]
-    out = []
-    for c in chains.tolist():
-        now = last.g[ends[-1][c] : ends[-1][c + 1]]
-        count["elems_fetched"] += len(now)
-        for b, p, e in zip(blocks[:-1], at, ends, strict=False):
-            part = b.g[e[p[c]] : e[p[c] + 1]]
-            count["elems_fetched"] += len(part)
-            now = now[np.isin(now, part, assume_unique=True)]
-        count["pairs_hit"] += bool(len(now))
-        out.append(now)
-    return (np.concatenate(out) if out else _array([])), count
+    if any(not len(b.zs) for b in blocks):
+        return _array([]), {}
+    # the finest prefixes that all sets cover
+    low = max(b.low << (last.t - b.t) for b in blocks)
+    high = min(((b.high + 1) << (last.t - b.t)) - 1 for b in blocks)
+    if low > high:
+        return _array([]), {}
+
+    def column(b: Block, values: np.ndarray) -> np.ndarray:
+        d = last.t - b.t
+        part = values[(low >> d) - b.low : (high >> d) - b.low + 1]
+        if not d:
+            return part
+        return np.repeat(part, 1 << d)[low - (low >> d << d) :][: high - low + 1]
+
+    met = np.logical_and.reduce([column(b, b.size) > 0 for b in blocks])
+    alive = None
+    for j in range(last.imgs.shape[1]):
+        if alive is None:
+            both = column(blocks[0], blocks[0].image(j))
+            for b in blocks[1:]:
+                both = both & column(b, b.image(j))
+            alive = np.flatnonzero(both) + low
+        else:  # a later image only where the ones before met
+            both = np.bitwise_and.reduce([b.image(j)[(alive >> (last.t - b.t)) - b.low] for b in blocks])
+            alive = alive[both != 0]
+    now, fetched = None, 0
+    for b in sorted(blocks, key=lambda b: b.t, reverse=True):
+        groups = alive >> (last.t - b.t)
+        if b.t != last.t:
+            groups = np.unique(groups)
+        groups = groups - b.low
+        part = b.members(groups)
+        fetched += len(part)
+        now = part if now is None else np.intersect1d(now, part, assume_unique=True)
+    z = now >> np.uint64(cfg.universe_bits - last.t)  # ascending
+    hit = int(np.count_nonzero(z[1:] != z[:-1])) + bool(len(z))
+    return now, {"pairs_met": int(met.sum()), "pairs_passed": len(alive), "pairs_hit": hit, "elems_fetched": fetched}
+
+
+def _spread(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For counts 2, 3: owners 0 0 1 1 1 and places 0 1 0 1 2."""
+    owner = np.repeat(np.arange(len(counts)), counts)
+    return owner, np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
 
 
 METHODS = {

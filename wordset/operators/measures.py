@@ -11,8 +11,10 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing, words
+from wordset.functions.store import written
 from wordset.operators import fixed, scan
-from wordset.operators.groups import Index, query_sets, set_stats
+from wordset.operators.groups import Index, dealt_by_element, pruned, query_sets, set_stats
+from wordset.plans.sizing import small_side
 
 # ---- filtering
 
@@ -85,7 +87,7 @@ def survivors_by_step(index: Index, queries: DataFrame, m: int = 1) -> DataFrame
 
 def collisions(sets: DataFrame, queries: DataFrame, cfg: Cfg, sizes=None) -> DataFrame:
     """Per query over overlapping runs: pairs of groups, and pairs of unequal members with the same hash in them."""
-    g = fixed.query_groups(sets, queries, cfg, sizes)
+    g = written(fixed.query_groups(sets, queries, cfg, sizes), "runs")
     met = fixed.overlaps(g)
     e = g.select("qid", "side", "p", F.explode("elems.elem").alias("elem")).withColumn("y", hashing.h("elem", 1, cfg))
     a, b = (e.filter(F.col("side") == s).select("qid", F.col("p").alias(f"{x}_p"), "y", F.col("elem").alias(f"{x}_e")) for s, x in ((1, "a"), (2, "b")))
@@ -179,9 +181,10 @@ def space_bits(sets: DataFrame, cfg: Cfg, m: int = 1) -> DataFrame:
 
 def results(sets: DataFrame, queries: DataFrame) -> DataFrame:
     """``qid, k, n1, n2, nk, r`` of every query, by one counting pass."""
+    sets = pruned(sets, queries)
     q = query_sets(queries, set_stats(sets))
     sizes = q.groupBy("qid").agg(F.max("k").alias("k"), F.min("n").alias("n1"), F.element_at(F.sort_array(F.collect_list("n")), F.least(F.lit(2), F.max("k"))).alias("n2"), F.max("n").alias("nk"))
-    hit = sets.join(q.select("qid", "k", "set_id"), "set_id").groupBy("qid", "elem").agg(F.count(F.lit(1)).alias("c"), F.max("k").alias("k")).filter("c = k").groupBy("qid").agg(F.count(F.lit(1)).alias("r"))
+    hit = dealt_by_element(sets).join(small_side(q.select("qid", "k", "set_id")), "set_id").groupBy("qid", "elem").agg(F.count(F.lit(1)).alias("c"), F.max("k").alias("k")).filter("c = k").groupBy("qid").agg(F.count(F.lit(1)).alias("r"))
     return sizes.join(hit, "qid", "left").select("qid", "k", "n1", "n2", "nk", F.coalesce("r", F.lit(0)).alias("r"))
 
 

@@ -9,7 +9,7 @@ from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
 from wordset.operators import scan
-from wordset.operators.groups import Index, group_by_prefix, hashed, ordered, query_sets, set_stats
+from wordset.operators.groups import Index, group_by_prefix, hashed, ordered, pruned, query_sets, set_stats
 
 
 def build(sets: DataFrame, cfg: Cfg, t: str | None = None, bag: bool = False, keep: bool = False) -> Index:
@@ -33,8 +33,9 @@ def intersect_pairs(sets: DataFrame, queries: DataFrame, cfg: Cfg, mode: str = "
     ``same_size``: groups of equal size, one of the smaller set facing several of the larger.
 
     Members are grouped for the query from the hashed rows; the pair's own exponent comes from its sizes."""
+    sets = pruned(sets, queries)
     if mode == "same_size":
-        return scan.intersect_by_bits(build(sets, cfg), queries)
+        return scan.intersect_by_bits(build(sets, cfg, keep=True), queries)
     if mode != "same_count":
         raise ValueError("mode must be same_count or same_size")
     q = query_sets(queries, set_stats(sets))

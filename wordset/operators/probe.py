@@ -11,13 +11,14 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing
-from wordset.operators.groups import longest, query_sets, set_stats
+from wordset.operators.groups import longest, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
 
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, how: str = "join") -> DataFrame:
     """``qid, elem``. ``join``: members meet on (prefix, place), both sides dealt alike; ``broadcast``: the small side goes to
     every task behind a check of its size, so that the large sets are never shuffled."""
+    sets = pruned(sets, queries)
     sizes = set_stats(sets)
     q = query_sets(queries, sizes)
     q = q.join(q.filter("rank = 1").select("qid", F.expr(hashing.bits_of_sql("n")).cast("int").alias("t")), "qid")

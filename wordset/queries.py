@@ -13,7 +13,6 @@ from wordset.functions.store import written
 from wordset.operators import baselines, blocks, fixed, measures, prefix, probe, scan
 from wordset.operators import groups as G
 from wordset.plans import api, planner, workloads
-from wordset.plans.sizing import small_side
 from wordset.sources import families as fam
 from wordset.sources.tables import load
 
@@ -151,7 +150,7 @@ def m2_same_size(spark, d):
 def _m2(names, **how):
     def run(spark, d):
         s = fam.supp_orders(spark, d)
-        return scan.intersect_by_bits(prefix.build(s, CFG), frames(s, names), **how)
+        return scan.intersect_by_bits(prefix.build(G.pruned(s, q := frames(s, names)), CFG, keep=True), q, **how)
 
     return run
 
@@ -164,8 +163,8 @@ query("m2_forward", inter_sql("F1", TRIPLES))(_m2(TRIPLES, finest=False))
 
 @query("m2_terms", inter_sql("F5", TERMS3))
 def m2_terms(spark, d):
-    s = fam.term_docs(spark, d).filter(F.col("set_id").isin(sorted({t for q in TERMS3 for t in q})))
-    return scan.intersect_by_bits(prefix.build(s, CFG), frames(s, TERMS3))
+    q = named_queries(spark, TERMS3)
+    return scan.intersect_by_bits(prefix.build(G.pruned(fam.term_docs(spark, d), q), CFG, keep=True), q)
 
 
 @query("m2_multires", _two)
@@ -188,7 +187,7 @@ def m2_multires_same_count(spark, d):
 def _m3(names, m, family=fam.supp_orders, cfg=CFG):
     def run(spark, d):
         s = family(spark, d)
-        return scan.intersect(G.build(s, cfg.with_(m=m)), frames(s, names))
+        return scan.intersect(G.build(G.pruned(s, q := frames(s, names)), cfg.with_(m=m), keep=True), q)
 
     return run
 
@@ -290,7 +289,7 @@ def legs_sql(names) -> str:
 
 def _f1_index(spark, d, m=4):
     s = fam.supp_orders(spark, d)
-    return s, G.build(s, CFG.with_(m=m))
+    return s, G.build(s, CFG.with_(m=m), keep=True)
 
 
 @query("m2_groups", f"with {e_sql(m=1)}, {grp_sql(1)} select set_id, t, z, n, img_1 from grp")
@@ -436,7 +435,7 @@ query("w3_ratio", ctl_sql(workloads.ratio_points(15_000)))(_sweep(workloads.rati
 @query("w4_keywords", " union all ".join(f"select {k}::bigint as k, count(*) as r from ({inter_sql('F1', suppliers(k))})" for k in (2, 3, 4)))
 def w4_keywords(spark, d):
     s = fam.supp_orders(spark, d)
-    ix = G.build(s, CFG.with_(m=2), keep=True)
+    ix = G.build(G.pruned(s, frames(s, suppliers(2) + suppliers(4))), CFG.with_(m=2), keep=True)
     out = [scan.intersect(ix, frames(s, suppliers(k))).agg(F.count(F.lit(1)).alias("r")).select(F.lit(k).cast("long").alias("k"), "r") for k in (2, 3, 4)]
     return out[0].unionByName(out[1]).unionByName(out[2])
 
@@ -454,9 +453,7 @@ res as (select qid, k, n1, n2, nk, coalesce(r, 0) as r from sz left join hit usi
 
 
 def _results_frame(spark, d):
-    q = workloads.term_queries(spark, d)
-    names = q.select(F.explode("set_ids").alias("set_id")).distinct()
-    return measures.results(fam.term_docs(spark, d).join(small_side(names), "set_id", "left_semi"), q)
+    return measures.results(fam.term_docs(spark, d), written(workloads.term_queries(spark, d), "term-queries"))
 
 
 @query("batch_terms", _results + " select qid, k::bigint as k, n1, nk, r from res")
@@ -468,9 +465,7 @@ def batch_terms(spark, d):
 def batch_terms_scan(spark, d):
     """The term workload as one batch through the image scan."""
     q = written(workloads.term_queries(spark, d), "term-queries")
-    names = q.select(F.explode("set_ids").alias("set_id")).distinct()
-    sets = written(fam.term_docs(spark, d).join(small_side(names), "set_id", "left_semi"), "term-sets")
-    return scan.intersect(G.build(sets, CFG.with_(m=2), keep=True), q).groupBy("qid").agg(F.count(F.lit(1)).alias("r"))
+    return scan.intersect(G.build(G.pruned(fam.term_docs(spark, d), q), CFG.with_(m=2), keep=True), q).groupBy("qid").agg(F.count(F.lit(1)).alias("r"))
 
 
 @query("query_profile", _results + " select k::bigint as k, count(*) as queries, round(avg(n1 / n2), 6) as n1_n2, round(avg(n1 / nk), 6) as n1_nk, round(avg(r / n1), 6) as r_n1, round(avg((r = 0)::int), 6) as empty from res group by k")
@@ -486,7 +481,8 @@ def selectivity_profile(spark, d):
 @query("auto_plan", inter_sql("F42", _small_big + [["AF", "NF"]]))
 def auto_plan(spark, d):
     s = fam.part_orders(spark, d).unionByName(fam.flag_orders(spark, d))
-    return api.intersect_batch(api.build_index(s, CFG.with_(m=2)), frames(s, _small_big + [["AF", "NF"]]), "auto")
+    q = frames(s, _small_big + [["AF", "NF"]])
+    return api.intersect_batch(api.build_index(G.pruned(s, q), CFG.with_(m=2), keep=True), q, "auto")
 
 
 @query("plan_methods", f"""with sets as ({F_SQL['F42']}), st as (select set_id, count(*) as n, min(elem) as inf, max(elem) as sup from sets group by set_id), q as (select * from {q_sql(_small_big + [['AF', 'NF']])}),
@@ -511,7 +507,8 @@ def bag_sql(names) -> str:
 def _bag(names, method):
     def run(spark, d):
         s = fam.event_users(spark, d)
-        return api.intersect_batch(api.build_index(s, CFG.with_(m=2), bag=True), frames(s, names), method)
+        q = frames(s, names)
+        return api.intersect_batch(api.build_index(G.pruned(s, q), CFG.with_(m=2), bag=True, keep=True), q, method)
 
     return run
 
@@ -536,7 +533,7 @@ VECS = [["0", "1"], ["2", "3"]]
 @query("disjoint_labels", f"select qid, true as disjoint from (values (0::bigint), (1::bigint)) q(qid) where not exists (select 1 from ({inter_sql('F11', VECS)}) x where x.qid = q.qid)")
 def disjoint_labels(spark, d):
     s = fam.label_vecs(spark, d)
-    return api.is_disjoint(api.build_index(s, CFG.with_(m=1)), frames(s, VECS))
+    return api.is_disjoint(api.build_index(s, CFG.with_(m=1), keep=True), frames(s, VECS))
 
 
 PAGES = [["the", "of"], ["the", "and", "of"]]
@@ -544,8 +541,8 @@ PAGES = [["the", "of"], ["the", "and", "of"]]
 
 @query("page_search", inter_sql("F7", PAGES))
 def page_search(spark, d):
-    s = fam.page_terms(spark, d).filter(F.col("set_id").isin("the", "of", "and"))
-    return scan.intersect(G.build(s, CFG.with_(m=2)), frames(s, PAGES))
+    q = named_queries(spark, PAGES)
+    return scan.intersect(G.build(G.pruned(fam.page_terms(spark, d), q), CFG.with_(m=2), keep=True), q)
 
 
 @query("pair_support", f"with s as ({F_SQL['F1']}) select a.set_id as a, b.set_id as b, count(*) as support from s a join s b on a.elem = b.elem and a.set_id < b.set_id group by a.set_id, b.set_id")
