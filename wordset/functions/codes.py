@@ -10,8 +10,8 @@ class BitWriter:
         self.parts: list[str] = []
 
     def unary(self, n: int) -> None:
-        """n zeros and a one."""
-        self.parts.append("0" * n + "1")
+        """A zero and n ones: 011 is 2."""
+        self.parts.append("0" + "1" * n)
 
     def fixed(self, x: int, width: int) -> None:
         if width:
@@ -38,6 +38,12 @@ class BitReader:
         self.at = 0
 
     def unary(self) -> int:
+        end = self.bits.find("0", self.at + 1)
+        end = len(self.bits) if end < 0 else end
+        n, self.at = end - self.at - 1, end
+        return n
+
+    def _zeros(self) -> int:
         one = self.bits.index("1", self.at)
         n, self.at = one - self.at, one + 1
         return n
@@ -50,7 +56,7 @@ class BitReader:
         return x
 
     def gamma(self) -> int:
-        return self._rest(self.unary())
+        return self._rest(self._zeros())
 
     def delta(self) -> int:
         return self._rest(self.gamma() - 1)

@@ -25,9 +25,10 @@ COUNTERS = ("pairs_met", "pairs_passed", "pairs_hit", "elems_fetched", "comparis
 
 
 def build_blocks(sets: DataFrame, cfg: Cfg, coarse_bits: int = 2, m: int | None = None, codec: str = "plain") -> DataFrame:
-    """``set_id, c, t, zs, ns, imgs, g, elem`` (arrays in the order of g), or with the members as ``payload``.
+    """``set_id, c, t, zs, ns, imgs, g, elem`` (arrays in the order of g); coded: ``set_id, c, t, z0, head, imgs, payload``.
 
-    A set gets no fewer than 2^coarse_bits groups."""
+    ``head`` holds the sizes of all groups from prefix z0 on in unary, so prefixes needn't be stored, and images are those of
+    non-empty groups. A set gets no fewer than 2^coarse_bits groups."""
     if codec not in CODECS:
         raise ValueError(f"codec must be one of {CODECS}")
     m = cfg.m if m is None else m
@@ -44,13 +45,15 @@ def build_blocks(sets: DataFrame, cfg: Cfg, coarse_bits: int = 2, m: int | None
     out = rows.select("set_id", "c", "t", get("z").alias("zs"), get("n").alias("ns"), F.flatten(get("imgs")).alias("imgs"), F.transform(flat, lambda x: x["g"]).alias("g"), F.transform(flat, lambda x: x["elem"]).alias("elem"))
     if codec == "plain":
         return out
-    return out.mapInArrow(on_worker(__name__, "encode_blocks", cfg, codec), "set_id string, c long, t int, zs array<long>, ns array<int>, imgs array<long>, payload binary")
+    return out.mapInArrow(on_worker(__name__, "encode_blocks", cfg, codec), "set_id string, c long, t int, z0 long, head binary, imgs array<long>, payload binary")
 
 
 def encode_blocks(batches, cfg: Cfg, codec: str):
     for b in batches:
-        out = []
-        for t, ns, g in zip(b["t"].to_pylist(), b["ns"].to_pylist(), b["g"].to_pylist(), strict=True):
+        out, heads, firsts = [], [], []
+        for t, zs, ns, g in zip(b["t"].to_pylist(), b["zs"].to_pylist(), b["ns"].to_pylist(), b["g"].to_pylist(), strict=True):
+            heads.append(encode_sizes(zs, ns))
+            firsts.append(zs[0])
             width = cfg.universe_bits - t
             low = np.array(g, np.int64).view(np.uint64) & np.uint64((1 << width) - 1)
             if codec == "lowbits":
@@ -65,7 +68,30 @@ def encode_blocks(batches, cfg: Cfg, codec: str):
                     last = v
                 at += n
             out.append(w.done()[0])
-        yield pa.RecordBatch.from_arrays([*(b[c] for c in ("set_id", "c", "t", "zs", "ns", "imgs")), pa.array(out, pa.binary())], ["set_id", "c", "t", "zs", "ns", "imgs", "payload"])
+        columns = [b["set_id"], b["c"], b["t"], pa.array(firsts, pa.int64()), pa.array(heads, pa.binary()), b["imgs"], pa.array(out, pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, ["set_id", "c", "t", "z0", "head", "imgs", "payload"])
+
+
+def encode_sizes(zs: list[int], ns: list[int]) -> bytes:
+    """Sizes of the groups from the first prefix to the last, empty ones too, in unary."""
+    w, at = codes.BitWriter(), zs[0]
+    for z, n in zip(zs, ns, strict=True):
+        for _ in range(z - at):
+            w.unary(0)
+        w.unary(n)
+        at = z + 1
+    return w.done()[0]
+
+
+def decode_sizes(head: bytes, z0: int, groups: int) -> tuple[list[int], list[int]]:
+    """Prefixes and sizes of the ``groups`` non-empty groups."""
+    r, z, zs, ns = codes.BitReader(head), z0, [], []
+    while len(zs) < groups:
+        if n := r.unary():
+            zs.append(z)
+            ns.append(n)
+        z += 1
+    return zs, ns
 
 
 def decode_members(payload: bytes, t: int, zs, ns, cfg: Cfg, codec: str) -> np.ndarray:
@@ -100,8 +126,8 @@ def run_kernel(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str, coars
     m = cfg.m if m is None else m
     sets = pruned(sets, queries)
     blocks = build_blocks(sets, cfg, coarse_bits, m, codec)
-    members = ["g", "elem"] if codec == "plain" else ["payload"]
-    met = _met(blocks, queries, set_stats(sets), ["t", "zs", "ns", "imgs", *members])
+    members = ["zs", "ns", "g", "elem"] if codec == "plain" else ["z0", "head", "payload"]
+    met = _met(blocks, queries, set_stats(sets), ["t", "imgs", *members])
     schema = "qid long, elems array<long>, " + ", ".join(f"{c} long" for c in COUNTERS)
     return met.mapInArrow(on_worker(__name__, "kernel_batches", cfg, method, m, codec), schema)
 
@@ -113,6 +139,8 @@ def kernel_batches(batches, cfg: Cfg, method: str, m: int, codec: str):
         for qid, bs in zip(b["qid"].to_pylist(), b["bs"].to_pylist(), strict=True):
             held = []
             for x in bs:
+                if codec != "plain":
+                    x["zs"], x["ns"] = decode_sizes(x["head"], x["z0"], len(x["imgs"]) // m)
                 g = np.array(x["g"], np.int64).view(np.uint64) if codec == "plain" else decode_members(x["payload"], x["t"], x["zs"], x["ns"], cfg, codec)
                 held.append(kernels.Block(x["t"], np.array(x["zs"], np.int64).view(np.uint64), np.array(x["ns"], np.int64), np.array(x["imgs"], np.int64).view(np.uint64).reshape(-1, m), g))
             common, count = run(held, cfg)

@@ -556,3 +556,50 @@ def pair_support(spark, d):
 def boolean_sets(spark, d):
     s = fam.doc_attrs(spark, d)
     return api.evaluate(s, ("not", ("and", "lang=en", ("or", "source=src0", "source=src1")), "toxic=1"))
+
+
+# ---- trade-offs and levels of fixed runs, bounds for probing
+
+GRID = [(4, 16), (8, 8), (16, 4), (16, 16)]
+_grid = " union all ".join(
+    f"""select {s1}::bigint as s1, {s2}::bigint as s2, count(*) as pairs from (select a.qid, x.p, y.p from legs a join legs b on a.qid = b.qid and a.rank = 1 and b.rank = 2
+ join (select set_id, (i // {s1}) as p, min(elem) as inf, max(elem) as sup from run group by all) x on x.set_id = a.set_id join (select set_id, (i // {s2}) as p, min(elem) as inf, max(elem) as sup from run group by all) y on y.set_id = b.set_id where x.inf <= y.sup and y.inf <= x.sup)"""
+    for s1, s2 in GRID
+)
+
+
+@query("m1_sizes_grid", f"with {e_sql(m=1)}, run as (select set_id, elem, row_number() over (partition by set_id order by elem) - 1 as i from e), {legs_sql(PAIRS)} {_grid}")
+def m1_sizes_grid(spark, d):
+    """Pairs of runs met for several pairs of sizes."""
+    s = fam.supp_orders(spark, d)
+    s = G.pruned(s, q := frames(s, PAIRS))
+    out = None
+    for s1, s2 in GRID:
+        one = fixed.overlaps(fixed.query_groups(s, q, CFG, (s1, s2))).agg(F.count(F.lit(1)).alias("pairs")).select(F.lit(s1).cast("long").alias("s1"), F.lit(s2).cast("long").alias("s2"), "pairs")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("m1_levels", " union all ".join(f"select {lv}::bigint as level, set_id, (i // {1 << lv}) as p, min(elem) as inf, max(elem) as sup, count(*) as n, bit_or({_bit63.format(y='y_1')}) as img_1 from (select set_id, elem, y_1, row_number() over (partition by set_id order by elem) - 1 as i from (with {e_sql('F4', 1)} select * from e)) group by set_id, i // {1 << lv}" for lv in range(5)))
+def m1_levels(spark, d):
+    g = fixed.build_levels(fam.part_orders(spark, d), CFG, 16)
+    return g.select(F.col("level").cast("long").alias("level"), "set_id", "p", "inf", "sup", F.col("n").cast("long").alias("n"), "img_1")
+
+
+@query("m4_bounds", f"with {e_sql(m=1)}, b as (select set_id, z, count(*) as n from e group by set_id, z) select set_id, z, (sum(n) over w - n)::bigint as \"left\", (sum(n) over w - 1)::bigint as \"right\" from b window w as (partition by set_id order by z)")
+def m4_bounds(spark, d):
+    return probe.bounds(fam.supp_orders(spark, d), CFG, hashing.t_scan_sql("n", CFG))
+
+
+@query("work_counters")
+def work_counters(spark, d):
+    """What each kernel does at each point of the sweep of equal sets."""
+    return workloads.work_sweep(spark, d, workloads.equal_points(15_000), CFG, ("merge", "scan", "svs"))
+
+
+@query("term_filter_rate")
+def term_filter_rate(spark, d):
+    """Filtering on two-term queries of the term workload."""
+    q = written(workloads.term_queries(spark, d, (2,)), "term-queries").select("qid", "set_ids")
+    s = G.pruned(fam.term_docs(spark, d), q)
+    return measures.filter_rate(G.build(s, CFG, keep=True), q, 4)
