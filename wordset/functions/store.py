@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 _own: dict[str, str] = {}
+_seen: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -23,7 +26,13 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/wordset/{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex[:12]}"
+    top = f"{shared_dir(spark)}/wordset/{spark.sparkContext.applicationId}"
+    if top not in _seen:
+        _seen.add(top)
+        local = top.removeprefix("file://")
+        if spark.sparkContext.master.split("[")[0] == "local" and local.startswith("/"):  # nobody else reads these tables
+            atexit.register(shutil.rmtree, local, ignore_errors=True)
+    return f"{top}/{name}-{uuid.uuid4().hex[:12]}"
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
