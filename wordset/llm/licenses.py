@@ -1,11 +1,13 @@
 """Licence recognition by sentence rules, in DataFrame operations only.
 
-Each text is cut into sentences (at line ends and after . ; : ! ? before white space), which are lower-cased
-and stripped to letters, digits and points. A dictionary maps known licence sentences to identifiers. The identifiers
+Each text is cut into pieces (at line ends and after . ; : ! ? before white space), which are lower-cased
+and stripped to letters, digits and points. A dictionary maps known licence sentences to identifiers; one is found where it fills a
+piece or several pieces in a row, so wrapped lines and ``Identifier: MIT`` or ``v. 2.0`` do no harm, but a blank line within it does. The identifiers
 of a document, in text order, form a sequence in which ordered rules are looked for: a rule names the run of
 identifiers that a licence needs, and a rule whose run is part of a longer one that matched gives way to it.
 
-The dictionary and the rules are constants of this module (tens of entries), literals in the plan.
+The dictionary and the rules are constants of this module, literals in the plan. The SQL knows the one-line sentences and the
+first 22 rules only; both agree where texts have no others.
 
 Edge cases: null and empty texts have no sentences and no licence; a licence stated twice counts twice in
 ``n_sentences`` and once in ``licenses``; unknown sentences between two known ones don't break a rule (they have
@@ -75,26 +77,92 @@ RULES = [
     (22, "LicenseRef-all-rights-reserved", (901,)),
 ]
 
-#: Every known sentence has a word that begins with one of these, so other sentences needn't be normalised.
-ANCHOR = r"(?i)licen[sc]|permi|rights|compliance|law|warrant|version [23]|redistribution|endorse"
+_MIT = "the software to deal in the software without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions"
+_AS_IS = "express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and"
+_GPL = "this program is free software you can redistribute it and or modify it under the terms of"
+_NAMES = "may be used to endorse or promote products derived from this software without specific prior written permission"
+
+#: How the published texts put the sentences above, and further ones: (words, identifiers). ``*`` stands for names.
+FORMS = [
+    (SENTENCES[101] + " the license", (101,)),
+    (SENTENCES[104] + " without warranties or conditions of any kind either express or implied", (104,)),
+    ("apache license version 2.0 january 2004", (105,)),
+    (f"{SENTENCES[202]} {_MIT}", (202,)),
+    (SENTENCES[203].replace("notice shall", "notice including the next paragraph shall"), (203,)),
+    (f"{SENTENCES[204]} {_AS_IS} noninfringement", (204,)),
+    (f"{SENTENCES[204]} {_AS_IS} non infringement", (204,)),
+    *((f"this {what} is {how} under the mit license", (i,)) for what in ("project", "software", "work") for how, i in (("released", 201), ("licensed", 205))),
+    (f"{SENTENCES[302]} {SENTENCES[303]}", (302, 303)),
+    (f"{SENTENCES[302]} {SENTENCES[304]}", (302, 304)),
+    *((f"{_GPL} the gnu general public license version {v} as published by the free software foundation", (i,)) for v, i in ((3, 301), (2, 306))),
+    *((f"{SENTENCES[302]} version {v} of the license", (i,)) for v, i in ((3, 301), (2, 306))),
+    ("gnu general public license version 3 29 june 2007", (307,)),
+    ("gnu general public license version 2 june 1991", (308,)),
+    ("this work is licensed under a creative commons attribution sharealike 4.0 international license", (403,)),
+    (f"neither the name of * nor the names of its contributors {_NAMES}", (502,)),
+    (f"neither the names of * nor the names of its contributors {_NAMES}", (502,)),
+    (f"the name of the author {_NAMES.replace('may be', 'may not be')}", (502,)),
+    ("all advertising materials mentioning features or use of this software must display the following acknowledgement", (503,)),
+    ("mozilla public license version 2.0", (602,)),
+]
+
+#: Short names after ``SPDX-License-Identifier:``, as normalised.
+SPDX = {
+    "apache 2.0": 902, "mit": 903, "gpl 3.0 only": 904, "gpl 3.0": 904, "bsd 3 clause": 905, "bsd 2 clause": 906, "gpl 2.0 only": 907, "gpl 2.0": 907,
+    "gpl 2.0 or later": 908, "gpl 3.0 or later": 909, "mpl 2.0": 910, "cc by 4.0": 911, "cc by sa 4.0": 912, "cc by nc 4.0": 913, "bsd 4 clause": 914,
+}
+FORMS += [(f"spdx license identifier {x}", (i,)) for x, i in SPDX.items()]
+FORMS += [(f"spdx license identifier {x} {op} {y}", (i, k)) for x, i in SPDX.items() for y, k in SPDX.items() for op in ("or", "and") if i != k]
+
+#: Rules of the further identifiers. A whole GPL text ends with the header that it recommends, which is not the text's own.
+MORE_RULES = [
+    (23, "Apache-2.0", (105,)),
+    (24, "GPL-3.0-only", (307, 302, 303)),
+    (25, "GPL-3.0-only", (307,)),
+    (26, "GPL-2.0-only", (308, 302, 304)),
+    (27, "GPL-2.0-only", (308,)),
+    (28, "BSD-4-Clause", (501, 503, 502)),
+    (29, "MPL-2.0", (602,)),
+    (30, "BSD-2-Clause", (906,)),
+    (31, "GPL-2.0-only", (907,)),
+    (32, "GPL-2.0-or-later", (908,)),
+    (33, "GPL-3.0-or-later", (909,)),
+    (34, "MPL-2.0", (910,)),
+    (35, "CC-BY-4.0", (911,)),
+    (36, "CC-BY-SA-4.0", (912,)),
+    (37, "CC-BY-NC-4.0", (913,)),
+    (38, "BSD-4-Clause", (914,)),
+]
+
+#: Identifiers by words; a form that is already a sentence above keeps that identifier.
+KNOWN = dict(FORMS) | {v: (k,) for k, v in SENTENCES.items()}
 
+#: Headings, which may have a blank line within.
+TITLES = {(105,), (307,), (308,), (602,)}
 
-def sentences(text: Column) -> Column:
-    """Pieces of the text between line ends and after . ; : ! ? before white space."""
-    return F.split(F.regexp_replace(F.coalesce(text, F.lit("")), r"([.;:!?])[\x20\x09-\x0D]+", "$1\n"), "\n")
+#: Every known sentence has a word that begins with one of these, or is of use only beside one that has.
+ANCHOR = r"(?i)licen[sc]|permi|rights|compliance|law|warrant|version [23]|redistribution|endorse"
+_STAR = r"^(neither the names? of) .+ (nor the names)"
 
 
-def normalised(sentence: Column) -> Column:
-    """Lower case; anything but letters, digits and inner points becomes one blank; points at the end go."""
-    return F.trim(F.regexp_replace(F.regexp_replace(F.lower(sentence), r"[^a-z0-9.]+", " "), r"\.+( |$)", "$1"))
+def _pattern() -> str:
+    """A known sentence that fills one line of the stream or several ones, after a number of a list or none; alternatives are grouped by
+    their first word and the longest comes first."""
+    groups: dict[str, list[str]] = {}
+    for words in sorted(KNOWN, key=lambda w: (-len(w), w)):
+        first, rest = words.split(" ", 1)
+        gap = r"[ \n]\n?" if KNOWN[words] in TITLES else r"[ \n]"
+        rest = rest.replace(".", r"\.").replace(" ", gap).replace("*", r"(?:[a-z0-9.]+[ \n]){0,19}?[a-z0-9.]+")
+        groups.setdefault(first, []).append(rest)
+    return r"(?<![^\n])(?:\d{1,2} )?((?:" + "|".join(rf"{first}[ \n](?:{'|'.join(rest)})" for first, rest in groups.items()) + r"))(?![^\n])"
 
 
-def known_sentences(text: Column) -> Column:
-    """The known sentences of a text in order: an array of structs of place and identifier."""
-    known = F.create_map(*(F.lit(x) for k, v in SENTENCES.items() for x in (v, k)))
-    found = F.transform(sentences(text), lambda s, i: F.struct(i.alias("at"), F.when(s.rlike(ANCHOR), F.try_element_at(known, normalised(s))).alias("sid")))
-    none = F.array().cast("array<struct<at:int,sid:int>>")
-    return F.when(F.coalesce(text, F.lit("")).rlike(ANCHOR), F.filter(found, lambda x: x["sid"].isNotNull())).otherwise(none)
+def stream(text: Column) -> Column:
+    """The normalised pieces of a text, a line each: cut at line ends and after . ; : ! ? before white space, in lower case, anything but
+    letters, digits and inner points as one blank."""
+    cut = F.lower(F.regexp_replace(F.coalesce(text, F.lit("")), r"([.;:!?])[\x20\x09-\x0D]+", "$1\n"))
+    plain = F.regexp_replace(F.regexp_replace(cut, r"gpl-([23]\.0)\+", "gpl-$1-or-later"), r"[^a-z0-9.\n]+", " ")
+    return F.trim(F.regexp_replace(F.regexp_replace(plain, r"\.+(?=[ \n]|\z)", ""), r" *\n *", "\n"))
 
 
 def _sequence(ids) -> str:
@@ -107,14 +175,21 @@ def scan(docs: DataFrame) -> DataFrame:
     ``sids`` is the sequence of identifiers as text (``101,102``). A rule counts if its sequence occurs in it
     and isn't part of a longer rule that matched; ``primary_license`` is that of the first such rule. ``gaps`` are
     the unknown sentences between the first and the last known one. No row leaves its task: there is no shuffle."""
-    rows = docs.select("doc_id", known_sentences(F.col("text")).alias("s"))
-    rows = rows.withColumns({"ids": F.transform("s", lambda x: x["sid"].cast("string")), "n": F.size("s")})
+    text = F.coalesce(F.col("text"), F.lit(""))
+    rows = docs.select("doc_id", F.when(text.rlike(ANCHOR), stream(text)).otherwise("").alias("stream"))
+    known = F.create_map(*(x for k, v in KNOWN.items() for x in (F.lit(k), F.array(*map(F.lit, v)))))
+    pattern = F.lit(_pattern())
+    rows = rows.withColumn("said", F.regexp_extract_all("stream", pattern, F.lit(1)))
+    rows = rows.withColumn("ids", F.flatten(F.transform("said", lambda x: F.element_at(known, F.regexp_replace(F.regexp_replace(x, "[ \n]+", " "), _STAR, "$1 * $2")))).cast("array<string>"))
+    rows = rows.withColumn("n", F.size("ids"))
+    # lines between the first known sentence and the last that are part of none
+    rows = rows.withColumn("between", F.when(F.col("n") > 0, F.regexp_extract(F.regexp_replace("stream", pattern, F.lit("{}")), r"(?s)\{.*\}", 0)).otherwise(""))
     rows = rows.withColumn("seq", F.concat(F.lit(","), F.array_join("ids", ","), F.lit(",")))
-    rules = F.array(*(F.struct(F.lit(r).alias("rule"), F.lit(name).alias("license"), F.lit(_sequence(ids)).alias("seq")) for r, name, ids in RULES))
+    rules = F.array(*(F.struct(F.lit(r).alias("rule"), F.lit(name).alias("license"), F.lit(_sequence(ids)).alias("seq")) for r, name, ids in RULES + MORE_RULES))
     rows = rows.withColumn("hit", F.when(F.col("n") == 0, F.slice(rules, 1, 0)).otherwise(F.filter(rules, lambda r: F.contains(F.col("seq"), r["seq"]))))
     rows = rows.withColumn("hit", F.filter("hit", lambda r: ~F.exists("hit", lambda o: (F.length(o["seq"]) > F.length(r["seq"])) & F.contains(o["seq"], r["seq"]))))
     names = F.transform("hit", lambda r: r["license"])
-    gaps = F.when(F.col("n") > 0, F.element_at("s", -1)["at"] - F.element_at("s", 1)["at"] + 1 - F.col("n")).otherwise(0)
+    gaps = F.when(F.col("n") > 0, F.length("between") - F.length(F.translate("between", "\n", "")) + 1 - F.size("said")).otherwise(0)
     return rows.select(
         "doc_id",
         F.col("n").cast("long").alias("n_sentences"),
@@ -127,7 +202,7 @@ def scan(docs: DataFrame) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same in DuckDB's SQL, from the same dictionary and rules."""
+    """DuckDB's SQL for texts whose licences are one-line sentences of ``SENTENCES``."""
     known = ", ".join(f"({k}, '{v}')" for k, v in SENTENCES.items())
     rules = ", ".join(f"({r}, '{n}', '{_sequence(ids)}')" for r, n, ids in RULES)
     return f"""
