@@ -3,8 +3,10 @@
 A page is read as a run of text nodes, each with its root-to-leaf tag path. Per path, text length and punctuation are
 summed over its nodes: long texts with many sentence marks are content, short ones without are not. The two
 ratios are smoothed along the page, so that a short paragraph between long ones gains and a lone caption loses, fused by
-multiplication, and paths above a share of the page's deviation are content. The innermost element that
-holds the content nodes is the article; all blocks in it are returned, but for parts that are marked as something else.
+multiplication, and paths above a share of the page's deviation are content. The innermost container that
+holds nearly all content is the article; all blocks in it are returned, but for parts that are marked as something else, and so are
+blocks outside it that are content by their own path's score, with the headings before them. Beside an ``article`` only other articles have such blocks, beside
+a ``main`` none.
 
 Marked parts (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) are known by
 element name, role, or a word of their class or id, and never take part.
@@ -47,6 +49,9 @@ MARKS = frozenset(
     header masthead footer sidebar aside widget widgets related recommended recommendations comment comments disqus reply replies respond discussion cookie cookies consent gdpr notice
     notices alert popup modal overlay newsletter subscribe subscription signup login share sharing social toolbar pagination pager copyright legal form search tags skip""".split()
 )
+#: Elements that can be an article's root; others are its paragraphs, lists, rows and words.
+CONTAINERS = frozenset("html body main article section div td center".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 STOPS = re.compile(r"[.,;:!?…]")
 #: Share of the standard deviation of fused scores that a content node reaches.
 LEVEL = 0.2
@@ -181,7 +186,8 @@ def extract(source: str | None) -> str:
     text_ratio = np.array([sum(n * length[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
     mark_ratio = np.array([sum(n * marks[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
     fused = _smooth(text_ratio) * (1 + _smooth(mark_ratio))
-    chosen = fused >= LEVEL * fused.std()
+    least = LEVEL * fused.std()
+    chosen = fused >= least
     weight = np.array([len(t) for t, _, _ in blocks]) * chosen
     # the innermost element that holds the content, where an article or main is never left for its parts
     inside: dict[int, int] = defaultdict(int)
@@ -189,7 +195,7 @@ def extract(source: str | None) -> str:
         for k in at:
             inside[k] += w
     total = int(weight.sum())
-    root = max((k for k, w in inside.items() if 10 * w >= 9 * total), default=0)
+    root = max((k for k, w in inside.items() if 10 * w >= 9 * total and page.names[k - 1] in CONTAINERS), default=0)
     for k, w in inside.items():
         if page.names[k - 1] in ("article", "main") and 2 * w > total and (root == 0 or page.names[root - 1] not in ("article", "main")):
             root = k
@@ -198,7 +204,17 @@ def extract(source: str | None) -> str:
         if page.names[k - 1] in ("article", "main"):
             root = k
             break
-    return "\n\n".join(t for t, at, _ in blocks if not root or root in at)
+    if not root:
+        return "\n\n".join(t for t, _, _ in blocks)
+    keep = [root in at for _, at, _ in blocks]
+    names = [{page.names[k - 1] for k in at} for _, at, _ in blocks]
+    if page.names[root - 1] != "main":
+        free = [page.names[root - 1] != "article" or "article" in n for n in names]
+        content = chosen & (text_ratio * (1 + mark_ratio) >= least)  # by its neighbours and by itself
+        keep = [k or f and bool(c) for k, f, c in zip(keep, free, content, strict=True)]
+        for i in range(len(blocks) - 2, -1, -1):
+            keep[i] = keep[i] or keep[i + 1] and free[i] and not names[i].isdisjoint(HEADINGS)
+    return "\n\n".join(t for (t, _, _), k in zip(blocks, keep, strict=True) if k)
 
 
 def _smooth(x: np.ndarray) -> np.ndarray:
