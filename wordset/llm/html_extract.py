@@ -9,10 +9,11 @@ blocks outside it that are content by their own path's score, with the headings
 a ``main`` none.
 
 Marked parts (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) are known by
-element name, role, or a word of their class or id, and never take part.
+element name, role, or a word of their class or id, and never take part. A word marks by its place in a class or id (``sidebar``, ``post-footer``, not
+``has-sidebar``), never what contains the article, and weak words give way to scores like the article's.
 
 Edge cases: null and empty pages have an empty text; unclosed and crossed tags are closed as browsers do for blocks;
-text outside any element counts; a page whose text is all in marked parts has an empty text; repeated rows are
+text outside any element counts; a page whose text is all in parts marked by name or role has an empty text; repeated rows are
 answered each.
 """
 
@@ -35,7 +36,9 @@ TOKEN = re.compile(
 )
 ATTR = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))")
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style textarea title noscript template svg math iframe object noframes canvas audio video".split())
+RAW = frozenset("script style textarea title noscript template iframe object noframes canvas audio video annotation annotation-xml".split())
+#: Elements of formulas and drawings whose texts are words of their own.
+PIECES = frozenset("mi mn mo ms mtext text tspan desc".split())
 BLOCK = frozenset(
     "address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html li main menu nav ol option p pre section select summary table tbody td tfoot th thead tr ul".split()
 )
@@ -43,35 +46,62 @@ CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td
 SCOPE = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}, "option": {"select"}}
 MARKED = frozenset("nav header footer aside form button select menu dialog head label fieldset".split())
 MARKED_ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar".split())
-#: Words of a class or id that mark a part as something other than the article.
-MARKS = frozenset(
-    """ad ads advert adverts advertisement advertising banner sponsor sponsored promo promoted promotion nav navbar navigation menu submenu breadcrumb breadcrumbs
-    header masthead footer sidebar aside widget widgets related recommended recommendations comment comments disqus reply replies respond discussion cookie cookies consent gdpr notice
-    notices alert popup modal overlay newsletter subscribe subscription signup login share sharing social toolbar pagination pager copyright legal form search tags skip""".split()
+#: Words of a class or id that mark a part as something other than the article, as the whole token, its first or its last part.
+STRONG = frozenset(
+    """ad ads advert adverts advertisement advertising sponsor sponsored promo promoted nav navbar submenu breadcrumb breadcrumbs masthead widget widgets disqus
+    cookie cookies gdpr popup newsletter signup login sharing toolbar pagination pager""".split()
 )
+#: Words that mark as the whole token or its last part, or before a mere number or place.
+WEAK = frozenset(
+    """banner promotion navigation menu header footer sidebar aside related recommended recommendations discussion consent notice notices alert modal overlay subscribe subscription
+    share social copyright legal form search tags skip comment comments reply replies respond""".split()
+)
+#: Weak words of texts by readers, which read like an article.
+READERS = frozenset("comment comments reply replies respond discussion".split())
+#: Parts after which a word tells what an element has, not what it is, and parts that only place or count it.
+HAS = frozenset("has have with no not without show hide under inner".split())
+PLACE = re.compile(r"\d+|left|right|top|bottom|main|primary|secondary|list|area|box|wrapper|wrap|container|block|section|widget|bar|links|buttons|item|items|inner|outer|content")
+ANCHORED = frozenset("section h1 h2 h3 h4 h5 h6".split())
 #: Elements that can be an article's root; others are its paragraphs, lists, rows and words.
 CONTAINERS = frozenset("html body main article section div td center".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 STOPS = re.compile(r"[.,;:!?…]")
 #: Share of the standard deviation of fused scores that a content node reaches.
 LEVEL = 0.2
+#: Share of the article's mean score from which a weak word other than readers' is overruled.
+OVERRULE = 0.5
+#: Of the ways in which an element is marked: not at all, by weak words, by readers' words, beyond doubt.
+NOT, BY_WORD, BY_READERS, SURELY = range(4)
+
+
+def _by_word(token: str) -> int:
+    parts = [w.lower() for w in re.split(r"[-_]+|(?<=[a-z])(?=[A-Z])", token) if w]
+    if not parts or not HAS.isdisjoint(parts):
+        return NOT
+    ends = {parts[0], parts[-1]}
+    if not STRONG.isdisjoint(ends):
+        return BY_READERS
+    while len(parts) > 1 and PLACE.fullmatch(parts[-1]):
+        parts.pop()
+    return NOT if parts[-1] not in WEAK else BY_READERS if parts[-1] in READERS else BY_WORD
 
 
-def _is_marked(name: str, attrs: str) -> bool:
+def _is_marked(name: str, attrs: str) -> int:
     if name in MARKED:
-        return True
+        return SURELY
     if name in ("html", "body", "main", "article") or "=" not in attrs:
-        return "hidden" in attrs.split()
+        return SURELY if "hidden" in attrs.split() else NOT
+    found = NOT
     for key, *values in ATTR.findall(attrs):
         value = next(filter(None, values), "")
         key = key.lower()
         if key == "role" and value.lower() in MARKED_ROLES or key == "aria-hidden" and value.lower() == "true":
-            return True
-        if key in ("class", "id") and any(w.lower() in MARKS for part in value.split() for w in re.split(r"[-_\s]+|(?<=[a-z])(?=[A-Z])", part)):
-            return True
+            return SURELY
+        if key == "class" or key == "id" and name not in ANCHORED:
+            found = max([found, *map(_by_word, value.split())])
         if key == "style" and re.search(r"display\s*:\s*none", value, re.I):
-            return True
-    return "hidden" in attrs.split()
+            return SURELY
+    return SURELY if "hidden" in attrs.split() else found
 
 
 class _Page:
@@ -82,6 +112,8 @@ class _Page:
         self.stack: list[tuple[str, int]] = []  # name and number of each open element
         self.marked = 0  # depth of the outermost marked element, 0 if none
         self.names: list[str] = []
+        self.doubtful: dict[int, int] = {}  # elements marked by a word, and how
+        self.articles: list[set[int]] = []  # for each article and main: the doubtful elements it stands in
         self.text: list[str] = []
         self.nodes: list[tuple[str, int, int]] = []  # of the open block: path, length, marks
         self.at: tuple[int, ...] = ()
@@ -131,12 +163,21 @@ class _Page:
             if name == "br" and self.text:
                 self.text.append(" ")
             return
+        if attrs.rstrip().endswith("/") and any(n in ("svg", "math") for n, _ in self.stack):
+            return
         self.names.append(name)
         self.stack.append((name, len(self.names)))
-        if not self.marked and _is_marked(name, attrs):
-            self.marked = len(self.stack)
+        if not self.marked and (how := _is_marked(name, attrs)):
+            if how == SURELY:
+                self.marked = len(self.stack)
+            else:
+                self.doubtful[len(self.names)] = how
+        if not self.marked and name in ("article", "main"):
+            self.articles.append({k for _, k in self.stack if k in self.doubtful})
 
     def _close(self, name: str) -> None:
+        if name in PIECES and self.text:
+            self.text.append(" ")
         for depth in range(len(self.stack) - 1, -1, -1):
             if self.stack[depth][0] == name:
                 self._pop_to(depth)
@@ -171,20 +212,53 @@ def _find_end(source: str, name: str, at: int) -> int:
     return m.start() if m else -1
 
 
-def extract(source: str | None) -> str:
-    page = _Page(source or "")
-    blocks = page.blocks
-    if not blocks:
-        return ""
-    # ratios per path
+def _ratios(blocks) -> tuple[np.ndarray, np.ndarray]:
+    """Mean text and marks of a block's paths, by block."""
     length, marks, count = defaultdict(int), defaultdict(int), defaultdict(int)
     for _, _, nodes in blocks:
         for path, n, k in nodes:
             length[path] += n
             marks[path] += k
             count[path] += 1
-    text_ratio = np.array([sum(n * length[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
-    mark_ratio = np.array([sum(n * marks[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
+    text = np.array([sum(n * length[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
+    stops = np.array([sum(n * marks[p] / count[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
+    return text, stops
+
+
+def _unmarked(page: _Page) -> list:
+    """Blocks that aren't in parts marked by a word; a mark doesn't hold for what contains the article, and a weak one not for what
+    scores like the article."""
+    blocks, doubtful = page.blocks, dict(page.doubtful)
+    if not doubtful or not blocks:
+        return blocks
+    size: dict[int, int] = defaultdict(int)
+    for said, at, _ in blocks:
+        for k in at:
+            size[k] += len(said)
+    total = sum(len(said) for said, _, _ in blocks)
+    for k in page.doubtful:
+        if all(k in around for around in page.articles) if page.articles else 10 * size[k] >= 9 * total:
+            del doubtful[k]
+    plain = [doubtful.keys().isdisjoint(at) for _, at, _ in blocks]
+    if all(plain) or not any(plain):
+        return [b for b, p in zip(blocks, plain, strict=True) if p]
+    text, stops = _ratios(blocks)
+    score = text * (1 + stops)
+    weight = np.array([len(said) for said, _, _ in blocks])
+    mean = float(np.average(score[plain], weights=weight[plain]))
+    for k in [k for k, how in doubtful.items() if how == BY_WORD]:
+        within = [k in at for _, at, _ in blocks]
+        if any(within) and np.average(score[within], weights=weight[within]) >= OVERRULE * mean:
+            del doubtful[k]
+    return [b for b in blocks if doubtful.keys().isdisjoint(b[1])]
+
+
+def extract(source: str | None) -> str:
+    page = _Page(source or "")
+    blocks = _unmarked(page)
+    if not blocks:
+        return ""
+    text_ratio, mark_ratio = _ratios(blocks)
     fused = _smooth(text_ratio) * (1 + _smooth(mark_ratio))
     least = LEVEL * fused.std()
     chosen = fused >= least
