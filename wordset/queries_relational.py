@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing, words
+from wordset.functions.store import written
 from wordset.operators import baselines, fixed, prefix, scan
 from wordset.operators import groups as G
 from wordset.plans import api, sqlsurface
@@ -247,8 +248,14 @@ def topk_per_lang(spark, d):
 
 @query("global_sort", "select s_suppkey, row_number() over (order by s_acctbal desc, s_suppkey) as at from supplier")
 def global_sort(spark, d):
-    s = load(spark, d, "supplier").orderBy(F.col("s_acctbal").desc(), "s_suppkey").limit(1_000_000)  # a dimension table
-    return s.select("s_suppkey", F.row_number().over(Window.orderBy(F.col("s_acctbal").desc(), "s_suppkey")).cast("long").alias("at"))
+    """Ranks from sorted ranges: the place within the range after the counted rows of the ranges before it."""
+    order = F.col("s_acctbal").desc(), F.col("s_suppkey")
+    s = load(spark, d, "supplier").select("s_suppkey", "s_acctbal").repartitionByRange(*order)
+    s = written(s.withColumn("part", F.spark_partition_id()), "ranges")
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row per range
+    skip = s.groupBy("part").agg(F.count(F.lit(1)).alias("n")).select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("skip"))
+    ranked = s.withColumn("i", F.row_number().over(Window.partitionBy("part").orderBy(*order)))
+    return ranked.join(F.broadcast(skip), "part").select("s_suppkey", (F.col("i") + F.col("skip")).cast("long").alias("at"))
 
 
 @query("sorted_index")
