@@ -3,6 +3,8 @@
 from pyspark.sql import functions as F
 
 from wordset import queries, queries_relational  # noqa: F401
+from wordset.operators import kernels
+from wordset.plans import workloads
 
 
 def test_global_sort_ranks_more_than_a_million_suppliers(spark, tmp_path):
@@ -13,3 +15,16 @@ def test_global_sort_ranks_more_than_a_million_suppliers(spark, tmp_path):
     assert tuple(got) == (n, n, 1, n)
     first, last = (queries.QUERIES["global_sort"](spark, str(tmp_path)).filter(F.col("at") == at).first().s_suppkey for at in (1, n))
     assert (first, last) == (999, 1_000_000)
+
+
+def test_sweeps_take_their_points_from_the_table(spark, sf):
+    n = spark.read.parquet(f"{sf}/orders.parquet").count()
+    got = {r.qid: r.r for r in queries.QUERIES["w2_overlap_all"](spark, sf).collect()}
+    assert got == {j: r for j, (_, _, r) in enumerate(workloads.overlap_points(n))}
+
+
+def test_counters_of_every_kernel(spark, sf):
+    n = spark.read.parquet(f"{sf}/orders.parquet").count()
+    want = {(m, j, r) for m in kernels.METHODS for j, (_, _, r) in enumerate(workloads.equal_points(n)) if r}
+    got = {(x.method, x.qid, x.r) for x in queries.QUERIES["work_counters"](spark, sf).collect()}
+    assert len(kernels.METHODS) == 11 and want <= got

@@ -15,13 +15,26 @@ from wordset.sources.tables import load
 
 #: Queries per number of terms that the term workload keeps: the most frequent ones.
 TOP_QUERIES = 2000
+#: Cells of the scrambled keys, as a power of two.
+CELL_BITS = 12
+#: Members of a block that a sweep over the whole table keeps to, about.
+BLOCK = 1 << 13
+
+
+def coarse_bits(n_orders: int) -> int:
+    """Leading bits that cut half the keys into blocks of ``BLOCK`` members or fewer, about."""
+    return max(2, (n_orders // 2 // BLOCK).bit_length())
 
 
 def controlled(spark: SparkSession, d: str, points: list[tuple[int, int, int]]) -> tuple[DataFrame, DataFrame]:
     """Sets ``A0, B0, A1, B1, ...`` with sizes n1, n2 and r common members per point (n1, n2, r), and a query per point."""
     keys = load(spark, d, "orders").select("o_orderkey", F.expr(fam.SCRAMBLE.format(x="o_orderkey")).alias("s"))
     most = max(n1 + n2 - r for n1, n2, r in points)
-    ranked = keys.orderBy("s").limit(most).withColumn("i", F.row_number().over(Window.orderBy("s")))  # bounded by the largest point
+    # places from counted cells of the scrambled range, so that no task sorts all keys
+    keys = keys.withColumn("cell", F.shiftright("s", 32 - CELL_BITS).cast("int"))
+    before = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)  # 2^CELL_BITS rows
+    skip = keys.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).select("cell", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("skip"))
+    ranked = keys.withColumn("i", F.row_number().over(Window.partitionBy("cell").orderBy("s"))).join(F.broadcast(skip), "cell").withColumn("i", F.col("i") + F.col("skip")).filter(F.col("i") <= most)
     names = []
     for j, (n1, n2, r) in enumerate(points):
         names += [F.when(F.col("i") <= n1, F.lit(f"A{j}")), F.when((F.col("i") > n1 - r) & (F.col("i") <= n1 - r + n2), F.lit(f"B{j}"))]
@@ -93,12 +106,12 @@ def timed_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]],
     return measures.timings_frame(spark, rows)
 
 
-def work_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]], cfg: Cfg, methods: tuple[str, ...]) -> DataFrame:
+def work_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]], cfg: Cfg, methods: tuple[str, ...], **how) -> DataFrame:
     """``method, qid`` and the kernels' counters at every point: what each method does, free of the clock."""
     sets, queries = controlled(spark, d, points)
     out = None
     for m in methods:
-        one = blocks.counters(sets, queries, cfg, m).select(F.lit(m).alias("method"), "*")
+        one = blocks.counters(sets, queries, cfg, m, **how).select(F.lit(m).alias("method"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from wordset.config import Cfg
 from wordset.functions import hashing
 from wordset.functions.store import written
-from wordset.operators import baselines, blocks, fixed, measures, prefix, probe, scan
+from wordset.operators import baselines, blocks, fixed, kernels, measures, prefix, probe, scan
 from wordset.operators import groups as G
 from wordset.plans import api, planner, workloads
 from wordset.sources import families as fam
@@ -432,6 +432,34 @@ query("w2_overlap", ctl_sql(workloads.overlap_points(15_000)))(_sweep(workloads.
 query("w3_ratio", ctl_sql(workloads.ratio_points(15_000)))(_sweep(workloads.ratio_points, method="probe"))
 
 
+# the same sweeps over all orders, with points from the table's own count
+
+
+def ctl_all_sql(points: list[tuple[str, str, str]]) -> str:
+    """As ``ctl_sql``; a point is n1, n2 and r as expressions of the number of orders, n."""
+    scramble = fam.SCRAMBLE.format(x="o_orderkey")
+    pts = " union all ".join(f"select {j}::bigint as qid, {n1} as n1, {n2} as n2, {r} as r from c" for j, (n1, n2, r) in enumerate(points))
+    return f"""with k as (select o_orderkey, row_number() over (order by {scramble}) as i from orders), c as (select count(*) as n from orders), p as ({pts}),
+u as (select qid, 'A' as s, o_orderkey from p join k on i <= n1 union all select qid, 'B', o_orderkey from p join k on i > n1 - r and i <= n1 - r + n2)
+select qid, count(*) as r from (select qid, o_orderkey from u group by all having count(*) = 2) group by qid"""
+
+
+def _sweep_all(points_of, method="scan"):
+    def run(spark, d):
+        n = load(spark, d, "orders").count()
+        s, q = workloads.controlled(spark, d, points_of(n))
+        got = blocks.run_kernel(s, q, CFG, method, workloads.coarse_bits(n), m=2)
+        return got.groupBy("qid").agg(F.sum(F.size("elems")).alias("r")).filter("r > 0")
+
+    return run
+
+
+_equal = [f"({a} * n // {b})" for a, b in ((1, 30), (1, 15), (2, 15), (4, 15), (7, 15))]
+query("w1_equal_all", ctl_all_sql([(x, x, f"{x} // 100") for x in _equal]))(_sweep_all(workloads.equal_points))
+query("w2_overlap_all", ctl_all_sql([("n // 2", "n // 2", f"greatest(1, n // 2 * {p} // 10000)") for p in (0, 100, 1000, 3000, 5000, 7000, 9000, 10000)]))(_sweep_all(workloads.overlap_points))
+query("w3_ratio_all", ctl_all_sql([(f"greatest(1, n // 2 // {s})", "n // 2", f"greatest(1, n // 2 // {s} // 100)") for s in (1, 2, 4, 8, 16, 32, 64, 100, 200, 625)]))(_sweep_all(workloads.ratio_points, method="probe"))
+
+
 @query("w4_keywords", " union all ".join(f"select {k}::bigint as k, count(*) as r from ({inter_sql('F1', suppliers(k))})" for k in (2, 3, 4)))
 def w4_keywords(spark, d):
     s = fam.supp_orders(spark, d)
@@ -594,7 +622,8 @@ def m4_bounds(spark, d):
 @query("work_counters")
 def work_counters(spark, d):
     """What each kernel does at each point of the sweep of equal sets."""
-    return workloads.work_sweep(spark, d, workloads.equal_points(15_000), CFG, ("merge", "scan", "svs"))
+    n = load(spark, d, "orders").count()
+    return workloads.work_sweep(spark, d, workloads.equal_points(n), CFG, tuple(kernels.METHODS), coarse_bits=workloads.coarse_bits(n))
 
 
 @query("term_filter_rate")
