@@ -14,14 +14,16 @@ _seen: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session. Where that is unset: a temporary folder in local mode,
-    else a folder beside the warehouse, which is shared as well."""
+    """``spark.checkpoint.dir`` of the session. Where that is unset: a temporary folder in local mode; on a cluster an error, since
+    no other folder is known to be shared."""
     if base := spark.conf.get("spark.checkpoint.dir", None):
         return base
     app = spark.sparkContext.applicationId
     if app not in _own:
         local = spark.sparkContext.master.split("[")[0] == "local"
-        _own[app] = f"file://{tempfile.mkdtemp(prefix='wordset-')}" if local else f"{spark.conf.get('spark.sql.warehouse.dir')}/_wordset"
+        if not local:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        _own[app] = f"file://{tempfile.mkdtemp(prefix='wordset-')}"
     return _own[app]
 
 
@@ -56,3 +58,11 @@ def clean(spark: SparkSession) -> None:
     jvm = spark.sparkContext._jvm
     path = jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/wordset/{spark.sparkContext.applicationId}")
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """``name``, with as many underscores before it as make it unlike every column of ``df``, whatever the case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
