@@ -3,23 +3,26 @@
 Every document gets a 64-bit fingerprint of its word shingles. Documents whose fingerprints differ in at most
 three bits are linked, and each document learns the smallest doc_id it can reach.
 
-Which fingerprints meet: of four 16-bit blocks one is equal in a linked pair, and of the four 12-bit parts of
-the other 48 bits again one. So each distinct fingerprint goes under 16 keys of 28 bits, and every linked pair
-shares a key. Keys decide only where rows meet; nothing is capped and no pair is lost.
-
-What happens there: the fingerprints of a key, sorted by Gray rank, are the leaves of a tree. A node holds the
-bits all its leaves share (mask and pattern). A join of the tree with itself starts at the root and descends in pairs
-of nodes. Bits that both nodes share and their parents did not are compared once and added to the differences so far; above
-three the pair of whole groups is dropped. A node whose leaves differ in no more than three bits is one
-cluster without any comparison, and pairs of nodes that lie in one cluster already are skipped, so a large group of near copies costs
-no all-pairs work. A key's group leaves the task as a spanning star, never as pairs.
+The index is one order and one tree. Each distinct fingerprint is turned by 0, 16, 32 and 48 bits, and every turn is sorted by
+Gray rank. In that order fingerprints that share leading bits lie together, and a node of the tree is a run of it, known by the bits
+that all its leaves share (mask and pattern). Of four 16-bit blocks a linked pair shares one, so in the turn that puts this block
+first the pair lies below one upper node: the one of the first bits. Upper nodes have as many bits as leave them NODE leaves or so, sixteen at most,
+so that the tree does the searching at every size of the table; below NODE fingerprints there is one root and one turn. An upper
+node of more than PIECE leaves is cut into runs of its Gray order by a range partitioning, each a node of its own, and pairs of these are joined
+by the same rule as all others.
+
+The join starts with pairs of upper nodes and descends in pairs of nodes. Bits that both nodes share and their parents did not are
+compared once and added to the differences so far; above three the pair of whole groups is dropped. A node whose leaves differ in no more
+than three bits is one cluster without any comparison, and pairs of nodes that lie in one cluster already are skipped, so a large group of
+near copies costs no all-pairs work. Links leave a task as spanning stars, never as pairs.
 
 Equal texts share a fingerprint and are grouped before anything else, with map-side combining. Clusters are
 joined up by alternating star contraction on tables in the shared folder.
 
 Edge cases: null and empty texts have fingerprint zero and are linked like any other; fewer than three words are one
 shingle; a row without a doc_id gets the component of its fingerprint, null where no row with it has a doc_id (it then
-links nothing); rows with equal doc_id are separate rows of the result; an empty table gives an empty result.
+links nothing); rows with equal doc_id are separate rows of the result; an empty table gives an empty result; very long texts are hashed in pieces of bounded
+memory; other columns play no part and pass through ``representatives`` unchanged, whatever their names.
 """
 
 from __future__ import annotations
@@ -30,14 +33,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wordset.functions.store import drop_written, written
+from wordset.functions.store import drop_written, free_name, written
 from wordset.functions.worker import on_worker
+from wordset.plans.sizing import small_side
 
 SHINGLE = 3
 DIFFER = 3
 HASH_SEED = 42
+#: Leaves of an upper node, about, and the most that a task takes as one node.
+NODE = 1 << 10
+PIECE = 1 << 19
 #: Children of a node, and pairs of nodes that a task holds at once.
-FANOUT = 8
+FANOUT = 4
 FRONTIER = 1 << 18
 
 # ---- fingerprints
@@ -83,10 +90,13 @@ def _spread(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 class GrayTree:
-    """Trees over fingerprints that are sorted by group and Gray rank; level 0 are the leaves."""
+    """Trees over fingerprints that are sorted by group and Gray rank; level 0 are the leaves.
+
+    ``pruned`` counts the pairs of whole groups that accumulated differences dropped, ``compared`` the pairs of leaves that were looked at."""
 
     def __init__(self, group: np.ndarray, fp: np.ndarray):
         self.fp = fp
+        self.pruned = self.compared = 0
         starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
         sizes = np.diff(np.r_[starts, len(fp)])
         self.every, self.some = [fp], [fp]
@@ -140,14 +150,16 @@ class GrayTree:
             out.append(np.where(low == high, low, -1))
         return out
 
-    def clusters(self) -> np.ndarray:
-        """For each leaf the first leaf of its cluster."""
+    def clusters(self, left: np.ndarray | None = None, right: np.ndarray | None = None) -> np.ndarray:
+        """For each leaf the first leaf of its cluster, from the links within each group, or between the groups of given numbers ``left`` and ``right``."""
         top = len(self.row) - 1
-        if top < 1:
-            return self.label
-        roots = np.arange(len(self.row[top]))
-        none = np.zeros(len(roots), np.uint64)
-        stack = [(top, roots, roots, none, np.zeros(len(roots), np.int64))]
+        if left is None:
+            left = right = np.arange(len(self.row[top]))
+        if not top:
+            self._link(*(x[np.bitwise_count(self.fp[left] ^ self.fp[right]) <= DIFFER] for x in (left, right)))
+            return self._find(np.arange(len(self.fp)))
+        shared = ~(self.every[top][left] ^ self.some[top][left]) & ~(self.every[top][right] ^ self.some[top][right])
+        stack = [(top, left, right, shared, np.bitwise_count((self.every[top][left] ^ self.every[top][right]) & shared).astype(np.int64))]
         same = self._uniform()
         while stack:
             level, a, b, seen, diff = stack.pop()
@@ -178,22 +190,44 @@ class GrayTree:
                 new = shared & ~seen[at]
                 d = diff[at] + np.bitwise_count((self.every[k][x] ^ self.every[k][y]) & new)
                 near = d <= DIFFER
+                if k:
+                    self.pruned += len(near) - int(near.sum())
+                else:
+                    self.compared += len(near)
                 if near.any():
                     stack.append((k, x[near], y[near], shared[near], d[near]))
         return self._find(np.arange(len(self.fp)))
 
 
-def link_groups(batches):
-    """Rows ``key, fp, doc`` sorted by key and Gray rank -> edges ``a, b`` of docs: each cluster as a star."""
+def cut_nodes(batches):
+    """Rows ``key, fp, doc`` in Gray order -> the same with ``node``, the run of a key within this partition."""
+    from pyspark import TaskContext
+
+    base, made, last, held = (TaskContext.get().partitionId() + 1) << 32, 0, None, 0
+    for b in batches:
+        if not b.num_rows:
+            continue
+        key = b.column("key").to_numpy()
+        starts = np.flatnonzero(np.r_[last is None or key[0] != last or held >= PIECE, key[1:] != key[:-1]])
+        node = np.zeros(len(key), np.int64)
+        node[starts] = 1
+        node = made + np.cumsum(node)
+        made, last = int(node[-1]), key[-1]
+        held = len(key) - int(starts[-1]) if len(starts) else held + len(key)
+        yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(base + node), b.column("fp"), b.column("doc")], ["key", "node", "fp", "doc"])
+
+
+def link_nodes(batches):
+    """Rows ``x, y, side, fp, doc`` sorted by the pair of nodes x and y, side and Gray rank -> edges ``a, b`` of docs: each cluster as a star.
+
+    A node met with itself has one side; of two different ones only links across are sought."""
     held: list[np.ndarray] = []
 
-    def solved(key, fp, doc):
-        twin = np.r_[False, key[1:] == key[:-1]]
-        more = twin | np.r_[twin[1:], False]
-        key, fp, doc = key[more], fp[more], doc[more]
-        if not len(key):
-            return None
-        label = GrayTree(key, fp.view(np.uint64)).clusters()
+    def solved(x, y, side, fp, doc):
+        head = np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1]) | (side[1:] != side[:-1])]
+        left = np.flatnonzero(side[head] == 0)
+        tree = GrayTree(np.cumsum(head), fp.view(np.uint64))
+        label = tree.clusters(left, left + (x != y)[head][left])
         order = np.lexsort((doc, label))
         lab, d = label[order], doc[order]
         head = np.r_[True, lab[1:] != lab[:-1]]
@@ -204,12 +238,12 @@ def link_groups(batches):
     for b in batches:
         if not b.num_rows:
             continue
-        now = np.stack([b.column(c).to_numpy(zero_copy_only=False) for c in ("key", "fp", "doc")])
+        now = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("x", "y", "side", "fp", "doc")])
         held.append(now)
-        if held[0][0, 0] == now[0, -1]:
-            continue  # one group so far
+        if (held[0][:2, 0] == now[:2, -1]).all():
+            continue  # one pair so far
         rows = np.concatenate(held, axis=1)
-        cut = np.searchsorted(rows[0], rows[0, -1])  # the last group may go on
+        cut = int(np.flatnonzero((rows[:2] != rows[:2, -1:]).any(0))[-1]) + 1  # the last pair may go on
         held = [rows[:, cut:]]
         if (out := solved(*rows[:, :cut])) is not None:
             yield out
@@ -224,24 +258,45 @@ def _gray_rank(fp):
     return fp.bitwiseXOR(F.lit(-(1 << 63)))
 
 
-def _keys(fp):
-    """Sixteen keys of 28 bits and their number."""
-    out = []
-    for i in range(4):
-        block = F.shiftrightunsigned(fp, 16 * i).bitwiseAND(F.lit(0xFFFF))
-        low = fp.bitwiseAND(F.lit((1 << 16 * i) - 1))
-        rest = low.bitwiseOR(F.shiftleft(F.shiftrightunsigned(F.shiftrightunsigned(fp, 16 * i), 16), 16 * i))
-        for j in range(4):
-            part = F.shiftrightunsigned(rest, 12 * j).bitwiseAND(F.lit(0xFFF))
-            out.append(F.lit((4 * i + j) << 28).bitwiseOR(F.shiftleft(block, 12)).bitwiseOR(part))
-    return F.array(*out)
+def upper_bits(n: int) -> int:
+    """First bits of an upper node among n fingerprints."""
+    return min(16, max(0, (n - 1).bit_length() - (NODE.bit_length() - 1))) if n else 0
+
+
+def turned(distinct: DataFrame, bits: int) -> DataFrame:
+    """``key, fp, doc, gray``: each fingerprint in all turns, the number of its upper node (turn and first bits) and its Gray rank."""
+    fp = F.col("fp")
+    turns = [fp if not i else F.shiftleft(fp, 16 * i).bitwiseOR(F.shiftrightunsigned(fp, 64 - 16 * i)) for i in range(4 if bits else 1)]
+    first = F.shiftrightunsigned("fp", 64 - bits) if bits else F.lit(0)
+    rows = distinct.select(F.posexplode(F.array(*turns)).alias("turn", "fp"), "doc")
+    return rows.select(F.shiftleft(F.col("turn").cast("long"), 16).bitwiseOR(first).alias("key"), "fp", "doc", _gray_rank(fp).alias("gray"))
+
+
+def cut_large(rows: DataFrame) -> DataFrame:
+    """``x, y, side, fp, doc, gray`` of upper nodes that are too large for a task: their runs in Gray order as nodes, in all pairs whose shared bits
+    differ in DIFFER places at most. No task sorts an upper node."""
+    dealt = rows.repartitionByRange("key", "gray").sortWithinPartitions("key", "gray").select("key", "fp", "doc")
+    rows = written(dealt.mapInArrow(on_worker(__name__, "cut_nodes"), "key long, node long, fp long, doc long"), "gray-runs")
+    nodes = written(rows.groupBy("key", "node").agg(F.bit_and("fp").alias("every"), F.bit_or("fp").alias("some")), "nodes")
+    a, b = (nodes.select("key", *(F.col(c).alias(f"{s}_{c}") for c in ("node", "every", "some"))) for s in "xy")
+    apart = F.bit_count(F.expr("~(x_every ^ x_some) & ~(y_every ^ y_some) & (x_every ^ y_every)"))
+    pairs = a.join(b, "key").filter((F.col("x_node") <= F.col("y_node")) & (apart <= DIFFER)).select(F.col("x_node").alias("x"), F.col("y_node").alias("y"))
+    ends = pairs.select("x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("node"))
+    return rows.join(ends, "node").select("x", "y", (F.col("node") != F.col("x")).cast("int").alias("side"), "fp", "doc", _gray_rank(F.col("fp")).alias("gray"))
 
 
-def links(distinct: DataFrame) -> DataFrame:
-    """Edges ``a, b`` (a < b) between the ``doc``s of ``distinct (fp, doc)`` that connect just what lies within DIFFER bits."""
-    keyed = distinct.select(F.explode(_keys(F.col("fp"))).alias("key"), "fp", "doc")
-    dealt = keyed.repartition("key").withColumn("gray", _gray_rank(F.col("fp"))).sortWithinPartitions("key", "gray")
-    return dealt.select("key", "fp", "doc").mapInArrow(on_worker(__name__, "link_groups"), "a long, b long").distinct()
+def links(distinct: DataFrame, piece: int = PIECE) -> DataFrame:
+    """Edges ``a, b`` between the ``doc``s of ``distinct (fp, doc)`` that connect just what lies within DIFFER bits."""
+    rows = turned(distinct, upper_bits(distinct.count()))
+    large = written(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > piece).select("key"), "large-nodes")
+    some = bool(large.head(1))
+    whole = rows.join(small_side(large), "key", "left_anti") if some else rows
+    dealt = whole.select(F.col("key").alias("x"), F.col("key").alias("y"), F.lit(0).alias("side"), "fp", "doc", "gray")
+    if some:
+        # runs are numbered from 2^32 on, upper nodes below 2^18
+        dealt = dealt.unionByName(cut_large(rows.join(small_side(large), "key", "left_semi")))
+    dealt = dealt.repartition("x", "y").sortWithinPartitions("x", "y", "side", "gray").select("x", "y", "side", "fp", "doc")
+    return dealt.mapInArrow(on_worker(__name__, "link_nodes"), "a long, b long").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -281,5 +336,6 @@ def representatives(docs: DataFrame) -> DataFrame:
 
     Rows are told apart by doc_id: rows that share one stay if any of them is to stay. A null doc_id stays."""
     seen = near_duplicates(docs)
-    gone = written(seen.groupBy("doc_id").agg(F.min("component_id").alias("c"), F.max(F.col("doc_id") == F.col("component_id")).alias("kept")).filter("doc_id is not null and not kept").select(F.col("doc_id").alias("_gone")), "gone")
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    kept = F.max(F.col("doc_id") == F.col("component_id")).alias("kept")
+    gone = written(seen.groupBy("doc_id").agg(kept).filter("doc_id is not null and not kept").select(F.col("doc_id").alias(name := free_name(docs, "gone"))), "gone")
+    return docs.join(gone, F.col("doc_id") == F.col(name), "left_anti")
