@@ -2,17 +2,19 @@
 
 A page is read as a run of text nodes, each with its root-to-leaf tag path. Per path, text length and punctuation are
 summed over its nodes: long texts with many sentence marks are content, short ones without are not. The two
-ratios are smoothed along the page, so that a short paragraph between long ones gains and a lone caption loses, fused by
-multiplication, and paths above a share of the page's deviation are content. The innermost container that
-holds nearly all content is the article; all blocks in it are returned, but for parts that are marked as something else, and so are
-blocks outside it that are content by their own path's score, with the headings before them. Beside an ``article`` only other articles have such blocks, beside
-a ``main`` none.
+ratios are smoothed along the blocks of a container, so that a short paragraph between long ones gains and a lone caption loses, fused by
+multiplication, and averaged over the path. Paths that reach a share of the page's deviation are content, and their blocks are selected.
+
+What belongs to the selected blocks stays with them: all of a container that holds all of them and hardly anything else, items, cells,
+captions and code in their container, short paragraphs of a container that is mostly content, what stands between two of them in one container,
+and headings before them. Beside an ``article`` or ``main`` that holds most of the selected text nothing is selected.
 
 Marked parts (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) are known by
 element name, role, or a word of their class or id, and never take part. A word marks by its place in a class or id (``sidebar``, ``post-footer``, not
 ``has-sidebar``), never what contains the article, and weak words give way to scores like the article's.
 
-Edge cases: null and empty pages have an empty text; unclosed and crossed tags are closed as browsers do for blocks;
+Edge cases: null and empty pages and an empty table have no text; very long pages are read in one pass, in time and memory in proportion to their length;
+other columns of the table play no part, whatever their names; unclosed and crossed tags are closed as browsers do for blocks;
 text outside any element counts; a page whose text is all in parts marked by name or role has an empty text; repeated rows are
 answered each.
 """
@@ -65,9 +67,11 @@ ANCHORED = frozenset("section h1 h2 h3 h4 h5 h6".split())
 #: Elements that can be an article's root; others are its paragraphs, lists, rows and words.
 CONTAINERS = frozenset("html body main article section div td center".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+#: Parts of a text that are short and without marks by nature.
+ITEMS = frozenset("li dt dd td th caption figcaption pre code address summary".split())
 STOPS = re.compile(r"[.,;:!?…]")
 #: Share of the standard deviation of fused scores that a content node reaches.
-LEVEL = 0.2
+LEVEL = 0.5
 #: Share of the article's mean score from which a weak word other than readers' is overruled.
 OVERRULE = 0.5
 #: Of the ways in which an element is marked: not at all, by weak words, by readers' words, beyond doubt.
@@ -253,42 +257,80 @@ def _unmarked(page: _Page) -> list:
     return [b for b in blocks if doubtful.keys().isdisjoint(b[1])]
 
 
+def _near(at: tuple[int, ...], names: list[str]) -> int:
+    """The innermost container of a block that isn't a cell."""
+    return next((k for k in reversed(at) if names[k - 1] in CONTAINERS and names[k - 1] != "td"), 0)
+
+
+def path_scores(blocks, names: list[str]) -> np.ndarray:
+    """For each block the score of its tag paths: text and marks per node of the path, smoothed among the blocks of a container,
+    multiplied, and averaged over the path."""
+    text_ratio, mark_ratio = _ratios(blocks)
+    own: dict[int, list[int]] = defaultdict(list)
+    for i, (_, at, _) in enumerate(blocks):
+        own[next((k for k in reversed(at) if names[k - 1] in CONTAINERS), 0)].append(i)
+    fused = np.zeros(len(blocks))
+    for i in own.values():
+        fused[i] = _smooth(text_ratio[i]) * (1 + _smooth(mark_ratio[i]))
+    total, weight = defaultdict(float), defaultdict(int)
+    for (_, _, nodes), f in zip(blocks, fused.tolist(), strict=True):
+        for path, n, _ in nodes:
+            total[path] += n * f
+            weight[path] += n
+    return np.array([sum(n * total[p] / weight[p] for p, n, _ in nodes) / sum(n for _, n, _ in nodes) for _, _, nodes in blocks])
+
+
+def selected(blocks, names: list[str]) -> np.ndarray:
+    """Which blocks have paths that reach the threshold."""
+    score = path_scores(blocks, names)
+    return score >= LEVEL * score.std()
+
+
+def content_blocks(blocks, names: list[str]) -> list[bool]:
+    """Which blocks are content: those whose paths reach the threshold, and what belongs to them."""
+    chosen = selected(blocks, names)
+    size = np.array([len(t) for t, _, _ in blocks])
+    kind = [{names[k - 1] for k in at} for _, at, _ in blocks]
+    for name in ("main", "article"):  # what stands beside the article is no part of it
+        within = np.array([name in k for k in kind])
+        if 2 * size[chosen & within].sum() > size[chosen].sum():
+            chosen &= within
+            break
+    keep = chosen.copy()
+    linked = np.array([all("a" in p.split(">") for p, _, _ in nodes) for _, _, nodes in blocks])
+    near = [_near(at, names) for _, at, _ in blocks]
+    # a container that holds all content and hardly anything else is content as a whole
+    alike = set.intersection(*(set(blocks[i][1]) for i in np.flatnonzero(chosen)))
+    root = max((k for k in alike if names[k - 1] in CONTAINERS), default=0)
+    if root and names[root - 1] not in ("html", "body"):
+        inside = np.array([root in at for _, at, _ in blocks])
+        if 10 * size[chosen].sum() >= 9 * size[inside & ~linked].sum():
+            keep |= inside & ~linked
+    # items, cells, captions and code have low ratios by nature and belong to the content of their container; so do short
+    # paragraphs where most of the container's text is content
+    held, full = defaultdict(int), defaultdict(int)
+    for home, n, c, link in zip(near, size.tolist(), chosen.tolist(), linked.tolist(), strict=True):
+        held[home] += n * c
+        full[home] += n * (not link)
+    keep |= np.array([held[home] > 0 and (not k.isdisjoint(ITEMS) or 2 * held[home] >= full[home]) for k, home in zip(kind, near, strict=True)]) & ~linked
+    # so does what stands between two blocks of content of one container, and the headings before content
+    last: dict[int, int] = {}
+    for i in np.flatnonzero(keep).tolist():
+        if (before := last.get(near[i])) is not None:
+            for j in range(before + 1, i):
+                keep[j] = keep[j] or near[i] in blocks[j][1] or not near[i]
+        last[near[i]] = i
+    for i in range(len(blocks) - 2, -1, -1):
+        keep[i] = keep[i] or keep[i + 1] and not kind[i].isdisjoint(HEADINGS)
+    return keep.tolist()
+
+
 def extract(source: str | None) -> str:
     page = _Page(source or "")
     blocks = _unmarked(page)
     if not blocks:
         return ""
-    text_ratio, mark_ratio = _ratios(blocks)
-    fused = _smooth(text_ratio) * (1 + _smooth(mark_ratio))
-    least = LEVEL * fused.std()
-    chosen = fused >= least
-    weight = np.array([len(t) for t, _, _ in blocks]) * chosen
-    # the innermost element that holds the content, where an article or main is never left for its parts
-    inside: dict[int, int] = defaultdict(int)
-    for (_, at, _), w in zip(blocks, weight.tolist(), strict=True):
-        for k in at:
-            inside[k] += w
-    total = int(weight.sum())
-    root = max((k for k, w in inside.items() if 10 * w >= 9 * total and page.names[k - 1] in CONTAINERS), default=0)
-    for k, w in inside.items():
-        if page.names[k - 1] in ("article", "main") and 2 * w > total and (root == 0 or page.names[root - 1] not in ("article", "main")):
-            root = k
-    above = next((at[: at.index(root)] for _, at, _ in blocks if root in at), ()) if root else ()
-    for k in above:  # a heading beside the paragraphs belongs to the article as well
-        if page.names[k - 1] in ("article", "main"):
-            root = k
-            break
-    if not root:
-        return "\n\n".join(t for t, _, _ in blocks)
-    keep = [root in at for _, at, _ in blocks]
-    names = [{page.names[k - 1] for k in at} for _, at, _ in blocks]
-    if page.names[root - 1] != "main":
-        free = [page.names[root - 1] != "article" or "article" in n for n in names]
-        content = chosen & (text_ratio * (1 + mark_ratio) >= least)  # by its neighbours and by itself
-        keep = [k or f and bool(c) for k, f, c in zip(keep, free, content, strict=True)]
-        for i in range(len(blocks) - 2, -1, -1):
-            keep[i] = keep[i] or keep[i + 1] and free[i] and not names[i].isdisjoint(HEADINGS)
-    return "\n\n".join(t for (t, _, _), k in zip(blocks, keep, strict=True) if k)
+    return "\n\n".join(t for (t, _, _), k in zip(blocks, content_blocks(blocks, page.names), strict=True) if k)
 
 
 def _smooth(x: np.ndarray) -> np.ndarray:
