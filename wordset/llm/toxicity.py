@@ -3,15 +3,17 @@
 Writers disguise words: digits and signs for letters, letters drawn out, letters set apart. Each disguised spelling
 is a lattice: at every character the letters it may stand for, each with the cost of such a disguise, or nothing where a sign
 or a repeated letter may be dropped. The cheapest path under a character trigram model, found by Viterbi's algorithm, is the restored
-text. Spellings with only letters and no long repeats have a single path and are taken as they are, so only odd
-tokens are decoded, once per worker each.
+text. Spellings with only letters and no repeats have a single path and are taken as they are, so only odd
+tokens are decoded, once per worker each. A letter that stands twice is a lattice of itself and one letter, so that words which are written so stay and others are
+restored.
 
 The trigram model is counted over all documents. The classifier reads the words of the restored text, whole and
 by their first letters, in a logistic regression on a bounded labelled sample. Words that toxic documents hold far
 beyond chance (chi-squared) take part, with weights of zero or more.
 
 Edge cases: null and empty texts have the least score; without any toxic training row every score is that; repeated rows get
-equal scores; doc_id may be null; an empty table gives an empty result.
+equal scores; doc_id may be null; an empty table gives an empty result; very long texts are counted in pieces and scored by their distinct words; other columns
+pass through ``accepted`` unchanged, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wordset.functions.store import written
+from wordset.functions.store import free_name, written
 from wordset.functions.worker import column_kernel, on_worker
 from wordset.llm.labelled import held_out, training_rows
 
@@ -71,9 +73,11 @@ def count_batches(batches):
     for b in batches:
         for t in b.column("text"):
             t = t.as_py()
+            before = [0, 0]
             for at in range(0, len(t or ""), _PIECE):
-                s = np.r_[0, 0, symbols(t[at : at + _PIECE]), 0].astype(np.uint32)
+                s = np.r_[before, symbols(t[at : at + _PIECE]), [0] * (at + _PIECE >= len(t))].astype(np.uint32)
                 total += np.bincount(s[:-2] << 12 | s[1:-1] << 6 | s[2:], minlength=SYMBOLS**3)
+                before = s[-2:]
     code = np.flatnonzero(total)
     yield pa.RecordBatch.from_arrays([pa.array(code, pa.int32()), pa.array(total[code])], ["code", "n"])
 
@@ -99,12 +103,13 @@ LEET = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t", "8": "b", "9": "g",
     "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "€": "e", "£": "l", "¡": "i", "(": "c",
 }
-#: Bits that each disguise costs.
-SWAP, DROP, MASK, REPEAT, KEEP = 1.0, 1.0, 5.0, 0.5, 14.0
+#: Bits that each disguise costs; TWICE is that of one letter written twice.
+SWAP, DROP, MASK, REPEAT, TWICE, KEEP = 1.0, 1.0, 5.0, 0.5, 4.0, 14.0
 _EDGE = re.compile(r"^[^\w@$!|+€£¡(*]+|[^\w@$+€£]+$")
 _SIGN_RUN = re.compile(r"^([^\w])\1+|([^\w])\2+$|[*+|(]+$")
-_DRAWN = re.compile(r"([^\W\d_])\1\1")
-_APART = re.compile(r"(?<![^\W_])(?:[^\W\d_]|[013457@$!])(?:([ .\-_*])(?:[^\W\d_]|[013457@$!])){2,}(?![^\W_])")
+_DRAWN = re.compile(r"([^\W\d_])\1")
+_ONE = rf"(?:[^\W\d_]|[{re.escape(''.join(LEET))}])"
+_APART = re.compile(rf"(?<![^\W_]){_ONE}(?:[ .\-_*]{{1,3}}{_ONE}){{2,}}(?![^\W_])")
 
 
 def core(word: str) -> str:
@@ -127,12 +132,14 @@ class Channel:
                 j += 1
             run = j - i
             if c.isalpha():
-                if run <= 2:
-                    out += [[(c, 0.0)]] * run
+                if run == 1:
+                    out.append([(c, 0.0)])
+                elif run == 2:
+                    out.append([(c + c, 0.0), (c, TWICE)])
                 else:  # drawn out: one letter or two are meant
                     out.append([(c, REPEAT), (c + c, 2 * REPEAT)])
             else:
-                may = [(x * (1 if run > 2 else run), SWAP * min(run, 2)) for x in LEET.get(c, "")]
+                may = [(x * k, SWAP * min(run, 2)) for x in LEET.get(c, "") for k in range(1 if run > 1 else run, 2 if run > 2 else run + 1)]
                 if c == "*" and run <= 2:
                     may += [(chr(k), MASK) for k in range(97, 123)] if run == 1 else []
                 if not c.isalnum():
@@ -215,9 +222,9 @@ def _shared(spark, value):
 
 
 def deobfuscated(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` with a column ``restored_text``."""
+    """The rows of ``docs`` with one more column, ``restored_text``; if there is one of that name, underscores are put before the new one's."""
     costs = _shared(docs.sparkSession, trigram_costs(docs))
-    return docs.withColumn("restored_text", column_kernel(__name__, "restore_array", "string", costs)(F.col("text")))
+    return docs.withColumn(free_name(docs, "restored_text"), column_kernel(__name__, "restore_array", "string", costs)(F.col("text")))
 
 
 # ---- the classifier
@@ -329,18 +336,18 @@ def score_array(texts: pa.Array, costs, model) -> pa.Array:
 
 
 def with_score(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> DataFrame:
-    """The rows of ``docs`` with a column ``_score``; only the text goes to Python."""
+    """The rows of ``docs`` as a struct ``row``, and their ``score``; only the text goes to Python."""
     costs = _shared(docs.sparkSession, trigram_costs(docs))
     model = _shared(docs.sparkSession, fit(docs, labels, costs, bound))
-    return docs.withColumn("_score", column_kernel(__name__, "score_array", "double", costs, model)(F.col("text")))
+    return docs.select(F.struct("*").alias("row"), column_kernel(__name__, "score_array", "double", costs, model)(F.col("text")).alias("score"))
 
 
 def scored(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> DataFrame:
     """``doc_id, held_out, score, predicted`` of every document."""
     out = with_score(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), labels, bound)
-    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= THRESHOLD).cast("int").alias("predicted"))
+    return out.select("row.doc_id", held_out(F.col("row.doc_id")).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
 def accepted(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> DataFrame:
     """The rows of ``docs`` that score below the threshold, judged where they are read."""
-    return with_score(docs, labels, bound).filter(F.col("_score") < THRESHOLD).select(*docs.columns)
+    return with_score(docs, labels, bound).filter(F.col("score") < THRESHOLD).select("row.*")
