@@ -1,16 +1,17 @@
 """Sharding by proportional stratified interleaving.
 
-Rows are shuffled by a seeded hash within their source and ranked; a source of m rows puts its rows at
-the fractions (2r-1)/2m. Sorted by fraction, every stretch of the order holds the sources in proportion, so
+Rows are shuffled by a seeded hash of their content within their source and ranked; a source of m rows puts its rows at
+the fractions (r - u)/m, with a seeded offset u of its own between 0 and 1, so that small sources, of one row even, are spread like large ones. Sorted
+by fraction, every stretch of the order holds the sources in proportion, so
 cutting it into runs of equal count gives shards that all match the mixture (law ``rows``: counts differ by
-one at most).
+one at most). The layout of the input files plays no part.
 
 No rank is taken over a whole source or the whole table by one task. The hash is uniform, so its leading
 bits cut any source, however large, into even cells; cells are counted, and a row's rank is its rank within
 the cell plus the rows of the cells before it. The fractions are uniform as well and are ranked the same way.
 
 Edge cases: a null source is a source of its own; a null text has size 1; repeated doc_ids and equal rows each
-get a slot of their own; with fewer rows than shards some shards stay empty; an empty table gives no rows;
+get a slot of their own, equal ones next to each other in the order of their source; very long texts are read once and not moved; with fewer rows than shards some shards stay empty; an empty table gives no rows;
 input columns that bear an output name are replaced.
 """
 
@@ -35,7 +36,7 @@ def placed(docs: DataFrame, n_shards: int = SHARDS, seed: int = SEED, stratum: s
         F.col(stratum).alias("stratum"),
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
-        F.xxhash64(F.lit(seed), "doc_id", F.monotonically_increasing_id()).alias("h"),
+        F.xxhash64(F.lit(seed), "doc_id", text).alias("h"),
     )
     rows = written(rows.withColumn("cell", F.shiftrightunsigned("h", 64 - CELL_BITS).cast("int")), "shuffled")
 
@@ -47,8 +48,9 @@ def placed(docs: DataFrame, n_shards: int = SHARDS, seed: int = SEED, stratum: s
     )
     in_cell = Window.partitionBy("stratum", "cell").orderBy("h", "doc_id", "size", "text_crc32")
     ranked = rows.withColumn("r", F.row_number().over(in_cell)).join(cells, F.col("stratum").eqNullSafe(F.col("c_stratum")) & (F.col("cell") == F.col("c_cell")))
-    at = (2 * (F.col("r") + F.col("skip")) - 1) / (2 * F.col("m")).cast("double")
-    ranked = ranked.select("doc_id", "stratum", "size", "text_crc32", at.alias("at"), "h").withColumn("bin", F.least(F.floor(F.col("at") * (1 << CELL_BITS)), F.lit((1 << CELL_BITS) - 1)).cast("int"))
+    offset = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit("offset"), "stratum"), 12) + 0.5) / float(1 << 52)
+    at = (F.col("r") + F.col("skip") - offset) / F.col("m").cast("double")
+    ranked = ranked.select("doc_id", "stratum", "size", "text_crc32", at.alias("at"), "h").withColumn("bin", F.greatest(F.lit(0), F.least(F.floor(F.col("at") * (1 << CELL_BITS)), F.lit((1 << CELL_BITS) - 1))).cast("int"))
     ranked = written(ranked, "ranked")
 
     # 2^CELL_BITS rows at most, whatever the input
