@@ -5,7 +5,8 @@ bit; the ledger keeps measurements and failure bits of all documents. Policies a
 another policy, or the effect of leaving a rule out, is read off the ledger by bitwise operations, without the texts.
 
 Edge cases: null and empty texts have no words and fail ``few_words``; repeated rows are judged each; an empty table
-gives an empty ledger; doc_id may be null.
+gives an empty ledger; doc_id may be null; very long texts are measured whole, in memory in proportion to their length; other columns pass through ``accepted`` unchanged,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -106,13 +107,13 @@ def measure_array(texts: pa.Array) -> pa.Array:
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` and a struct ``_m`` of all measures of their text."""
-    return docs.withColumn("_m", column_kernel(__name__, "measure_array", ", ".join(f"{m} long" for m in MEASURES))(F.col("text")))
+    """The rows of ``docs`` as a struct ``row``, and a struct ``m`` of all measures of their text."""
+    return docs.select(F.struct("*").alias("row"), column_kernel(__name__, "measure_array", ", ".join(f"{m} long" for m in MEASURES))(F.col("text")).alias("m"))
 
 
 def ledger(docs: DataFrame) -> DataFrame:
     """``doc_id``, the measures and ``failed_bits`` of every document."""
-    out = measured(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).select("doc_id", "_m.*")
+    out = measured(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).select("row.doc_id", "m.*")
     return out.withColumn("failed_bits", failed_bits())
 
 
@@ -146,7 +147,7 @@ def ablations(book: DataFrame, policy: str = "strict_v1") -> DataFrame:
 
 def accepted(docs: DataFrame, policy: str = "strict_v1") -> DataFrame:
     """The rows of ``docs`` that pass, judged where they are read; only the text goes to Python and nothing is joined."""
-    return measured(docs).filter(failed_bits("_m.").bitwiseAND(F.lit(mask(policy))) == 0).select(*docs.columns)
+    return measured(docs).filter(failed_bits("m.").bitwiseAND(F.lit(mask(policy))) == 0).select("row.*")
 
 
 SQL = r"""
