@@ -9,7 +9,8 @@ their similarity as weight.
 The model is fitted on at most BOUND labelled rows; every document is scored by the same model at any size.
 
 Edge cases: null and empty texts have a score as well (the vector of an empty text); without any labelled row the score
-is 0.5, with one label only it is that label; repeated rows get equal scores; doc_id may be null; an empty table gives an empty result.
+is 0.5, with one label only it is that label; repeated rows get equal scores; doc_id may be null; an empty table gives an empty result; of neighbours
+that are equally near at the last place all vote; very long texts are read in pieces; other columns play no part, whatever their names.
 """
 
 from __future__ import annotations
@@ -96,9 +97,10 @@ class Model:
             return np.full(len(x), self.y.mean() if len(self.y) else 0.5)
         cos = self._unit(x) @ self.points.T
         k = min(NEIGHBOURS, len(self.y))
-        near = np.argpartition(-cos, k - 1, axis=1)[:, :k]
-        weight = np.maximum(np.take_along_axis(cos, near, 1), 1e-6).astype(np.float64) ** 4
-        return (weight * self.y[near]).sum(1) / weight.sum(1)
+        last = np.partition(cos, len(self.y) - k, axis=1)[:, len(self.y) - k, None]
+        row, near = np.nonzero(cos >= last)  # whoever is as near as the last one votes as well
+        weight = np.maximum(cos[row, near], 1e-6).astype(np.float64) ** 4
+        return np.bincount(row, weight * self.y[near], len(x)) / np.bincount(row, weight, len(x))
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = BOUND) -> Model:
