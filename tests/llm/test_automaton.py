@@ -19,7 +19,7 @@ def small_vocabulary(tmp_path, seed, n=40):
             made.append(u + v)
             merges.append([u, v])
     path = tmp_path / f"v{seed}.json"
-    path.write_text(json.dumps({"added_tokens": [], "model": {"vocab": vocab, "merges": merges}}))
+    path.write_text(json.dumps({"added_tokens": [], "pre_tokenizer": {"type": "ByteLevel"}, "model": {"vocab": vocab, "merges": merges}}))
     return str(path), vocab, merges
 
 

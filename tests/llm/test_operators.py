@@ -260,7 +260,7 @@ def test_cosines_are_exact(tables):
     z /= np.linalg.norm(z, axis=1, keepdims=True)
     for row, score in zip(z, m.score(x), strict=True):
         cos = m.points @ row
-        near = np.argsort(-cos)[: quality.NEIGHBOURS]
+        near = np.flatnonzero(cos >= np.sort(cos)[-quality.NEIGHBOURS])
         w = np.maximum(cos[near], 1e-6).astype(np.float64) ** 4
         assert abs((w * m.y[near]).sum() / w.sum() - score) < 1e-3
 
@@ -430,6 +430,13 @@ def test_exact_groups(docs, support):
     assert all(r.doc_id == r.keep_id for r in got if r.kept)
 
 
+def test_rows_that_tie_with_the_winner(spark):
+    rows = [(None, "same", i) for i in range(50)] + [(7, "a b", 1), (7, "a b", 2), (7, "ab", 3)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, digest int").repartition(6)
+    for support in (0.001, 0.5):
+        assert sorted((r.text, r.doc_id) for r in exact_dedup.deduplicated(df, support).collect()) == [("a b", 7), ("same", None)]
+
+
 @pytest.mark.parametrize("support", [0.001, 0.2])
 def test_rows_that_stay(docs, support):
     out = exact_dedup.deduplicated(docs, support)
@@ -477,6 +484,18 @@ def test_written_shards(spark, tables, tmp_path):
     assert back.count() == tables["documents"].count() and back.select("shard").distinct().count() == 8
 
 
+def test_layout_plays_no_part(tables):
+    at = [{(r.doc_id, r.shard, r.slot) for r in sharding.placed(tables["documents"].repartition(n)).select("doc_id", "shard", "slot").collect()} for n in (3, 7)]
+    assert at[0] == at[1]
+
+
+def test_sources_of_one_row(spark):
+    """Half the rows in sources of their own: the large source and the rest are in every shard in proportion."""
+    df = spark.createDataFrame([(i, f"t{i}", "large" if i % 2 else f"s{i}", "x", "y") for i in range(4000)], "doc_id long, text string, source string, shard string, slot string")
+    n = Counter((r.shard, r.source == "large") for r in sharding.placed(df).collect())
+    assert all(abs(n[s, True] - 250) <= 60 and n[s, True] + n[s, False] == 500 for s in range(8))
+
+
 # ---- 10 licences
 
 

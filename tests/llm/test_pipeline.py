@@ -38,6 +38,16 @@ def test_toxic_documents_go_and_clean_ones_stay(spark, sf, kept):
     assert sum(d in stay for d in clean) >= 0.98 * len(clean)
 
 
+def test_toxic_documents_go(spark):
+    """On a table with enough of them to learn from."""
+    d = "/root/testdata/sf0.1"
+    stay = ids(corpus_pipeline.STAGES[0][1](spark, spark.read.parquet(f"{d}/documents.parquet"), d))
+    rows = spark.read.parquet(f"{d}/labels.parquet").collect()
+    toxic, clean = ([r.doc_id for r in rows if r.toxic == y] for y in (1, 0))
+    assert len(toxic) > 300 and sum(x in stay for x in toxic) <= 0.12 * len(toxic)
+    assert sum(x in stay for x in clean) >= 0.99 * len(clean)
+
+
 def test_rules(kept):
     want = {r.doc_id for r in kept["toxicity"].collect() if not any(eval(c, {}, dict(zip(rules.MEASURES, rules.measure(r.text), strict=True))) for _, c in rules.RULES.values())}
     assert ids(kept["quality_rules"]) == want
@@ -74,3 +84,28 @@ def test_packing(kept):
 def test_run_equals_the_stages(spark, sf, kept):
     key = lambda r: (r.doc_id, r.start, r.length, r.ids_crc32)
     assert sorted(map(key, corpus_pipeline.run(spark, sf).collect())) == sorted(map(key, kept["packing"].collect()))
+
+
+def test_stages_on_awkward_rows(spark, sf):
+    """Nulls, ties, repeated rows and clashing names pass all stages; what stays has its own contents."""
+    from tests.llm.test_operators import ROWS
+
+    names = "_score _m _n _dig _digest _at _gone gone row m digest n score restored_text shard slot".split()
+    schema = "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{n} string" for n in names)
+    rows = [(*r[:5], *(f"{n}{r[0]}" for n in names)) for r in ROWS]
+    docs = spark.createDataFrame(rows, schema)
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        before = {tuple(r) for r in docs.collect()}
+        docs = written(stage(spark, docs, sf), name)
+        assert docs.columns == [f.split()[0] for f in schema.split(", ")]
+        after = [tuple(r) for r in docs.collect()]
+        assert set(after) <= before and (len(after) < len(before) or name == "toxicity")
+    pieces = corpus_pipeline.STAGES[-1][1](spark, docs, sf)
+    assert {r.doc_id for r in pieces.select("doc_id").collect()} == {r[0] for r in after}
+
+
+def test_stages_on_an_empty_table(spark, sf):
+    docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")
+    for name, stage in corpus_pipeline.STAGES:
+        docs = written(stage(spark, docs, sf), name)
+        assert docs.count() == 0

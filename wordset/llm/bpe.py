@@ -51,10 +51,20 @@ def _byte_letters() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+def checked(file: dict) -> None:
+    """Refuses a vocabulary file whose texts are normalised or split in another way than here."""
+    split = file.get("pre_tokenizer") or {}
+    model = file["model"]
+    odd = [k for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges") if model.get(k)]
+    if split.get("type") != "ByteLevel" or split.get("add_prefix_space") or not split.get("use_regex", True) or file.get("normalizer") or odd:
+        raise ValueError(f"only byte-level vocabularies with the usual split are supported, not {split}, {file.get('normalizer')}, {odd}")
+
+
 class Automaton:
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
             file = json.load(f)
+        checked(file)
         letters = _byte_letters()
         vocab = file["model"]["vocab"]
         self.special = {t["content"]: t["id"] for t in file["added_tokens"]}

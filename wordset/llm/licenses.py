@@ -11,7 +11,8 @@ first 22 rules only; both agree where texts have no others.
 
 Edge cases: null and empty texts have no sentences and no licence; a licence stated twice counts twice in
 ``n_sentences`` and once in ``licenses``; unknown sentences between two known ones don't break a rule (they have
-no identifier) but are counted in ``gaps``; an empty table gives no rows; repeated rows are answered each.
+no identifier) but are counted in ``gaps``; an empty table gives no rows; repeated rows are answered each; very long
+texts are scanned whole, in memory in proportion to their length; other columns play no part, whatever their names.
 """
 
 from __future__ import annotations

@@ -8,7 +8,8 @@ Every input partition packs its own documents, so nothing is shuffled, and a tas
 sequences. Only four numbers per remainder are held in memory. What a partition wastes is part of its last windows.
 
 Edge cases: null and empty texts are the separator alone; repeated rows are packed each; an empty table gives no
-pieces; doc_id may be null.
+pieces; doc_id may be null; of equally long remainders the one read first goes first; very long texts are full windows and one remainder; other columns play no part, whatever
+their names. A vocabulary file that splits texts in another way is refused.
 """
 
 from __future__ import annotations
@@ -83,7 +84,7 @@ def best_fit(lengths: list[int], window: int, first: int = 0) -> list[tuple[int,
     return out
 
 
-#: Splits text before the merges; the vocabulary file's own pattern.
+#: Splits text before the merges: the fixed pattern of the byte-level splitter that the vocabulary file names (``bpe.checked``).
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
