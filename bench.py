@@ -66,7 +66,7 @@ def paper(spark) -> dict:
     n = load(spark, SF_DIR, "orders").count()
     out = {}
     for name, points in (("equal", workloads.equal_points(n)), ("overlap", workloads.overlap_points(n)), ("ratio", workloads.ratio_points(n))):
-        work = workloads.work_sweep(spark, SF_DIR, points, Cfg(m=4), ("scan", "merge", "hash", "lookup", "svs", "adaptive", "hybrid", "median", "skip", "packed", "probe"))
+        work = workloads.work_sweep(*workloads.controlled(spark, SF_DIR, points), Cfg(m=4), ("scan", "merge", "hash", "lookup", "svs", "adaptive", "hybrid", "median", "skip", "packed", "probe"))
         out[f"{name}_work"] = [r.asDict() for r in work.orderBy("qid", "method").collect()]
         times = workloads.timed_sweep(spark, SF_DIR, points, Cfg(m=4), ["scan", "merge", "hash", "lookup", "probe"], 1).cache()
         out[f"{name}_normalised"] = {r.method: round(r.normalised, 3) for r in measures.normalise(times).collect()}

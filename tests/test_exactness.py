@@ -109,9 +109,9 @@ def test_bucketed_baselines(frame, asked, method):
 
 
 @pytest.mark.parametrize("method", sorted(kernels.METHODS))
-@pytest.mark.parametrize("coarse", [0, 3])
-def test_kernels(frame, asked, method, coarse):
-    assert rows(blocks.intersect(frame, asked, Cfg(bucket=4), method, coarse_bits=coarse, m=2)) == WANT
+@pytest.mark.parametrize("size", [14, 2])
+def test_kernels(frame, asked, method, size):
+    assert rows(blocks.intersect(frame, asked, Cfg(bucket=4), method, block_bits=size, m=2)) == WANT
 
 
 @pytest.mark.parametrize("codec", ["gamma", "delta", "lowbits"])
@@ -135,3 +135,20 @@ def test_big_elements_need_a_wide_order(spark):
     sets = spark.createDataFrame([("a", x) for x in xs] + [("b", x) for x in xs[1:]], "set_id string, elem long")
     q = spark.createDataFrame([(0, ["a", "b"])], "qid long, set_ids array<string>")
     assert rows(scan.intersect(G.build(sets, Cfg(g="xx64", h="xx64")), q)) == [(0, x) for x in xs[1:]]
+
+
+@pytest.mark.parametrize("how", ["asof", "bins"])
+def test_fixed_runs_on_any_universe(spark, how, monkeypatch):
+    """Members from end to end of the 64-bit range, sparse and dense beside each other, in bins of a few groups."""
+    monkeypatch.setattr(fixed, "BIN", 3)
+    r = random.Random(5)
+    dense = list(range(10_000, 10_400))
+    a = set(r.sample(dense, 200)) | {0, 1 << 62, -(1 << 62), (1 << 63) - 1}
+    b = set(r.sample(dense, 150)) | {0, 1 << 61, 1 << 62, -(1 << 63)} | {r.randrange(1 << 60) for _ in range(40)}
+    sets = spark.createDataFrame([("a", x) for x in a] + [("b", x) for x in b], "set_id string, elem long")
+    q = spark.createDataFrame([(0, ["a", "b"]), (1, ["b", "a"])], "qid long, set_ids array<string>")
+    cfg = Cfg(g="xx64", h="xx64")
+    assert rows(fixed.intersect(sets, q, cfg, how=how)) == sorted((i, x) for i in (0, 1) for x in a & b)
+    groups = fixed.query_groups(sets, q, cfg)
+    pairs = lambda how: sorted(map(tuple, fixed.overlaps(groups, how).collect()))
+    assert pairs(how) == pairs("theta")

@@ -290,7 +290,7 @@ def test_controlled_pairs(spark, sf):
 
 def test_work_falls_as_the_paper_has_it(spark, sf):
     """Kernels' counters: galloping beats merging for uneven sizes; the scan opens few groups where little is common."""
-    work = {(r.method, r.qid): r for r in workloads.work_sweep(spark, sf, [(600, 600, 6), (600, 600, 600), (5, 700, 1)], Cfg(m=4), ("merge", "svs", "scan", "hash")).collect()}
+    work = {(r.method, r.qid): r for r in workloads.work_sweep(*workloads.controlled(spark, sf, [(600, 600, 6), (600, 600, 600), (5, 700, 1)]), Cfg(m=4), ("merge", "svs", "scan", "hash")).collect()}
     assert work["svs", 2].comparisons < work["merge", 2].comparisons
     assert work["hash", 2].comparisons < work["merge", 2].comparisons
     assert work["scan", 0].elems_fetched < 0.5 * work["merge", 0].elems_fetched

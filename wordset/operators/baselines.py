@@ -100,7 +100,7 @@ def spark_arrays(sets: DataFrame, queries: DataFrame) -> DataFrame:
     q = query_sets(queries, set_stats(sets))
     lists = sets.groupBy("set_id").agg(F.collect_list("elem").alias("elems")).join(small_side(q.select("qid", "k", "set_id")), "set_id")
     all_ = lists.groupBy("qid").agg(F.collect_list("elems").alias("ls"))
-    return all_.select("qid", F.explode(F.aggregate(F.slice("ls", 2, 1_000_000), F.element_at("ls", 1), F.array_intersect)).alias("elem"))
+    return all_.select("qid", F.explode(F.aggregate(F.slice("ls", F.lit(2), F.size("ls")), F.element_at("ls", 1), F.array_intersect)).alias("elem"))
 
 
 def spark_intersect(sets: DataFrame, a: str, b: str) -> DataFrame:

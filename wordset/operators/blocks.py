@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
@@ -24,28 +24,42 @@ CODECS = ("plain", "gamma", "delta", "lowbits")
 COUNTERS = ("pairs_met", "pairs_passed", "pairs_hit", "elems_fetched", "comparisons")
 
 
-def build_blocks(sets: DataFrame, cfg: Cfg, coarse_bits: int = 2, m: int | None = None, codec: str = "plain") -> DataFrame:
-    """``set_id, c, t, zs, ns, imgs, g, elem`` (arrays in the order of g); coded: ``set_id, c, t, z0, head, imgs, payload``.
+#: Members of a block, about, as a power of two.
+BLOCK_BITS = 14
 
-    ``head`` holds the sizes of all groups from prefix z0 on in unary, so prefixes needn't be stored, and images are those of
-    non-empty groups. A set gets no fewer than 2^coarse_bits groups."""
+
+def coarse_sql(n: str, block_bits: int = BLOCK_BITS) -> str:
+    """Leading bits that cut a set of n into blocks of 2^block_bits members, about."""
+    return f"greatest(0, {hashing.bits_of_sql(n)} - {block_bits})"
+
+
+def block_stats(sets: DataFrame, block_bits: int = BLOCK_BITS) -> DataFrame:
+    """The sizes of sets, with the bits ``cb`` that each is cut by."""
+    return set_stats(sets).withColumn("cb", F.expr(coarse_sql("n", block_bits)).cast("int"))
+
+
+def build_blocks(sets: DataFrame, cfg: Cfg, block_bits: int = BLOCK_BITS, m: int | None = None, codec: str = "plain") -> DataFrame:
+    """``set_id, cb, c, t, zs, ns, imgs, g, elem`` (arrays in the order of g); coded: ``set_id, cb, c, t, z0, head, imgs, payload``.
+
+    A set is cut by its first ``cb`` bits, as many as its size asks for, so that no row grows with its set. ``head`` holds the sizes of all
+    groups from prefix z0 on in unary, so prefixes needn't be stored, and images are those of non-empty groups."""
     if codec not in CODECS:
         raise ValueError(f"codec must be one of {CODECS}")
     m = cfg.m if m is None else m
     if cfg.words > 1:
         raise ValueError("blocks hold images of one word")
-    sizes = set_stats(sets).withColumn("t", F.expr(f"greatest({coarse_bits}, {hashing.t_scan_sql('n', cfg)})").cast("int"))
-    groups = group_by_prefix(hashed(sets, cfg, m).join(sizes.select("set_id", "t"), "set_id"), cfg, m)
+    sizes = block_stats(sets, block_bits).withColumn("t", F.expr(f"greatest(cb, {hashing.t_scan_sql('n', cfg)})").cast("int"))
+    groups = group_by_prefix(hashed(sets, cfg, m).join(sizes.select("set_id", "cb", "t"), "set_id"), cfg, m, ("set_id", "cb"))
     names = [c for ws in cfg.images(m) for c in ws]
-    groups = groups.withColumn("c", F.expr(f"shiftrightunsigned(z, t - {coarse_bits})"))
-    order = F.col("z").bitwiseXOR(F.lit(-(1 << 63))) if cfg.universe_bits == 64 and coarse_bits == 0 else F.col("z")
-    rows = groups.groupBy("set_id", "c").agg(F.first("t").alias("t"), F.sort_array(F.collect_list(F.struct(order.alias("o"), "z", "n", F.array(*names).alias("imgs"), "elems"))).alias("b"))
+    groups = groups.withColumn("c", F.expr("case when cb = 0 then 0L else shiftrightunsigned(z, t - cb) end"))
+    order = F.col("z")  # of fewer than 64 bits: sets have fewer than 2^63 groups
+    rows = groups.groupBy("set_id", "cb", "c").agg(F.first("t").alias("t"), F.sort_array(F.collect_list(F.struct(order.alias("o"), "z", "n", F.array(*names).alias("imgs"), "elems"))).alias("b"))
     get = lambda f: F.transform("b", lambda x: x[f])
     flat = F.flatten(get("elems"))
-    out = rows.select("set_id", "c", "t", get("z").alias("zs"), get("n").alias("ns"), F.flatten(get("imgs")).alias("imgs"), F.transform(flat, lambda x: x["g"]).alias("g"), F.transform(flat, lambda x: x["elem"]).alias("elem"))
+    out = rows.select("set_id", "cb", "c", "t", get("z").alias("zs"), get("n").alias("ns"), F.flatten(get("imgs")).alias("imgs"), F.transform(flat, lambda x: x["g"]).alias("g"), F.transform(flat, lambda x: x["elem"]).alias("elem"))
     if codec == "plain":
         return out
-    return out.mapInArrow(on_worker(__name__, "encode_blocks", cfg, codec), "set_id string, c long, t int, z0 long, head binary, imgs array<long>, payload binary")
+    return out.mapInArrow(on_worker(__name__, "encode_blocks", cfg, codec), "set_id string, cb int, c long, t int, z0 long, head binary, imgs array<long>, payload binary")
 
 
 def encode_blocks(batches, cfg: Cfg, codec: str):
@@ -68,8 +82,8 @@ def encode_blocks(batches, cfg: Cfg, codec: str):
                     last = v
                 at += n
             out.append(w.done()[0])
-        columns = [b["set_id"], b["c"], b["t"], pa.array(firsts, pa.int64()), pa.array(heads, pa.binary()), b["imgs"], pa.array(out, pa.binary())]
-        yield pa.RecordBatch.from_arrays(columns, ["set_id", "c", "t", "z0", "head", "imgs", "payload"])
+        columns = [b["set_id"], b["cb"], b["c"], b["t"], pa.array(firsts, pa.int64()), pa.array(heads, pa.binary()), b["imgs"], pa.array(out, pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, ["set_id", "cb", "c", "t", "z0", "head", "imgs", "payload"])
 
 
 def encode_sizes(zs: list[int], ns: list[int]) -> bytes:
@@ -113,21 +127,30 @@ def decode_members(payload: bytes, t: int, zs, ns, cfg: Cfg, codec: str) -> np.n
 
 
 def _met(blocks: DataFrame, queries: DataFrame, sets_stats: DataFrame, columns: list[str]) -> DataFrame:
-    q = query_sets(queries, sets_stats)
-    rows = blocks.join(small_side(q.select("qid", "k", "rank", "set_id")), "set_id")
+    """Per query and prefix of its most finely cut set, the blocks of all its sets in which it lies: at most k blocks a row. What is sent of a
+    smaller set is no more than the largest set, about."""
+    q = query_sets(queries, sets_stats).join(sets_stats.select("set_id", "cb"), "set_id")
+    q = q.withColumn("fine", F.max("cb").over(Window.partitionBy("qid"))).select("qid", "k", "rank", "set_id", "fine")
+    rows = blocks.join(small_side(q.drop("cb")), "set_id")
+    rows = rows.withColumn("c", F.explode(F.expr("sequence(shiftleft(c, fine - cb), shiftleft(c + 1, fine - cb) - 1)")))
     met = rows.groupBy("qid", "c").agg(F.max("k").alias("k"), F.sort_array(F.collect_list(F.struct("rank", *columns))).alias("bs"))
     return met.filter(F.size("bs") == F.col("k")).select("qid", "bs")
 
 
-def run_kernel(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str, coarse_bits: int = 2, m: int | None = None, codec: str = "plain") -> DataFrame:
+def run_kernel(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str, block_bits: int = BLOCK_BITS, m: int | None = None, codec: str = "plain") -> DataFrame:
     """``qid, elems`` and the counters, one row per query and coarse prefix."""
+    m = cfg.m if m is None else m
+    sets = pruned(sets, queries)
+    return run_stored(build_blocks(sets, cfg, block_bits, m, codec), block_stats(sets, block_bits), queries, cfg, method, m, codec)
+
+
+def run_stored(blocks: DataFrame, stats: DataFrame, queries: DataFrame, cfg: Cfg, method: str, m: int | None = None, codec: str = "plain") -> DataFrame:
+    """As ``run_kernel`` over blocks that were built before, with the ``block_stats`` of their sets."""
     if method not in kernels.METHODS:
         raise ValueError(f"method must be one of {sorted(kernels.METHODS)}")
     m = cfg.m if m is None else m
-    sets = pruned(sets, queries)
-    blocks = build_blocks(sets, cfg, coarse_bits, m, codec)
     members = ["zs", "ns", "g", "elem"] if codec == "plain" else ["z0", "head", "payload"]
-    met = _met(blocks, queries, set_stats(sets), ["t", "imgs", *members])
+    met = _met(blocks, queries, stats, ["t", "imgs", *members])
     schema = "qid long, elems array<long>, " + ", ".join(f"{c} long" for c in COUNTERS)
     return met.mapInArrow(on_worker(__name__, "kernel_batches", cfg, method, m, codec), schema)
 
@@ -160,5 +183,9 @@ def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str = "scan
 
 def counters(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str = "scan", **how) -> DataFrame:
     """``qid``, the counters and ``r``."""
-    rows = run_kernel(sets, queries, cfg, method, **how)
+    return counted(run_kernel(sets, queries, cfg, method, **how))
+
+
+def counted(rows: DataFrame) -> DataFrame:
+    """Kernel rows by query: ``qid``, the counters and ``r``."""
     return rows.groupBy("qid").agg(*(F.sum(c).alias(c) for c in COUNTERS), F.sum(F.size("elems")).alias("r"))

@@ -2,7 +2,8 @@
 
 Members are numbered without a window over a whole set: rows are split by ranges of (set, element), numbered within their
 range, and offset by the counts of the ranges before. Which groups of two sets overlap is found by an as-of search: at each group's start, the
-other set's last group to start before it is the only one that can still be open.
+other set's last group to start before it is the only one that can still be open. The search is cut into bins of equally many groups, so
+that neither wide universes nor dense sets make it uneven.
 """
 
 from __future__ import annotations
@@ -14,17 +15,19 @@ from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
 from wordset.operators.groups import pruned, query_sets, set_stats
+from wordset.plans.sizing import small_side
 
 
 def numbered(sets: DataFrame) -> DataFrame:
-    """The rows with ``i``, their place in their sorted set from 0."""
-    parts = sets.repartitionByRange("set_id", "elem").withColumn("part", F.spark_partition_id())
-    parts = written(parts, "ranges")
-    counts = parts.groupBy("set_id", "part").agg(F.count(F.lit(1)).alias("n"))
+    """The rows with ``i``, their place in their sorted set from 0: one range partitioning, in which a row's number within its partition is
+    free, and a small table of where each set begins in each partition."""
+    rid = F.monotonically_increasing_id()  # partition and, in 33 bits, row
+    dealt = sets.repartitionByRange("set_id", "elem").sortWithinPartitions("set_id", "elem").withColumn("rid", rid)
+    dealt = written(dealt.withColumn("part", F.shiftright("rid", 33)), "ranges")
+    counts = dealt.groupBy("set_id", "part").agg(F.min("rid").alias("first"), F.count(F.lit(1)).alias("n"))
     skip = F.coalesce(F.sum("n").over(Window.partitionBy("set_id").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    counts = counts.select("set_id", "part", skip.alias("skip"))
-    at = F.row_number().over(Window.partitionBy("set_id", "part").orderBy("elem"))
-    return parts.withColumn("at", at).join(counts, ["set_id", "part"]).withColumn("i", F.col("at") + F.col("skip") - 1).drop("at", "skip", "part")
+    counts = written(counts.select("set_id", "part", (skip - F.col("first")).alias("shift")), "range-starts")
+    return dealt.join(small_side(counts), ["set_id", "part"]).withColumn("i", F.col("rid") + F.col("shift")).drop("rid", "shift", "part")
 
 
 def _grouped(rows: DataFrame, cfg: Cfg, keys: tuple[str, ...], size: str, bag: bool = False) -> DataFrame:
@@ -69,48 +72,65 @@ def query_groups(sets: DataFrame, queries: DataFrame, cfg: Cfg, sizes=None, bag:
     return _grouped(rows, cfg, ("qid", "k", "side", "size"), "size", bag)
 
 
-#: Value bins per group of the as-of and binned searches, as a divisor of the universe: a bin holds a few thousand groups of a dense set.
-BINS = 1 << 14
-
-
-def overlaps(groups: DataFrame, how: str = "asof", bin_width: int = BINS) -> DataFrame:
-    """Pairs of groups (``a_*`` of side 1, ``b_*`` of side 2) of each query whose ranges overlap, each once."""
-    spans = groups.select("qid", "side", "p", "inf", "sup")
-    if how == "theta":  # for tests: no key to join on but the query
-        a, b = (spans.filter(F.col("side") == s).select("qid", *(F.col(c).alias(f"{x}_{c}") for c in ("p", "inf", "sup"))) for s, x in ((1, "a"), (2, "b")))
-        return a.join(b, (a.qid == b.qid) & (F.col("a_inf") <= F.col("b_sup")) & (F.col("b_inf") <= F.col("a_sup"))).select(a.qid, "a_p", "b_p")
-    cells = spans.withColumn("bin", F.explode(F.expr(f"sequence(inf div {bin_width}, sup div {bin_width})")))
-    first = F.expr(f"greatest(a_inf, b_inf) div {bin_width}") == F.col("bin")  # a pair that shares several bins counts in the first
-    if how == "bins":
-        a, b = (cells.filter(F.col("side") == s).select("qid", "bin", *(F.col(c).alias(f"{x}_{c}") for c in ("p", "inf", "sup"))) for s, x in ((1, "a"), (2, "b")))
-        return a.join(b, ["qid", "bin"]).filter((F.col("a_inf") <= F.col("b_sup")) & (F.col("b_inf") <= F.col("a_sup")) & first).select("qid", "a_p", "b_p")
-    if how != "asof":
+#: Groups of a bin, in the order of their starts.
+BIN = 4096
+
+
+def _binned(spans: DataFrame, extra: list[str]) -> tuple[DataFrame, DataFrame]:
+    """The groups of each query in the order of their starts, cut into bins, and for each bin the last group of either side that starts
+    before it: the only ones that can reach into it. Bins hold equal numbers of groups, whatever their values."""
+    dealt = spans.repartitionByRange("qid", "inf").sortWithinPartitions("qid", "inf").withColumn("rid", F.monotonically_increasing_id())
+    # equal starts stay in one bin: the bin is that of the first row of a start
+    dealt = written(dealt.withColumn("bin", F.expr(f"rid div {BIN}")), "spans")
+    dealt = dealt.withColumn("bin", F.min("bin").over(Window.partitionBy("qid", "inf"))).drop("rid")
+    group = F.struct("inf", "p", "sup", *extra)
+    ends = dealt.groupBy("qid", "bin").agg(*(F.max(F.when(F.col("side") == s, group)).alias(f"l{s}") for s in (1, 2)))
+    before = Window.partitionBy("qid").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    carry = ends.select("qid", "bin", *(F.last(f"l{s}", ignorenulls=True).over(before).alias(f"c{s}") for s in (1, 2)))
+    return dealt, carry
+
+
+def overlaps(groups: DataFrame, how: str = "asof", extra: list[str] | None = None) -> DataFrame:
+    """Pairs of groups (``a_*`` of side 1, ``b_*`` of side 2) of each query whose ranges overlap, each once: ``qid, a_p, b_p`` and the
+    ``extra`` columns of both.
+
+    ``asof``: at each start, the other side's last group to start before; ``bins``: an equi-join on bins of starts; ``theta``: for tests."""
+    extra = extra or []
+    names = ["p", "inf", "sup", *extra]
+    spans = groups.select("qid", "side", *names)
+    sides = lambda rows, *more: [rows.filter(F.col("side") == s).select("qid", *(F.col(c).alias(f"{x}_{c}") for c in [*names, *more])) for s, x in ((1, "a"), (2, "b"))]
+    out = ["qid", *(f"{x}_{c}" for x in "ab" for c in ["p", *extra])]
+    if how == "theta":  # no key to join on but the query
+        a, b = sides(spans)
+        return a.join(b.withColumnRenamed("qid", "b_qid"), (F.col("qid") == F.col("b_qid")) & (F.col("a_inf") <= F.col("b_sup")) & (F.col("b_inf") <= F.col("a_sup"))).select(*out)
+    if how not in ("asof", "bins"):
         raise ValueError("how must be asof, bins or theta")
-    start = F.greatest("inf", F.col("bin") * bin_width)
-    rows = cells.withColumn("start", start)
+    rows, carry = _binned(spans, extra)
+    if how == "bins":
+        carried = carry.select("qid", "bin", F.explode(F.array(*(F.struct(F.lit(s).alias("side"), F.col(f"c{s}").alias("g")) for s in (1, 2)))).alias("x")).filter("x.g is not null")
+        cells = rows.select("qid", "side", *names, "bin", F.lit(True).alias("own")).unionByName(carried.select("qid", "x.side", *(F.col(f"x.g.{c}").alias(c) for c in names), "bin", F.lit(False).alias("own")))
+        a, b = sides(cells, "bin", "own")
+        met = a.join(b.withColumnRenamed("qid", "b_qid"), (F.col("qid") == F.col("b_qid")) & (F.col("a_bin") == F.col("b_bin")))
+        # a pair counts in the bin where the later of the two starts
+        return met.filter((F.col("a_own") | F.col("b_own")) & (F.col("a_inf") <= F.col("b_sup")) & (F.col("b_inf") <= F.col("a_sup"))).select(*out)
     # at equal starts side 2 comes first: side 1 then meets it, and not the other way round as well
-    order = Window.partitionBy("qid", "bin").orderBy("start", F.col("side").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    of = lambda side: F.last(F.when(F.col("side") == side, F.struct("p", "inf", "sup")), ignorenulls=True).over(order)
-    other = rows.withColumn("o", F.when(F.col("side") == 1, of(2)).otherwise(of(1))).filter(F.col("o.sup") >= F.col("start"))
+    order = Window.partitionBy("qid", "bin").orderBy("inf", F.col("side").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    own = F.struct("inf", "p", "sup", *extra)
+    of = lambda s: F.coalesce(F.last(F.when(F.col("side") == s, own), ignorenulls=True).over(order), F.col(f"c{s}"))
     one = F.col("side") == 1
-    pair = other.select(
-        "qid",
-        "bin",
-        F.when(one, F.col("p")).otherwise(F.col("o.p")).alias("a_p"),
-        F.when(one, F.col("o.p")).otherwise(F.col("p")).alias("b_p"),
-        F.when(one, F.col("inf")).otherwise(F.col("o.inf")).alias("a_inf"),
-        F.when(one, F.col("o.inf")).otherwise(F.col("inf")).alias("b_inf"),
-    )
-    return pair.filter(first).select("qid", "a_p", "b_p")
+    both = rows.join(small_side(carry.select(F.col("qid").alias("c_qid"), F.col("bin").alias("c_bin"), "c1", "c2")), (F.col("qid") == F.col("c_qid")) & (F.col("bin") == F.col("c_bin")))
+    both = both.withColumn("o", F.when(one, of(2)).otherwise(of(1))).filter(F.col("o.sup") >= F.col("inf"))
+    return both.select("qid", *(F.when(one if x == "a" else ~one, F.col(c)).otherwise(F.col(f"o.{c}")).alias(f"{x}_{c}") for x in "ab" for c in ["p", *extra]))
 
 
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, sizes=None, how: str = "asof", bag: bool = False) -> DataFrame:
     """``qid, elem[, freq]`` of queries of one or two sets."""
     groups = written(query_groups(sets, queries, cfg, sizes, bag), "fixed-groups")
     names = [c for ws in cfg.images(1) for c in ws]
-    a, b = (groups.filter(F.col("side") == s).select("qid", F.col("p").alias(f"{x}_p"), *(F.col(c).alias(f"{x}_{c}") for c in [*names, "elems"])) for s, x in ((1, "a"), (2, "b")))
-    met = overlaps(groups, how).join(a.drop("a_elems"), ["qid", "a_p"]).join(b.drop("b_elems"), ["qid", "b_p"]).filter(words.images_meet("a_", "b_", cfg, 1)).select("qid", "a_p", "b_p")
-    full = met.join(a.select("qid", "a_p", "a_elems"), ["qid", "a_p"]).join(b.select("qid", "b_p", "b_elems"), ["qid", "b_p"])
+    # images travel with the ranges, members are read for pairs that pass only
+    met = written(overlaps(groups, how, names).filter(words.images_meet("a_", "b_", cfg, 1)).select("qid", "a_p", "b_p"), "met")
+    a, b = (groups.filter(F.col("side") == s).select("qid", F.col("p").alias(f"{x}_p"), F.col("elems").alias(f"{x}_elems")) for s, x in ((1, "a"), (2, "b")))
+    full = a.join(small_side(met), ["qid", "a_p"]).join(b, ["qid", "b_p"])
     if bag:
         both = full.select("qid", F.explode(_fixed_bag_meet()).alias("x"))
     else:

@@ -74,8 +74,8 @@ def build(sets: DataFrame, cfg: Cfg, m: int | None = None, t: str | None = None,
     sizes = set_stats(sets).withColumn("t", F.expr(t or hashing.t_scan_sql("n", cfg)).cast("int"))
     rows = hashed(sets, cfg, m).join(sizes.select("set_id", "t"), "set_id")
     groups = group_by_prefix(rows, cfg, m, bag=bag)
-    if keep:  # dealt by prefix: all sets' groups of a prefix lie in the same file, and files are even
-        groups = written(groups.repartition(int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions")), "z"), "groups")
+    if keep:  # clustered by set: files are even, and a scan for named sets skips the files and row groups of others
+        groups = written(groups.repartitionByRange("set_id", "z").sortWithinPartitions("set_id", "z"), "groups")
         sizes = written(sizes, "sizes")
     return Index(groups, sizes, cfg, bag=bag)
 

@@ -15,6 +15,7 @@ from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
 from wordset.operators.groups import Index, longest, query_sets
+from wordset.plans.sizing import small_side
 
 
 def _names(cfg: Cfg, m: int) -> list[str]:
@@ -30,10 +31,22 @@ def legs(index: Index, queries: DataFrame) -> DataFrame:
     return q.select("qid", "k", "rank", "set_id", "t", F.lag("t").over(by.orderBy("rank")).alias("t_prev"), F.sort_array(F.collect_list(F.struct("rank", "t")).over(by)).alias("ts"))
 
 
+#: Named sets up to which a scan of stored groups gets their names as a filter, which skips files and row groups of other sets.
+IN_LIST = 1000
+
+
+def named(index: Index, queries: DataFrame) -> Index:
+    """The index restricted to the sets that the queries name, if these are few."""
+    names = [r.set_id for r in queries.select(F.explode("set_ids").alias("set_id")).distinct().limit(IN_LIST + 1).collect()]
+    if len(names) > IN_LIST:
+        return index
+    return Index(index.groups.filter(F.col("set_id").isin(names)), index.stats.filter(F.col("set_id").isin(names)), index.cfg, index.method, index.bag, index.meta)
+
+
 def _leg(index: Index, q: DataFrame, rank: int, columns: list[str]) -> DataFrame:
     """The groups of the sets at one rank of all queries, keyed by their prefix cut to the length before."""
     mine = q.filter(F.col("rank") == rank).select("qid", "k", "set_id", F.col("t").alias("qt"), "t_prev")
-    rows = index.groups.select("set_id", "t", "z", *columns).join(mine, "set_id")
+    rows = index.groups.select("set_id", "t", "z", *columns).join(small_side(mine), "set_id")
     return rows.withColumn("zkey", F.expr("shiftrightunsigned(z, t - coalesce(t_prev, t))"))
 
 
@@ -54,15 +67,14 @@ def align_images(index: Index, q: DataFrame, k_max: int, m: int, memo: bool = Tr
     return out
 
 
-def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True, keep: bool = False) -> tuple[DataFrame, DataFrame, int]:
+def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True) -> tuple[DataFrame, DataFrame, int]:
     """Chains of groups that pass all images: ``qid, k, z, t_k, ts``; the legs; the largest k."""
     cfg = index.cfg
     m = cfg.m if m is None else m
     if m > cfg.m:
         raise ValueError("the index has fewer images")
     k_max = longest(queries)
-    q = legs(index, queries)
-    q = written(q, "legs") if keep else q
+    q = written(legs(index, queries), "legs")
     if not k_max:
         raise ValueError("a query needs at least one set")
     steps = align_images(index, q, k_max, m, memo)
@@ -74,27 +86,24 @@ def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool
     return full.join(last, F.col("qid") == F.col("q_qid")).drop("q_qid"), q, k_max
 
 
-def fetch(index: Index, alive: DataFrame, q: DataFrame, k_max: int, elems=None, finest: bool = False) -> DataFrame:
-    """Members common to all groups of each surviving chain: ``qid, e``, by one equi-join per set on the chain's own prefix.
-
-    From the largest set down (``finest``) the lists shrink before they meet the others; from the smallest up the first list is the
-    shortest. ``elems`` turns the group's member array into the one to intersect (a filter by image bits)."""
-    alive = alive.withColumn("zk", F.col("z"))
-    bag = index.bag
-    ranks = range(k_max, 0, -1) if finest else range(1, k_max + 1)
-    got = alive.withColumn("e", F.lit(None).cast(index.groups.schema["elems"].dataType))
-    for rank in ranks:
-        mine = q.filter(F.col("rank") == rank).select(F.col("qid").alias("e_qid"), "set_id")
-        rows = index.groups.select("set_id", "z", "elems").join(mine, "set_id").select("e_qid", F.col("z").alias("e_z"), "elems")
-        need = got.withColumn("at", F.expr(f"case when k >= {rank} then shiftrightunsigned(zk, t_k - get(ts, {rank - 1}).t) end"))
-        held = need.join(rows, (F.col("qid") == F.col("e_qid")) & (F.col("at") == F.col("e_z")), "left" if rank > 1 else "inner")
-        now = elems(F.col("elems")) if elems else F.col("elems")
-        if bag:
-            both = _bag_meet(F.col("e"), now)
-        else:
-            both = F.array_intersect("e", now)
-        got = held.withColumn("e", F.when(F.col("elems").isNull(), F.col("e")).when(F.col("e").isNull(), now).otherwise(both)).drop("e_qid", "e_z", "elems", "at").filter((F.size("e") > 0) | F.col("e").isNull())
-    return got
+def fetch(index: Index, alive: DataFrame, q: DataFrame, elems=None, finest: bool = False) -> DataFrame:
+    """Members common to all groups of each surviving chain: ``qid, z, e``.
+
+    The groups that chains name are a table of (set, prefix), and members are read by one join with it: broadcast while it is small, so that
+    the members of groups that images proved empty never leave the scan. A chain then meets its k short lists in one shuffle.
+    From the largest set down (``finest``) or from the smallest up. ``elems`` turns the group's member array into the one to
+    intersect (a filter by image bits)."""
+    legs_ = q.select(F.col("qid").alias("w_qid"), "rank", F.col("set_id").alias("w_set"))
+    at = F.expr("shiftrightunsigned(z, t_k - get(ts, rank - 1).t)").alias("w_z")
+    wanted = alive.join(small_side(legs_), F.col("qid") == F.col("w_qid")).select("qid", F.col("z").alias("chain"), "k", "rank", "w_set", at, *(c for c in alive.columns if c.startswith("l_")))
+    wanted = written(wanted, "wanted")
+    rows = index.groups.select("set_id", "z", "elems").join(small_side(wanted), (F.col("set_id") == F.col("w_set")) & (F.col("z") == F.col("w_z")))
+    order = F.col("rank") if not finest else -F.col("rank")
+    lists = rows.select("qid", "chain", "k", F.struct(order.alias("o"), (elems(F.col("elems")) if elems else F.col("elems")).alias("e")).alias("x")).filter(F.size("x.e") > 0)
+    met = lists.groupBy("qid", "chain").agg(F.first("k").alias("k"), F.sort_array(F.collect_list("x")).alias("xs")).filter(F.size("xs") == F.col("k"))
+    meet = _bag_meet if index.bag else F.array_intersect
+    e = F.aggregate(F.slice("xs", F.lit(2), F.size("xs")), F.element_at("xs", 1)["e"], lambda acc, x: meet(acc, x["e"]))
+    return met.select("qid", F.col("chain").alias("z"), e.alias("e")).filter(F.size("e") > 0)
 
 
 def _bag_meet(a, b):
@@ -112,8 +121,9 @@ def _emit(got: DataFrame, bag: bool) -> DataFrame:
 
 def intersect(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True, finest: bool = False) -> DataFrame:
     """``qid, elem[, freq]`` of queries ``(qid, set_ids)``; a query with an unknown or empty set has no rows."""
-    alive, q, k_max = survivors(index, queries, m, memo)
-    return _emit(fetch(index, alive, q, k_max, finest=finest), index.bag)
+    index = named(index, queries)
+    alive, q, _ = survivors(index, queries, m, memo)
+    return _emit(fetch(index, alive, q, finest=finest), index.bag)
 
 
 def common_bits(index: Index, m: int) -> object:
@@ -132,5 +142,6 @@ def common_bits(index: Index, m: int) -> object:
 
 def intersect_by_bits(index: Index, queries: DataFrame, memo: bool = True, finest: bool = True) -> DataFrame:
     """As ``intersect`` with one image, but only members that hash to a common bit are compared at all."""
-    alive, q, k_max = survivors(index, queries, 1, memo)
-    return _emit(fetch(index, alive, q, k_max, common_bits(index, 1), finest), index.bag)
+    index = named(index, queries)
+    alive, q, _ = survivors(index, queries, 1, memo)
+    return _emit(fetch(index, alive, q, common_bits(index, 1), finest), index.bag)

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
@@ -100,8 +101,8 @@ def intersect_limit(ix: SetIndex, names: list[str], n: int, method: str = "auto"
 
 def is_disjoint(ix: SetIndex, queries: DataFrame) -> DataFrame:
     """``qid, disjoint``: proven by images alone where no chain of groups passes, else by members."""
-    alive, q, k_max = scan.survivors(ix.index, queries)
-    hit = scan.fetch(ix.index, alive, q, k_max).filter(F.size("e") > 0).select("qid").distinct().withColumn("hit", F.lit(True))
+    alive, q, _ = scan.survivors(ix.index, queries)
+    hit = scan.fetch(ix.index, alive, q).select("qid").distinct().withColumn("hit", F.lit(True))
     return queries.select("qid").join(hit, "qid", "left").select("qid", F.col("hit").isNull().alias("disjoint"))
 
 
@@ -117,9 +118,10 @@ def intersect_predicates(df: DataFrame, key: str, conditions: list[str]) -> Data
     """Keys with rows that meet each of the conditions, maybe different rows: the intersection of the conditions' sets."""
     if not conditions:
         raise ValueError("a query needs at least one condition")
-    rows = df.select(F.col(key).cast("long").alias("elem"), F.array_compact(F.array(*(F.when(F.expr(c), F.lit(i)) for i, c in enumerate(conditions)))).alias("met"))
-    mask = rows.select("elem", F.explode("met").alias("i")).groupBy("elem").agg(F.expr("bit_or(shiftleft(1L, i))").alias("mask"))
-    return mask.filter(F.col("mask") == (1 << len(conditions)) - 1).select("elem")
+    parts = [conditions[i : i + 62] for i in range(0, len(conditions), 62)]  # a word of bits for each
+    words = [reduce(Column.bitwiseOR, (F.when(F.expr(c), F.lit(1 << i)).otherwise(0).cast("long") for i, c in enumerate(part))) for part in parts]
+    rows = df.filter(F.col(key).isNotNull()).groupBy(F.col(key).cast("long").alias("elem")).agg(*(F.bit_or(w).alias(f"w{j}") for j, w in enumerate(words)))
+    return rows.filter(reduce(Column.__and__, (F.col(f"w{j}") == (1 << len(part)) - 1 for j, part in enumerate(parts)))).select("elem")
 
 
 def search(ix: SetIndex, terms: list[str]) -> DataFrame:

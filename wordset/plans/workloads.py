@@ -8,23 +8,16 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
+from wordset.functions.store import written
 from wordset.operators import baselines, blocks, fixed, measures, prefix, probe, scan
 from wordset.operators import groups as G
 from wordset.sources import families as fam
 from wordset.sources.tables import load
 
-#: Queries per number of terms that the term workload keeps: the most frequent ones.
-TOP_QUERIES = 2000
+#: The term workload: its ten thousand most frequent queries, so many of each number of terms.
+MIX = {2: 6800, 3: 2300, 4: 600, 5: 300}
 #: Cells of the scrambled keys, as a power of two.
 CELL_BITS = 12
-#: Members of a block that a sweep over the whole table keeps to, about.
-BLOCK = 1 << 13
-
-
-def coarse_bits(n_orders: int) -> int:
-    """Leading bits that cut half the keys into blocks of ``BLOCK`` members or fewer, about."""
-    return max(2, (n_orders // 2 // BLOCK).bit_length())
-
 
 def controlled(spark: SparkSession, d: str, points: list[tuple[int, int, int]]) -> tuple[DataFrame, DataFrame]:
     """Sets ``A0, B0, A1, B1, ...`` with sizes n1, n2 and r common members per point (n1, n2, r), and a query per point."""
@@ -60,18 +53,18 @@ def ratio_points(n_orders: int) -> list[tuple[int, int, int]]:
     return [(max(1, n // s), n, max(1, n // s // 100)) for s in (1, 2, 4, 8, 16, 32, 64, 100, 200, 625)]
 
 
-def term_queries(spark: SparkSession, d: str, ks: tuple[int, ...] = (2, 3, 4), top: int = TOP_QUERIES) -> DataFrame:
-    """``qid, k, set_ids``: distinct terms of windows of adjacent words of the benchmark and of users' turns, the most frequent
-    ``top`` of each length, of terms that the documents have."""
+def term_queries(spark: SparkSession, d: str, mix: dict[int, int] = MIX) -> DataFrame:
+    """``qid, k, set_ids, freq``: distinct terms of windows of adjacent words of the benchmark and of users' turns, the most frequent
+    ones, ``mix[k]`` of each length."""
     text = load(spark, d, "benchmark").select("text").unionAll(load(spark, d, "conversations").filter("role = 'user'").select("text"))
     words = text.select(F.expr(fam.tokens("text")).alias("w"))
     out = None
-    for k in ks:
+    for k, top in mix.items():
         windows = words.filter(F.size("w") >= k).select(F.explode(F.expr(f"transform(sequence(1, size(w) - {k - 1}), i -> array_sort(array_distinct(slice(w, i, {k}))))")).alias("set_ids"))
         counts = windows.filter(F.size("set_ids") == k).groupBy("set_ids").agg(F.count(F.lit(1)).alias("freq"))
         best = counts.select(F.lit(k).alias("k"), "set_ids", "freq").orderBy(F.col("freq").desc(), F.array_join("set_ids", " ")).limit(top)
         out = best if out is None else out.unionByName(best)
-    order = Window.orderBy("k", F.col("freq").desc(), F.array_join("set_ids", " "))  # top rows of each k, no more
+    order = Window.orderBy("k", F.col("freq").desc(), F.array_join("set_ids", " "))  # the workload's ten thousand
     return out.select((F.row_number().over(order) - 1).cast("long").alias("qid"), "k", "set_ids", "freq")
 
 
@@ -106,12 +99,13 @@ def timed_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]],
     return measures.timings_frame(spark, rows)
 
 
-def work_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]], cfg: Cfg, methods: tuple[str, ...], **how) -> DataFrame:
-    """``method, qid`` and the kernels' counters at every point: what each method does, free of the clock."""
-    sets, queries = controlled(spark, d, points)
+def work_sweep(sets: DataFrame, queries: DataFrame, cfg: Cfg, methods: tuple[str, ...]) -> DataFrame:
+    """``method, qid`` and the kernels' counters of every query: what each method does, free of the clock. Blocks are built once."""
+    sets = G.pruned(sets, queries)
+    stored, stats = written(blocks.build_blocks(sets, cfg), "blocks"), written(blocks.block_stats(sets), "block-sizes")
     out = None
     for m in methods:
-        one = blocks.counters(sets, queries, cfg, m, **how).select(F.lit(m).alias("method"), "*")
+        one = blocks.counted(blocks.run_stored(stored, stats, queries, cfg, m)).select(F.lit(m).alias("method"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 

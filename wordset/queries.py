@@ -411,53 +411,40 @@ def bounds(spark, d):
 # ---- workloads
 
 
-def ctl_sql(points) -> str:
-    """Controlled sets and, per point, the size of the result by counting."""
+def ctl_cte(points: list[tuple[str, str, str]]) -> str:
+    """CTEs ``k, c, p, u``: the points (n1, n2 and r as expressions of the number of orders, n) and their sets' members by counting."""
     scramble = fam.SCRAMBLE.format(x="o_orderkey")
-    parts = " union all ".join(f"select {j}::bigint as qid, case when side = 0 then 'A' else 'B' end as s, o_orderkey from k, (values (0), (1)) v(side) where case when side = 0 then i <= {n1} else i > {n1 - r} and i <= {n1 - r + n2} end" for j, (n1, n2, r) in enumerate(points))
-    return f"with k as (select o_orderkey, row_number() over (order by {scramble}) as i from orders), u as ({parts}) select qid, count(*) as r from (select qid, o_orderkey from u group by all having count(*) = 2) group by qid"
-
-
-def _sweep(points_of, n=15_000, method="scan"):
-    def run(spark, d):
-        s, q = workloads.controlled(spark, d, points_of(n))
-        got = blocks.run_kernel(s, q, CFG, method, m=2)
-        return got.groupBy("qid").agg(F.sum(F.size("elems")).alias("r")).filter("r > 0")
-
-    return run
-
+    pts = " union all ".join(f"select {j}::bigint as qid, {n1} as n1, {n2} as n2, {r} as r from c" for j, (n1, n2, r) in enumerate(points))
+    return f"""k as (select o_orderkey, row_number() over (order by {scramble}) as i from orders), c as (select count(*) as n from orders), p as ({pts}),
+u as (select qid, 'A' as s, o_orderkey from p join k on i <= n1 union all select qid, 'B', o_orderkey from p join k on i > n1 - r and i <= n1 - r + n2)"""
 
-query("w1_equal", ctl_sql(workloads.equal_points(15_000)))(_sweep(workloads.equal_points))
-query("w2_overlap", ctl_sql(workloads.overlap_points(15_000)))(_sweep(workloads.overlap_points))
-query("w3_ratio", ctl_sql(workloads.ratio_points(15_000)))(_sweep(workloads.ratio_points, method="probe"))
 
+def ctl_sql(points: list[tuple[str, str, str]]) -> str:
+    """Per point the size of the result."""
+    return f"with {ctl_cte(points)} select qid, count(*) as r from (select qid, o_orderkey from u group by all having count(*) = 2) group by qid"
 
-# the same sweeps over all orders, with points from the table's own count
 
+def _points(spark, d, points_of):
+    return workloads.controlled(spark, d, points_of(load(spark, d, "orders").count()))
 
-def ctl_all_sql(points: list[tuple[str, str, str]]) -> str:
-    """As ``ctl_sql``; a point is n1, n2 and r as expressions of the number of orders, n."""
-    scramble = fam.SCRAMBLE.format(x="o_orderkey")
-    pts = " union all ".join(f"select {j}::bigint as qid, {n1} as n1, {n2} as n2, {r} as r from c" for j, (n1, n2, r) in enumerate(points))
-    return f"""with k as (select o_orderkey, row_number() over (order by {scramble}) as i from orders), c as (select count(*) as n from orders), p as ({pts}),
-u as (select qid, 'A' as s, o_orderkey from p join k on i <= n1 union all select qid, 'B', o_orderkey from p join k on i > n1 - r and i <= n1 - r + n2)
-select qid, count(*) as r from (select qid, o_orderkey from u group by all having count(*) = 2) group by qid"""
 
+def _sweep(points_of, method="scan"):
+    """A sweep over all orders; its points come from the table's own count."""
 
-def _sweep_all(points_of, method="scan"):
     def run(spark, d):
-        n = load(spark, d, "orders").count()
-        s, q = workloads.controlled(spark, d, points_of(n))
-        got = blocks.run_kernel(s, q, CFG, method, workloads.coarse_bits(n), m=2)
+        got = blocks.run_kernel(*_points(spark, d, points_of), CFG, method, m=2)
         return got.groupBy("qid").agg(F.sum(F.size("elems")).alias("r")).filter("r > 0")
 
     return run
 
 
-_equal = [f"({a} * n // {b})" for a, b in ((1, 30), (1, 15), (2, 15), (4, 15), (7, 15))]
-query("w1_equal_all", ctl_all_sql([(x, x, f"{x} // 100") for x in _equal]))(_sweep_all(workloads.equal_points))
-query("w2_overlap_all", ctl_all_sql([("n // 2", "n // 2", f"greatest(1, n // 2 * {p} // 10000)") for p in (0, 100, 1000, 3000, 5000, 7000, 9000, 10000)]))(_sweep_all(workloads.overlap_points))
-query("w3_ratio_all", ctl_all_sql([(f"greatest(1, n // 2 // {s})", "n // 2", f"greatest(1, n // 2 // {s} // 100)") for s in (1, 2, 4, 8, 16, 32, 64, 100, 200, 625)]))(_sweep_all(workloads.ratio_points, method="probe"))
+_sizes = [f"({a} * n // {b})" for a, b in ((1, 30), (1, 15), (2, 15), (4, 15), (7, 15))]
+EQUAL = [(x, x, f"{x} // 100") for x in _sizes]
+OVERLAP = [("n // 2", "n // 2", f"greatest(1, n // 2 * {p} // 10000)") for p in (0, 100, 1000, 3000, 5000, 7000, 9000, 10000)]
+RATIO = [(f"greatest(1, n // 2 // {s})", "n // 2", f"greatest(1, n // 2 // {s} // 100)") for s in (1, 2, 4, 8, 16, 32, 64, 100, 200, 625)]
+query("w1_equal", ctl_sql(EQUAL))(_sweep(workloads.equal_points))
+query("w2_overlap", ctl_sql(OVERLAP))(_sweep(workloads.overlap_points))
+query("w3_ratio", ctl_sql(RATIO))(_sweep(workloads.ratio_points, method="probe"))
 
 
 @query("w4_keywords", " union all ".join(f"select {k}::bigint as k, count(*) as r from ({inter_sql('F1', suppliers(k))})" for k in (2, 3, 4)))
@@ -470,8 +457,8 @@ def w4_keywords(spark, d):
 
 _words = r"select regexp_extract_all(lower(text), '[\p{L}\p{N}]+') as w from (select text from benchmark union all select text from conversations where role = 'user')"
 _qterms = " union all ".join(
-    f"select * from (select {k} as k, ids, count(*) as freq from (select list_sort(list_distinct(w[i:i + {k - 1}])) as ids from (select w, unnest(range(1, len(w) - {k - 2})) as i from ({_words}) where len(w) >= {k})) where len(ids) = {k} group by ids order by freq desc, array_to_string(ids, ' ') limit {workloads.TOP_QUERIES})"
-    for k in (2, 3, 4)
+    f"select * from (select {k} as k, ids, count(*) as freq from (select list_sort(list_distinct(w[i:i + {k - 1}])) as ids from (select w, unnest(range(1, len(w) - {k - 2})) as i from ({_words}) where len(w) >= {k})) where len(ids) = {k} group by ids order by freq desc, array_to_string(ids, ' ') limit {top})"
+    for k, top in workloads.MIX.items()
 )
 _results = f"""with tq as (select row_number() over (order by k, freq desc, array_to_string(ids, ' ')) - 1 as qid, k, ids from ({_qterms})), sets as ({F_SQL["F5"]}), st as (select set_id, count(*) as n from sets group by set_id),
 q as (select qid, k, unnest(ids) as set_id from tq), qs as (select qid, k, set_id, n, count(n) over (partition by qid) as known from q left join st using (set_id)),
@@ -622,8 +609,7 @@ def m4_bounds(spark, d):
 @query("work_counters")
 def work_counters(spark, d):
     """What each kernel does at each point of the sweep of equal sets."""
-    n = load(spark, d, "orders").count()
-    return workloads.work_sweep(spark, d, workloads.equal_points(n), CFG, tuple(kernels.METHODS), coarse_bits=workloads.coarse_bits(n))
+    return workloads.work_sweep(*_points(spark, d, workloads.equal_points), CFG, tuple(kernels.METHODS))
 
 
 @query("term_filter_rate")

@@ -64,7 +64,7 @@ def term_docs(spark, d):
 
 def term_passages(spark, d):
     rows = load(spark, d, "documents").select("doc_id", F.posexplode(F.expr(tokens("text"))).alias("i", "w"))
-    return from_table(rows, "w", F.expr("doc_id * 65536 + i div 16"))
+    return from_table(rows, "w", F.expr("doc_id * 16777216 + i div 16"))  # room for 2^28 words a document; wider than 32 bits
 
 
 def page_terms(spark, d):
