@@ -3,7 +3,7 @@
 import pytest
 
 from tests.conftest import same_rows
-from wordset import queries, queries_relational  # noqa: F401
+from wordset import queries, queries_experiments, queries_relational  # noqa: F401
 
 
 @pytest.mark.parametrize("name", sorted(queries.ORACLES))

@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from wordset import queries, queries_relational  # noqa: F401
+from wordset import queries, queries_experiments, queries_relational  # noqa: F401
 from wordset.operators import kernels
 from wordset.plans import workloads
 

@@ -27,6 +27,20 @@ def image_aggregates(cfg: Cfg, m: int | None = None) -> list[Column]:
     return [image(f"y_{j}", k, cfg).alias(name) for j, names in enumerate(cfg.images(m), 1) for k, name in enumerate(names)]
 
 
+def image_pandas():
+    """A grouped Pandas aggregate that makes the same word as ``word_of``, for plans that hold pandas data already."""
+    import pandas as pd
+
+    def made(y):
+        word = 0
+        for v in y.unique().tolist():
+            word |= 1 << v
+        return word - (1 << 64) if word >> 63 else word
+
+    made.__annotations__ = {"y": pd.Series, "return": int}  # types, not their names
+    return F.pandas_udf(made, "long")
+
+
 def images_meet(left: str, right: str, cfg: Cfg, m: int) -> Column:
     """Whether every one of the m images of the two sides has a bit in common; columns are prefixed by the sides."""
     return reduce(lambda a, b: a & b, (reduce(lambda a, b: a | b, (F.col(left + c).bitwiseAND(F.col(right + c)) != 0 for c in names)) for names in cfg.images(m)))

@@ -7,6 +7,8 @@ all that these sets have in common there. A query meets in one shuffle on (query
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -144,36 +146,44 @@ def run_kernel(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str, block
     return run_stored(build_blocks(sets, cfg, block_bits, m, codec), block_stats(sets, block_bits), queries, cfg, method, m, codec)
 
 
-def run_stored(blocks: DataFrame, stats: DataFrame, queries: DataFrame, cfg: Cfg, method: str, m: int | None = None, codec: str = "plain") -> DataFrame:
-    """As ``run_kernel`` over blocks that were built before, with the ``block_stats`` of their sets."""
-    if method not in kernels.METHODS:
+def run_stored(blocks: DataFrame, stats: DataFrame, queries: DataFrame, cfg: Cfg, method: str | tuple[str, ...], m: int | None = None, codec: str = "plain") -> DataFrame:
+    """As ``run_kernel`` over blocks that were built before, with the ``block_stats`` of their sets; with ``nanos``, what the kernel alone took.
+
+    Several methods run on the same blocks, met once; ``method`` says which a row is of."""
+    methods = (method,) if isinstance(method, str) else tuple(method)
+    if not set(methods) <= set(kernels.METHODS):
         raise ValueError(f"method must be one of {sorted(kernels.METHODS)}")
     m = cfg.m if m is None else m
     members = ["zs", "ns", "g", "elem"] if codec == "plain" else ["z0", "head", "payload"]
     met = _met(blocks, queries, stats, ["t", "imgs", *members])
-    schema = "qid long, elems array<long>, " + ", ".join(f"{c} long" for c in COUNTERS)
-    return met.mapInArrow(on_worker(__name__, "kernel_batches", cfg, method, m, codec), schema)
+    schema = "method string, qid long, elems array<long>, " + ", ".join(f"{c} long" for c in (*COUNTERS, "nanos"))
+    return met.mapInArrow(on_worker(__name__, "kernel_batches", cfg, methods, m, codec), schema)
 
 
-def kernel_batches(batches, cfg: Cfg, method: str, m: int, codec: str):
-    run = kernels.METHODS[method]
+def kernel_batches(batches, cfg: Cfg, methods: tuple[str, ...], m: int, codec: str):
     for b in batches:
         out = []
         for qid, bs in zip(b["qid"].to_pylist(), b["bs"].to_pylist(), strict=True):
-            held = []
+            held, t0 = [], time.perf_counter_ns()
             for x in bs:
                 if codec != "plain":
                     x["zs"], x["ns"] = decode_sizes(x["head"], x["z0"], len(x["imgs"]) // m)
                 g = np.array(x["g"], np.int64).view(np.uint64) if codec == "plain" else decode_members(x["payload"], x["t"], x["zs"], x["ns"], cfg, codec)
                 held.append(kernels.Block(x["t"], np.array(x["zs"], np.int64).view(np.uint64), np.array(x["ns"], np.int64), np.array(x["imgs"], np.int64).view(np.uint64).reshape(-1, m), g))
-            common, count = run(held, cfg)
-            if codec == "plain":
-                elems = np.array(bs[0]["elem"], np.int64)[np.searchsorted(held[0].g, common)]
-            else:  # intersected among places in the order, which are one to one with elements
-                elems = hashing.g_inverse_array(pa.array(common.view(np.int64)), cfg).to_numpy()
-            out.append((qid, elems.tolist(), *(count.get(c, 0) for c in COUNTERS)))
-        cols = list(zip(*out, strict=True)) or [[]] * (2 + len(COUNTERS))
-        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.list_(pa.int64())), *(pa.array(c, pa.int64()) for c in cols[2:])], ["qid", "elems", *COUNTERS])
+            decoding = time.perf_counter_ns() - t0 if codec != "plain" else 0  # coded blocks are decoded for every query
+            for method in methods:
+                t0 = time.perf_counter_ns()
+                common, count = kernels.METHODS[method](held, cfg)
+                nanos = time.perf_counter_ns() - t0 + decoding
+                if codec == "plain":
+                    elems = np.array(bs[0]["elem"], np.int64)[np.searchsorted(held[0].g, common)]
+                else:  # intersected among places in the order, which are one to one with elements
+                    elems = hashing.g_inverse_array(pa.array(common.view(np.int64)), cfg).to_numpy()
+                out.append((method, qid, elems.tolist(), *(count.get(c, 0) for c in COUNTERS), nanos))
+        cols = list(zip(*out, strict=True)) or [[]] * (4 + len(COUNTERS))
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(cols[0], pa.string()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.list_(pa.int64())), *(pa.array(c, pa.int64()) for c in cols[3:])], ["method", "qid", "elems", *COUNTERS, "nanos"]
+        )
 
 
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str = "scan", **how) -> DataFrame:
@@ -187,5 +197,5 @@ def counters(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str = "scan"
 
 
 def counted(rows: DataFrame) -> DataFrame:
-    """Kernel rows by query: ``qid``, the counters and ``r``."""
-    return rows.groupBy("qid").agg(*(F.sum(c).alias(c) for c in COUNTERS), F.sum(F.size("elems")).alias("r"))
+    """Kernel rows by method and query: ``method, qid``, the counters and ``r``."""
+    return rows.groupBy("method", "qid").agg(*(F.sum(c).alias(c) for c in COUNTERS), F.sum(F.size("elems")).alias("r"))

@@ -101,6 +101,57 @@ def group_sizes(index: Index) -> DataFrame:
     return index.groups.groupBy(F.col("n").cast("long").alias("n")).agg(F.count(F.lit(1)).alias("groups"))
 
 
+def false_positives(index: Index, queries: DataFrame, m: int) -> DataFrame:
+    """By number of images: pairs of groups without common members that all images let pass; ``m, empty_pairs, passed, rate``."""
+    rate = filter_rate(index, queries, m)
+    passed = F.col("empty_pairs") - F.col("filtered")
+    return rate.select(F.col("m").cast("long").alias("m"), "empty_pairs", passed.alias("passed"), F.round(passed / F.col("empty_pairs"), 6).alias("rate"))
+
+
+def candidates(sets: DataFrame, queries: DataFrame, cfg: Cfg) -> DataFrame:
+    """``qid, i, elems``: the candidates that set i and all larger ones hold but some smaller one doesn't, among members whose hash is in the
+    common image of their groups; i counts from 2."""
+    index = _one_image(pruned(sets, queries), cfg)
+    alive, q, _ = scan.survivors(index, queries, 1)
+    mine = q.select(F.col("qid").alias("c_qid"), "rank", F.col("set_id").alias("c_set"))
+    last = alive.join(small_side(mine), (F.col("qid") == F.col("c_qid")) & (F.col("rank") == F.col("k"))).select("qid", "k", "z", "c_set", *(c for c in alive.columns if c.startswith("l_")))
+    held = last.join(index.groups.select("set_id", F.col("z").alias("g_z"), "elems"), (F.col("c_set") == F.col("set_id")) & (F.col("z") == F.col("g_z")))
+    gamma = held.select("qid", "k", F.explode(scan.common_bits(index, 1)(F.col("elems"))).alias("x")).select("qid", "k", F.col("x.elem").alias("elem"))
+    where = sets.join(small_side(mine), F.col("set_id") == F.col("c_set")).select("c_qid", "rank", F.col("elem").alias("c_elem"))
+    found = gamma.join(where, (F.col("qid") == F.col("c_qid")) & (F.col("elem") == F.col("c_elem"))).groupBy("qid", "k", "elem").agg(F.collect_set("rank").alias("ranks"))
+    # from which set on the member is in all larger ones
+    start = F.expr("array_max(filter(sequence(1, k), i -> not array_contains(ranks, i)))")
+    lost = found.withColumn("gap", start).filter("gap is not null")
+    return lost.select("qid", F.explode(F.expr("sequence(gap + 1, k)")).alias("i")).groupBy("qid", F.col("i").cast("long").alias("i")).agg(F.count(F.lit(1)).alias("elems"))
+
+
+def _one_image(sets: DataFrame, cfg: Cfg) -> Index:
+    from wordset.operators.groups import build
+
+    return build(sets, cfg.with_(m=1), keep=True)
+
+
+def space_multires(levels: DataFrame) -> DataFrame:
+    """Per level below the finest, counted from it upward: groups, and the words of their ``first`` entries, each a group-local offset of
+    log2 of the group's size in bits."""
+    top = levels.groupBy("set_id").agg(F.max("t").alias("top"))
+    rows = levels.join(top, "set_id").withColumn("size", F.col("right") - F.col("left") + 1)
+    return rows.groupBy((F.col("top") - F.col("t")).cast("long").alias("up")).agg(F.count(F.lit(1)).alias("groups"), F.sum(F.expr(hashing.bits_of_sql("size"))).cast("long").alias("first_words"))
+
+
+def space_families(sets: DataFrame, cfg: Cfg, ms=(1, 2, 4, 8)) -> DataFrame:
+    """``space_words`` of many families ``(family, set_id, elem)`` in one pass; groups are counted, not made."""
+    n = sets.groupBy("family", "set_id").agg(F.count(F.lit(1)).alias("n"))
+    t = F.expr(hashing.t_scan_sql("n", cfg)).cast("int")
+    rows = sets.join(n.select("family", "set_id", t.alias("t")), ["family", "set_id"])
+    groups = rows.groupBy("family", "set_id", F.expr(hashing.prefix_sql(hashing.g_sql("elem", cfg), "t", cfg)).alias("z")).agg(F.count(F.lit(1)).alias("n"))
+    g = groups.groupBy("family").agg(F.count(F.lit(1)).alias("g"), F.sum("n").alias("n"))
+    runs = n.groupBy("family").agg(F.sum(F.expr(f"ceil(n / {cfg.root})")).alias("runs"))
+    forms = [("plain", 0, "n"), *(("image_scan", m, f"n + {m + 1} * g") for m in ms), ("prefix_groups", 1, "1.5 * n + 3 * g"), ("fixed_groups", 1, "1.5 * n + 2 * runs"), ("prefix_probe", 0, "n + 2 * g")]
+    both = g.join(runs, "family").select("family", "n", F.explode(F.array(*(F.struct(F.lit(s).alias("structure"), F.lit(m).cast("long").alias("m"), F.expr(f).cast("double").alias("words")) for s, m, f in forms))).alias("x"))
+    return both.select("family", "x.structure", "x.m", F.floor("x.words").cast("long").alias("words"), F.round(F.col("x.words") / F.col("n") - 1, 6).alias("overhead"))
+
+
 def group_tail(index: Index, eps: float) -> DataFrame:
     """Mean size of the groups over all prefixes, and the share above (1+eps) root(w)."""
     root = index.cfg.root

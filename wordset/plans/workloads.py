@@ -102,10 +102,17 @@ def timed_sweep(spark: SparkSession, d: str, points: list[tuple[int, int, int]],
 def work_sweep(sets: DataFrame, queries: DataFrame, cfg: Cfg, methods: tuple[str, ...]) -> DataFrame:
     """``method, qid`` and the kernels' counters of every query: what each method does, free of the clock. Blocks are built once."""
     sets = G.pruned(sets, queries)
-    stored, stats = written(blocks.build_blocks(sets, cfg), "blocks"), written(blocks.block_stats(sets), "block-sizes")
+    return blocks.counted(blocks.run_stored(blocks.build_blocks(sets, cfg), blocks.block_stats(sets), queries, cfg, methods))
+
+
+def kernel_results(sets: DataFrame, queries: DataFrame, cfg: Cfg, methods: tuple[str, ...], codecs: tuple[str, ...] = ("plain",), m: int = 2) -> DataFrame:
+    """``codec, method, qid, r, seconds`` of kernels on one workload, on the same blocks in each coding; ``seconds`` is the kernel's own
+    time, with decoding, summed over the blocks of a query."""
+    sets = G.pruned(sets, queries)
     out = None
-    for m in methods:
-        one = blocks.counted(blocks.run_stored(stored, stats, queries, cfg, m)).select(F.lit(m).alias("method"), "*")
+    for codec in codecs:
+        rows = blocks.run_stored(blocks.build_blocks(sets, cfg, m=m, codec=codec), blocks.block_stats(sets), queries, cfg, methods, m, codec)
+        one = rows.groupBy("method", "qid").agg(F.sum(F.size("elems")).cast("long").alias("r"), (F.sum("nanos") / 1e9).alias("seconds")).select(F.lit(codec).alias("codec"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -118,17 +125,17 @@ def random_suppliers(n_suppliers: int, k: int, runs: int = 20, seed: int = 42) -
     return [[str(x) for x in r.sample(range(n_suppliers), k)] for _ in range(runs)]
 
 
-def random_terms(sizes: list[tuple[str, int]], k: int, n: int, seed: int = 42) -> list[list[str]]:
-    """Queries of k distinct terms drawn with the weight of their sets' sizes, from a driver-side list of term sizes."""
-    import random
-
-    r = random.Random(seed)
-    names, weights = zip(*sorted(sizes), strict=True)
-    out = []
-    for _ in range(n):
-        q: list[str] = []
-        while len(q) < k:
-            if (t := r.choices(names, weights)[0]) not in q:
-                q.append(t)
-        out.append(q)
+def random_terms(sets: DataFrame, mix: dict[int, int]) -> DataFrame:
+    """``qid, k, set_ids``: queries of distinct terms drawn with the weight of their sets' sizes, ``mix[k]`` of each length: the first postings
+    in the order of a digest, k at a time. Draws with a term twice are left out."""
+    total = sum(k * n for k, n in mix.items())
+    drawn = sets.select("set_id", F.md5(F.concat_ws("|", "set_id", F.col("elem").cast("string"))).alias("d")).orderBy("d", "set_id").limit(total)
+    drawn = drawn.withColumn("i", F.row_number().over(Window.orderBy("d", "set_id")) - 1)  # the workload's draws, no more
+    out, start, first = None, 0, 0
+    for k, n in mix.items():
+        part = drawn.filter((F.col("i") >= start) & (F.col("i") < start + k * n))
+        qid = (F.floor((F.col("i") - start) / k) + first).cast("long")
+        one = part.groupBy(qid.alias("qid")).agg(F.array_sort(F.collect_set("set_id")).alias("set_ids")).filter(F.size("set_ids") == k).select("qid", F.lit(k).alias("k"), "set_ids")
+        out = one if out is None else out.unionByName(one)
+        start, first = start + k * n, first + n
     return out

@@ -610,11 +610,3 @@ def m4_bounds(spark, d):
 def work_counters(spark, d):
     """What each kernel does at each point of the sweep of equal sets."""
     return workloads.work_sweep(*_points(spark, d, workloads.equal_points), CFG, tuple(kernels.METHODS))
-
-
-@query("term_filter_rate")
-def term_filter_rate(spark, d):
-    """Filtering on two-term queries of the term workload."""
-    q = written(workloads.term_queries(spark, d, (2,)), "term-queries").select("qid", "set_ids")
-    s = G.pruned(fam.term_docs(spark, d), q)
-    return measures.filter_rate(G.build(s, CFG, keep=True), q, 4)

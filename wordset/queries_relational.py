@@ -258,9 +258,9 @@ def global_sort(spark, d):
     return ranked.join(F.broadcast(skip), "part").select("s_suppkey", (F.col("i") + F.col("skip")).cast("long").alias("at"))
 
 
-@query("sorted_index")
+@query("sorted_index", f"with {e_sql(m=1)}, {grp_sql(1)} select set_id, z, n from grp")
 def sorted_index(spark, d):
-    return prefix.build(fam.supp_orders(spark, d), CFG).groups.repartition("set_id").sortWithinPartitions("set_id", "z").select("set_id", "z", "n")
+    return prefix.build(fam.supp_orders(spark, d), CFG).groups.repartition("set_id").sortWithinPartitions("set_id", "z").select("set_id", "z", F.col("n").cast("long").alias("n"))
 
 
 @query("intersect_count", "select count(*) as r from (" + inter_sql("F2", [["AF", "NF"]]) + ")")
