@@ -131,6 +131,17 @@ def test_codes_round_trip():
     for codec in ("gamma", "delta"):
         assert codes.decode_gaps(codes.encode_gaps(values, codec), len(values), codec) == values
     assert codes.decode_gaps(codes.encode_gaps([], "gamma"), 0, "gamma") == []
+    for codec in ("gamma", "delta"):
+        x = np.array([1, 2, 3, 4, 7, 8, 255, 256, (1 << 31) - 1, 1 << 31, (1 << 32) - 1] + [r.randrange(1, 1 << r.randint(1, 32)) for _ in range(500)], np.uint64)
+        w = codes.BitWriter()
+        for v in x.tolist():
+            getattr(w, codec)(v)
+        assert codes.pack_codes(x, codec) == w.done()[0]
+        assert (codes.unpack_codes(codes.pack_codes(x, codec), len(x), codec) == x).all()
+    counts = np.array([3, 1, 4, 2])
+    v = np.array([0, 4, 9, 7, 1, 2, 3, 8, 0, 5])
+    assert (codes.from_gaps(codes.gaps_of(v, counts), counts) == v).all()
+    assert codes.unpack_sizes(codes.pack_sizes(np.array([3, 0, 1, 7])))[:4].tolist() == [3, 0, 1, 7]
     low = np.array([r.randrange(1 << 29) for _ in range(100)], np.uint64)
     assert (codes.unpack_low(codes.pack_low(low, 29), 100, 29) == low).all()
     w = codes.BitWriter()
@@ -271,9 +282,37 @@ def test_index_from_a_stream(spark, f1, tmp_path):
     assert got.count() == want.count()
 
 
+def test_members_are_taken_away(spark, f1, tmp_path):
+    path = f"file://{tmp_path}/index"
+    merge = st.merge_index_batch(spark, path, Cfg(m=2))
+    small = f1.filter("set_id in ('0', '1')")
+    merge(small, 0)
+    merge(small.filter("elem % 3 = 0").withColumn("gone", F.lit(True)), 1)
+    want = G.build(small.filter("elem % 3 <> 0"), Cfg(m=2)).groups.select("set_id", "t", "z", "n", "img_1")
+    got = st.read_index(spark, path).select("set_id", "t", "z", "n", "img_1")
+    assert got.count() == want.count() and got.exceptAll(want).count() == 0
+
+
+def test_late_events_are_kept_apart(spark, tmp_path):
+    path = f"file://{tmp_path}/events"
+    split = st.late_policy(path, "1 hour")
+    frame = lambda *hours: spark.createDataFrame([(h,) for h in hours], "h int").selectExpr("timestamp '2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, h) as ts", "h")
+    split(frame(5, 6, 1), 0)  # nothing is known before the first batch
+    split(frame(5, 4, 9), 1)
+    split(frame(7, 8, 10), 2)
+    split(frame(7, 8, 10), 2)
+    read = lambda name: sorted(r.h for r in spark.read.parquet(f"{path}/{name}").collect())
+    assert read("late") == [4, 7] and read("on_time") == [1, 5, 5, 6, 8, 9, 10]
+
+
 def test_stateful_images(spark, sf):
     got = st.run_once(st.image_state(st.read_events(spark, f"{sf}/events.parquet")), "t_state", "update")
-    counts = {r.set_id: r.n for r in got.groupBy("set_id").agg(F.max("n").alias("n")).collect()}
+    last = got.groupBy("set_id", "z").agg(F.max("n").alias("n"), F.max_by("img", "n").alias("img"))
+    counts = {r.set_id: r.n for r in last.groupBy("set_id").agg(F.sum("n").alias("n")).collect()}
+    users = spark.read.parquet(f"{sf}/events.parquet").select(F.col("event_type").alias("set_id"), F.col("user_id").alias("elem"))
+    rows = G.hashed(users, Cfg(m=1)).withColumn("z", F.expr(hashing.prefix_sql("g", 3, Cfg())))
+    images = {(r.set_id, r.z): r.img for r in rows.groupBy("set_id", "z").agg(F.expr("bit_or(shiftleft(1L, y_1))").alias("img")).collect()}
+    assert {(r.set_id, r.z): r.img for r in last.collect()} == images
     want = {r.event_type: r["count"] for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("event_type").count().collect()}
     assert counts == want
 

@@ -75,39 +75,23 @@ def encode_blocks(batches, cfg: Cfg, codec: str):
             if codec == "lowbits":
                 out.append(codes.pack_low(low, width))
                 continue
-            w, at = codes.BitWriter(), 0
-            put = getattr(w, codec)
-            for n in ns:
-                last = -1
-                for v in low[at : at + n].tolist():
-                    put(v - last)
-                    last = v
-                at += n
-            out.append(w.done()[0])
+            out.append(codes.pack_codes(codes.gaps_of(low, np.array(ns)), codec))
         columns = [b["set_id"], b["cb"], b["c"], b["t"], pa.array(firsts, pa.int64()), pa.array(heads, pa.binary()), b["imgs"], pa.array(out, pa.binary())]
         yield pa.RecordBatch.from_arrays(columns, ["set_id", "cb", "c", "t", "z0", "head", "imgs", "payload"])
 
 
 def encode_sizes(zs: list[int], ns: list[int]) -> bytes:
     """Sizes of the groups from the first prefix to the last, empty ones too, in unary."""
-    w, at = codes.BitWriter(), zs[0]
-    for z, n in zip(zs, ns, strict=True):
-        for _ in range(z - at):
-            w.unary(0)
-        w.unary(n)
-        at = z + 1
-    return w.done()[0]
+    sizes = np.zeros(zs[-1] - zs[0] + 1, np.int64)
+    sizes[np.array(zs) - zs[0]] = ns
+    return codes.pack_sizes(sizes)
 
 
 def decode_sizes(head: bytes, z0: int, groups: int) -> tuple[list[int], list[int]]:
     """Prefixes and sizes of the ``groups`` non-empty groups."""
-    r, z, zs, ns = codes.BitReader(head), z0, [], []
-    while len(zs) < groups:
-        if n := r.unary():
-            zs.append(z)
-            ns.append(n)
-        z += 1
-    return zs, ns
+    sizes = codes.unpack_sizes(head)
+    full = np.flatnonzero(sizes)[:groups]
+    return (full + z0).tolist(), sizes[full].tolist()
 
 
 def decode_members(payload: bytes, t: int, zs, ns, cfg: Cfg, codec: str) -> np.ndarray:
@@ -116,14 +100,8 @@ def decode_members(payload: bytes, t: int, zs, ns, cfg: Cfg, codec: str) -> np.n
     if codec == "lowbits":
         low = codes.unpack_low(payload, int(sum(ns)), width)
     else:
-        r, parts = codes.BitReader(payload), []
-        get = getattr(r, codec)
-        for n in ns:
-            last = -1
-            for _ in range(n):
-                last += get()
-                parts.append(last)
-        low = np.array(parts, np.uint64)
+        counts = np.array(ns, np.int64)
+        low = codes.from_gaps(codes.unpack_codes(payload, int(counts.sum()), codec), counts).astype(np.uint64)
     high = np.repeat(np.array(zs, np.int64).view(np.uint64) << np.uint64(width), ns) if width < 64 else np.zeros(len(low), np.uint64)
     return high | low
 

@@ -1,4 +1,4 @@
-"""Cursor programs over the blocks of a query, each with a count of what it did.
+"""Cursor programs over the blocks of a query, each with a count of what it did: ``comparisons`` are counted, not estimated.
 
 A block holds the members of one set below a prefix as ascending unsigned numbers (their places in the common order). Every
 program returns the common numbers, ascending, and its counters. Smaller sets come first.
@@ -6,7 +6,6 @@ program returns the common numbers, ascending, and its counters. Smaller sets co
 
 from __future__ import annotations
 
-from bisect import bisect_left
 from dataclasses import dataclass
 from functools import cached_property
 
@@ -67,12 +66,17 @@ def _array(values) -> np.ndarray:
 
 
 def merge(blocks: list[Block], cfg: Cfg):
-    """All lists in step; comparisons are the members passed until some list ends."""
-    now = blocks[0].g
+    """Lists in step, pair by pair. Two cursors compare once for every member they pass until a list ends, and once for both of equal ones."""
+    now, count, fetched = blocks[0].g, 0, sum(len(b.g) for b in blocks)
     for b in blocks[1:]:
-        now = np.intersect1d(now, b.g, assume_unique=True)
-    end = min((b.g[-1] for b in blocks if len(b.g)), default=np.uint64(0))
-    return now, {"comparisons": int(sum(np.searchsorted(b.g, end, "right") for b in blocks)), "elems_fetched": sum(len(b.g) for b in blocks)}
+        if len(now) and len(b.g):
+            end = min(now[-1], b.g[-1])
+            passed = np.searchsorted(now, end, "right") + np.searchsorted(b.g, end, "right")
+            now = np.intersect1d(now, b.g, assume_unique=True)
+            count += int(passed) - len(now)
+        else:
+            now = now[:0]
+    return now, {"comparisons": count, "elems_fetched": fetched}
 
 
 def hash_probe(blocks: list[Block], cfg: Cfg):
@@ -119,19 +123,46 @@ def skip_list(blocks: list[Block], cfg: Cfg):
     return _array(out), {"comparisons": count[0]}
 
 
+_ONES = np.uint64(0x0101010101010101)
+_HIGH = np.uint64(0x8080808080808080)
+
+
 def packed_codes(blocks: list[Block], cfg: Cfg):
-    """Short codes of the members of a bucket, eight to a word, are compared by arrays; members behind equal codes are verified."""
+    """Codes of eight bits, packed eight to a word by bucket: a candidate is compared with a word of codes at once, and members behind equal
+    codes are verified. Counted are words compared and members verified."""
     now, count = blocks[0].g, 0
     for b in blocks[1:]:
         n = max(1, len(b.g) // 8)
         shift = np.uint64(max(0, cfg.universe_bits - hashing.bit_length(n) - 8))
-        codes = b.g >> shift  # bucket and code together; ascending like the members
-        lo, hi = np.searchsorted(codes, now >> shift, "left"), np.searchsorted(codes, now >> shift, "right")
-        size = hi - lo
-        owner = np.repeat(np.arange(len(now)), size)
-        at = np.arange(len(owner)) - np.repeat(np.cumsum(size) - size, size) + lo[owner]
-        same = b.g[at] == now[owner]
-        count += len(now) + len(owner)
+        byte, eight = np.uint64(255), np.uint64(8)
+        bucket = b.g >> shift >> eight
+        first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, np.int64)
+        size = np.diff(np.r_[first, len(bucket)])
+        words = -(-size // 8)
+        start = np.cumsum(words) - words
+        row, place = _spread(size)
+        packed = np.zeros(8 * int(words.sum()), np.uint8)
+        packed[8 * start[row] + place] = ((b.g >> shift) & byte).astype(np.uint8)
+        packed = packed.view("<u8")
+        # the bucket of each candidate, and the words in it
+        at = np.searchsorted(bucket[first], now >> shift >> eight)
+        inside = np.flatnonzero(at < len(first))
+        inside = inside[bucket[first][at[inside]] == (now >> shift >> eight)[inside]]
+        owner, word = _spread(words[at[inside]])
+        owner = inside[owner]
+        word += start[at[owner]]
+        v = packed[word] ^ (((now[owner] >> shift) & byte) * _ONES)
+        hit = (v - _ONES) & ~v & _HIGH  # the high bit of each byte that is zero, and maybe of the one after it
+        count += len(v)
+        some = np.flatnonzero(hit)
+        bits = np.unpackbits(hit[some].astype("<u8").view(np.uint8).reshape(-1, 8) >> 7, axis=1)[:, 7::8]
+        which, lane = np.nonzero(bits)
+        owner, word = owner[some][which], word[some][which]
+        place = 8 * (word - start[at[owner]]) + lane
+        real = place < size[at[owner]]
+        owner, place = owner[real], place[real]
+        count += len(owner)
+        same = b.g[first[at[owner]] + place] == now[owner]
         now = now[owner[same]]
     return now, {"comparisons": int(count)}
 
@@ -142,18 +173,15 @@ def lookup(blocks: list[Block], cfg: Cfg):
     for b in blocks[1:]:
         if not len(b.g):
             return _array([]), {"comparisons": count}
-        low, span = int(b.g[0]), int(b.g[-1]) - int(b.g[0]) + 1
-        width = max(1, span * cfg.bucket // len(b.g))
-        keep = []
-        starts = [bisect_left(b.g, low + i * width) for i in range(span // width + 2)]
-        for x in now.tolist():
-            i = (x - low) // width
-            if 0 <= i < len(starts) - 1:
-                part = b.g[starts[i] : starts[i + 1]]
-                count += len(part)
-                if (part == np.uint64(x)).any():
-                    keep.append(x)
-        now = _array(keep)
+        low, span = b.g[0], int(b.g[-1]) - int(b.g[0]) + 1
+        width = np.uint64(max(1, span * cfg.bucket // len(b.g)))
+        slot = ((b.g - low) // width).astype(np.int64)
+        starts = np.searchsorted(slot, np.arange(int(slot[-1]) + 2))
+        now = now[(now >= low) & (now <= b.g[-1])]
+        i = ((now - low) // width).astype(np.int64)
+        owner, place = _spread(starts[i + 1] - starts[i])
+        count += len(owner)
+        now = now[owner[b.g[starts[i][owner] + place] == now[owner]]]
     return now, {"comparisons": count}
 
 
@@ -163,9 +191,20 @@ def _gallop(a: list[int], x: int, lo: int, count: list[int]) -> int:
     while hi < len(a) and a[hi] < x:
         count[0] += 1
         lo, hi, step = hi + 1, hi + step, step * 2
-    hi = min(hi, len(a))
-    count[0] += (hi - lo).bit_length() + 1
-    return bisect_left(a, x, lo, hi)
+    count[0] += hi < len(a)
+    return _search(a, x, lo, min(hi, len(a)), count)
+
+
+def _search(a: list[int], x: int, lo: int, hi: int, count: list[int]) -> int:
+    """``bisect_left`` that counts its comparisons."""
+    while lo < hi:
+        mid = (lo + hi) // 2
+        count[0] += 1
+        if a[mid] < x:
+            lo = mid + 1
+        else:
+            hi = mid
+    return lo
 
 
 def smallest_first(blocks: list[Block], cfg: Cfg):
@@ -211,10 +250,9 @@ def round_robin(blocks: list[Block], cfg: Cfg):
 
 def median_split(blocks: list[Block], cfg: Cfg):
     """The median of the smaller list is searched in the larger, and both halves are solved; k lists pair by pair."""
-    count = 0
+    count = [0]
 
     def pair(a: list[int], b: list[int]) -> list[int]:
-        nonlocal count
         out, stack = [], [(0, len(a), 0, len(b))]
         while stack:
             a0, a1, b0, b1 = stack.pop()
@@ -222,17 +260,17 @@ def median_split(blocks: list[Block], cfg: Cfg):
                 continue
             if a1 - a0 <= b1 - b0:
                 m = (a0 + a1) // 2
-                p = bisect_left(b, a[m], b0, b1)
+                p = _search(b, a[m], b0, b1, count)
                 hit = p < b1 and b[p] == a[m]
                 stack += [(m + 1, a1, p + hit, b1), (a0, m, b0, p)]
                 value = a[m]
             else:
                 m = (b0 + b1) // 2
-                p = bisect_left(a, b[m], a0, a1)
+                p = _search(a, b[m], a0, a1, count)
                 hit = p < a1 and a[p] == b[m]
                 stack += [(p + hit, a1, m + 1, b1), (a0, p, b0, m)]
                 value = b[m]
-            count += max(a1 - a0, b1 - b0).bit_length()
+            count[0] += 1  # whether it is there
             if hit:
                 out.append(value)
         return sorted(out)
@@ -240,7 +278,7 @@ def median_split(blocks: list[Block], cfg: Cfg):
     now = blocks[0].g.tolist()
     for b in blocks[1:]:
         now = pair(now, b.g.tolist())
-    return _array(now), {"comparisons": count}
+    return _array(now), {"comparisons": count[0]}
 
 
 def hybrid_adaptive(blocks: list[Block], cfg: Cfg):
@@ -268,18 +306,32 @@ def hybrid_adaptive(blocks: list[Block], cfg: Cfg):
 
 
 def binary_probe(blocks: list[Block], cfg: Cfg):
-    """Members of the smallest list by binary search within the facing group of each larger one."""
+    """Members of the smallest list by binary search within the facing group of each larger one, whose bounds are a directory."""
     now, count = blocks[0].g, 0
     t = hashing.t_probe(max(1, len(blocks[0].g)))
     for b in blocks[1:]:
         shift = np.uint64(cfg.universe_bits - min(t + blocks[0].t, cfg.universe_bits))
-        z = now >> shift
-        lo, hi = np.searchsorted(b.g >> shift, z, "left"), np.searchsorted(b.g >> shift, z, "right")
-        at = np.searchsorted(b.g, now)
-        count += int(np.ceil(np.log2(np.maximum(hi - lo, 1) + 1)).sum())
-        ok = (at < len(b.g)) & (b.g[np.minimum(at, max(len(b.g) - 1, 0))] == now) if len(b.g) else np.zeros(len(now), bool)
-        now = now[ok]
-    return now, {"comparisons": count}
+        z = b.g >> shift
+        first = np.flatnonzero(np.r_[True, z[1:] != z[:-1]]) if len(z) else np.zeros(0, np.int64)
+        ends = np.r_[first, len(z)]
+        at = np.searchsorted(z[first], now >> shift)  # the group's place; empty ones have none
+        here = at < len(first)
+        here[here] = z[first][at[here]] == (now >> shift)[here]
+        now, at = now[here], at[here]
+        lo, hi = ends[at], ends[at + 1]
+        end = hi.copy()
+        open_ = np.flatnonzero(lo < hi)
+        while len(open_):
+            mid = (lo[open_] + hi[open_]) // 2
+            count += len(open_)
+            less = b.g[mid] < now[open_]
+            lo[open_[less]] = mid[less] + 1
+            hi[open_[~less]] = mid[~less]
+            open_ = open_[lo[open_] < hi[open_]]
+        found = lo < end
+        found[found] = b.g[lo[found]] == now[found]
+        now = now[found]
+    return now, {"comparisons": int(count)}
 
 
 def image_scan(blocks: list[Block], cfg: Cfg):

@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
+from wordset.functions.worker import on_worker
 from wordset.operators import scan
 from wordset.operators.groups import Index, group_by_prefix, hashed, ordered, pruned, query_sets, set_stats
+from wordset.plans.sizing import small_side
 
 
 def build(sets: DataFrame, cfg: Cfg, t: str | None = None, bag: bool = False, keep: bool = False) -> Index:
@@ -93,13 +96,48 @@ def build_multires(sets: DataFrame, cfg: Cfg, coarse: int = 4) -> tuple[DataFram
     return elements, written(out, "multires-levels")
 
 
-def inverse_of(elements: DataFrame, levels: DataFrame, t: int) -> DataFrame:
+def inverse_of(elements: DataFrame, levels: DataFrame, t: int, cfg: Cfg = Cfg()) -> DataFrame:
     """``set_id, z, y, elems`` at level t: for each bit of a group, the list that starts at ``first`` and follows ``next_pos``
-    up to the right bound. Members between the bounds with that bit are just those of the walk."""
-    at = levels.filter(F.col("t") == t).select("set_id", "z", "left", "right", F.explode("first").alias("y", "head"))
-    e = elements.select(F.col("set_id").alias("e_set"), "pos", "elem", F.col("y").alias("e_y"))
-    walk = at.join(e, (F.col("set_id") == F.col("e_set")) & (F.col("y") == F.col("e_y")) & (F.col("pos") >= F.col("head")) & (F.col("pos") <= F.col("right")))
-    return walk.groupBy("set_id", "z", "y").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "elem"))), lambda x: x["elem"]).alias("elems"))
+    up to the right bound. Members come to their group by an equi-join on the prefix; a task walks one group after the other."""
+    at = levels.filter(F.col("t") == t).select("set_id", "z", "left", "right", F.map_entries("first").alias("heads"))
+    e = elements.select(F.col("set_id").alias("e_set"), F.expr(hashing.prefix_sql("g", t, cfg)).alias("e_z"), "pos", "elem", "next_pos")
+    # the heads come with the group's first member only
+    rows = e.join(at, (F.col("set_id") == F.col("e_set")) & (F.col("z") == F.col("e_z"))).select("set_id", "z", "pos", "elem", "next_pos", "right", F.when(F.col("pos") == F.col("left"), F.col("heads")).alias("heads"))
+    rows = rows.repartition("set_id", "z").sortWithinPartitions("set_id", "z", "pos")
+    return rows.mapInArrow(on_worker(__name__, "walk_lists"), "set_id string, z long, y int, elems array<long>")
+
+
+def walk_lists(batches):
+    """Rows of groups in order of place -> the inverse lists, by following pointers from each list's head."""
+    held: list[tuple] = []
+    key = None
+
+    def walked():
+        at = {r[2]: (r[3], r[4]) for r in held}
+        right = held[0][5]
+        for head in held[0][6]:
+            elems, pos = [], head["value"]
+            while pos is not None and pos <= right:
+                elem, pos = at[pos]
+                elems.append(elem)
+            yield held[0][0], held[0][1], head["key"], elems
+
+    def batch(rows):
+        cols = list(zip(*rows, strict=True))
+        return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.list_(pa.int64()))], ["set_id", "z", "y", "elems"])
+
+    for b in batches:
+        out = []
+        for r in zip(*(c.to_pylist(maps_as_pydicts=None) for c in b.columns), strict=True):
+            if key != r[:2] and held:
+                out += walked()
+                held = []
+            key = r[:2]
+            held.append(r)
+        if out:
+            yield batch(out)
+    if held:
+        yield batch(list(walked()))
 
 
 def intersect_multires(elements: DataFrame, levels: DataFrame, sets: DataFrame, queries: DataFrame, cfg: Cfg, mode: str = "same_size") -> DataFrame:
@@ -130,7 +168,11 @@ def intersect_multires(elements: DataFrame, levels: DataFrame, sets: DataFrame,
         step = now.filter(F.col("k") >= rank).join(r, (F.col("qid") == F.col("r_qid")) & (F.col("z") == F.col("zkey")))
         step = step.select("qid", "k", F.col("r_z").alias("z"), F.col("img_1").bitwiseAND(F.col("r_img")).alias("img_1"), F.array_append("spans", F.col("span")).alias("spans")).filter("img_1 <> 0")
         now = step.unionByName(ended)
-    spans = now.select("qid", "k", "z", "img_1", F.explode("spans").alias("s")).select("qid", "k", "z", "img_1", F.col("s.set_id").alias("set_id"), F.col("s.left").alias("left"), F.col("s.right").alias("right"))
-    e = elements.select(F.col("set_id").alias("e_set"), "pos", "elem", "y")
-    found = spans.join(e, (F.col("set_id") == F.col("e_set")) & F.col("pos").between(F.col("left"), F.col("right"))).filter(F.expr("shiftrightunsigned(img_1, y) & 1") == 1)
+    last = q.groupBy("qid").agg(F.max_by("t", "rank").alias("t_last"))
+    spans = now.select("qid", "k", "z", "img_1", F.explode("spans").alias("s")).select("qid", "k", "z", "img_1", F.col("s.set_id").alias("set_id")).join(last, "qid")
+    # members meet their groups by an equi-join on the prefix that the query asks for; the bounds need no comparison then
+    at = small_side(q.select(F.col("qid").alias("e_qid"), F.col("set_id").alias("e_set"), F.col("t").alias("e_t")))
+    e = elements.join(at, F.col("set_id") == F.col("e_set")).select("e_qid", "e_set", F.expr(hashing.prefix_sql("g", "e_t", cfg)).alias("e_z"), "elem", "y")
+    spans = spans.join(at, (F.col("qid") == F.col("e_qid")) & (F.col("set_id") == F.col("e_set"))).drop("e_qid", "e_set").withColumn("sz", F.expr("shiftrightunsigned(z, t_last - e_t)"))
+    found = spans.join(e, (F.col("qid") == F.col("e_qid")) & (F.col("set_id") == F.col("e_set")) & (F.col("sz") == F.col("e_z"))).filter(F.expr("shiftrightunsigned(img_1, y) & 1") == 1)
     return found.groupBy("qid", "k", "z", "elem").agg(F.count_distinct("set_id").alias("c")).filter("c = k").select("qid", "elem").distinct()

@@ -245,3 +245,14 @@ def image_udaf(spark, d):
     sizes = G.set_stats(s).select("set_id", F.expr(hashing.t_scan_sql("n", CFG)).cast("int").alias("t"))
     rows = G.hashed(s, CFG, 1).join(sizes, "set_id").withColumn("z", F.expr(hashing.prefix_sql("g", "t", CFG)))
     return rows.groupBy("set_id", "z").agg(image_pandas()(F.col("y_1")).alias("img_1"))
+
+
+LEVEL = 4
+
+
+@query("m2_inverse_walk", f"with {e_sql(m=1)}, p as (select set_id, elem, g, y_1, case when n <= 1 then 0 else length(bin(n - 1)) end as top, {hashing.prefix_sql('g', LEVEL, CFG, True)} as z4 from e) select set_id, z4 as z, y_1 as y, count(*) as n, sum(elem)::bigint as total, arg_min(elem, g) as first from p where top >= {LEVEL} group by set_id, z4, y_1")
+def m2_inverse_walk(spark, d):
+    """The inverse lists of one level of the structure of all granularities, by first and next."""
+    e, lv = prefix.build_multires(fam.supp_orders(spark, d), CFG)
+    lists = prefix.inverse_of(e, lv, LEVEL, CFG)
+    return lists.select("set_id", "z", F.col("y").cast("long").alias("y"), F.size("elems").cast("long").alias("n"), F.expr("aggregate(elems, 0L, (a, x) -> a + x)").alias("total"), F.element_at("elems", 1).alias("first"))

@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
-from wordset.functions.store import shared_dir
+from wordset.functions import hashing
+from wordset.functions.store import new_path
 from wordset.operators import groups as G
 from wordset.plans.sizing import small_side
 from wordset.sources.tables import SCHEMAS
@@ -61,23 +62,25 @@ def stream_probe(events: DataFrame, stored: DataFrame, key: str = "user_id") ->
 
 
 def merge_index_batch(spark: SparkSession, index_path: str, cfg: Cfg):
-    """A ``foreachBatch`` function that adds ``(set_id, elem)`` rows to the group table at ``index_path``.
+    """A ``foreachBatch`` function that adds ``(set_id, elem)`` rows to the group table at ``index_path``, or takes them away where a
+    column ``gone`` is true (a member both added and taken away in one batch goes).
 
-    Only sets of the batch are touched. An image is monotone, so members of a known group are OR-ed in; a set that has outgrown
-    its number of groups is cut anew. Versions are written beside each other and a pointer names the last, so a failed
+    Only sets of the batch are touched, and these are cut anew: a deletion can't be taken out of an image. Versions are written beside each other and a pointer names the last, so a failed
     batch leaves the old one, and the same batch twice gives the same index."""
 
     def merge(batch: DataFrame, batch_id: int) -> None:
         s = batch.sparkSession
+        gone = batch.filter(F.coalesce("gone", F.lit(False))).select("set_id", "elem").distinct() if "gone" in batch.columns else None
         fresh = batch.select("set_id", "elem").distinct()
         last = _version(s, index_path)
         if last is None:
-            G.build(fresh, cfg).groups.write.mode("overwrite").parquet(f"{index_path}/v={batch_id}")
+            G.build(fresh if gone is None else fresh.exceptAll(gone), cfg).groups.write.mode("overwrite").parquet(f"{index_path}/v={batch_id}")
         else:
             old = s.read.parquet(f"{index_path}/v={last}")
             touched = fresh.select("set_id").distinct()
             known = old.join(touched, "set_id", "left_semi").select("set_id", F.explode("elems.elem").alias("elem"))
-            rebuilt = G.build(known.unionByName(fresh).distinct(), cfg).groups
+            members = known.unionByName(fresh).distinct()
+            rebuilt = G.build(members if gone is None else members.join(gone, ["set_id", "elem"], "left_anti"), cfg).groups
             kept = old.join(touched, "set_id", "left_anti")
             kept.unionByName(rebuilt).write.mode("overwrite").parquet(f"{index_path}/v={batch_id}")
         s.createDataFrame([(batch_id,)], "v long").coalesce(1).write.mode("overwrite").json(f"{index_path}/_last")
@@ -97,10 +100,11 @@ def read_index(spark: SparkSession, index_path: str) -> DataFrame:
     return spark.read.parquet(f"{index_path}/v={_version(spark, index_path)}")
 
 
-def image_state(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
-    """Per event type a word image and a count of its users' hashes, kept in the state store: ``set_id, img, n``.
+def image_state(events: DataFrame, cfg: Cfg = Cfg(m=1), t: int = 3, watermark: str = "1 hour") -> DataFrame:
+    """Per event type and prefix of t bits of its users a word image and a count, kept in the state store: ``set_id, z, img, n``.
 
-    A stateful operator of our own: the image is updated from whole batches and never forgotten."""
+    A stateful operator of our own: an image is updated from whole batches of the hash values that Spark computes, and never forgotten."""
+    import numpy as np
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -108,19 +112,44 @@ def image_state(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
         img, n = state.get if state.exists else (0, 0)
         for f in frames:
             n += len(f)
-            for y in (f["elem"].astype("int64") * 2654435761 % 2147483647 % 63).tolist():
-                img |= 1 << y
+            img |= int(np.bitwise_or.reduce(np.left_shift(np.int64(1), f["y_1"].to_numpy(np.int64)), initial=0))
         state.update((img, n))
-        yield pd.DataFrame({"set_id": [key[0]], "img": [img], "n": [n]})
+        yield pd.DataFrame({"set_id": [key[0]], "z": [key[1]], "img": [img], "n": [n]})
 
     rows = events.withWatermark("ts", watermark).select(F.col("event_type").alias("set_id"), F.col("user_id").alias("elem"))
-    return rows.groupBy("set_id").applyInPandasWithState(update, "set_id string, img long, n long", "img long, n long", "update", GroupStateTimeout.NoTimeout)
+    rows = G.hashed(rows, cfg, 1).withColumn("z", F.expr(hashing.prefix_sql("g", t, cfg)))
+    return rows.select("set_id", "z", "y_1").groupBy("set_id", "z").applyInPandasWithState(update, "set_id string, z long, img long, n long", "img long, n long", "update", GroupStateTimeout.NoTimeout)
 
 
 def run_once(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """All that is there now through a streaming query, into a table in memory: for tests and small results."""
+    """All that is there now through a streaming query, into a Parquet table in the shared folder.
+
+    A batch is a folder of its own, written over if the batch is run again; in ``complete`` mode the last one is the result."""
     spark = df.sparkSession
-    where = f"{shared_dir(spark)}/wordset-streams/{name}-{id(df)}"
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start()
+    where = new_path(spark, f"stream-{name}")
+
+    def sink(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{where}/rows/{'all' if mode == 'complete' else f'batch={batch_id}'}")
+
+    q = df.writeStream.foreachBatch(sink).outputMode(mode).option("checkpointLocation", f"{where}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    if mode == "complete":
+        return spark.read.schema(df.schema).parquet(f"{where}/rows/all")
+    return spark.read.schema(df.schema).option("recursiveFileLookup", "true").parquet(f"{where}/rows")
+
+
+def late_policy(path: str, allowed: str = "1 hour"):
+    """A ``foreachBatch`` function that keeps late events apart instead of dropping them: ``path/on_time`` has events no more than ``allowed`` behind
+    the latest one of the batches before, ``path/late`` the others, to be merged by a batch job. Run again, a batch gives the same files."""
+
+    def split(batch: DataFrame, batch_id: int) -> None:
+        s = batch.sparkSession
+        marks = f"{path}/latest"
+        p = s.sparkContext._jvm.org.apache.hadoop.fs.Path(marks)
+        known = s.read.parquet(marks).filter(F.col("batch") < batch_id).agg(F.max("ts")).first()[0] if p.getFileSystem(s.sparkContext._jsc.hadoopConfiguration()).exists(p) else None
+        late = F.lit(False) if known is None else F.coalesce(F.col("ts") < F.lit(known) - F.expr(f"interval {allowed}"), F.lit(False))
+        for name, rows in (("late", batch.filter(late)), ("on_time", batch.filter(~late))):
+            rows.write.mode("overwrite").parquet(f"{path}/{name}/batch={batch_id}")
+        batch.agg(F.max("ts").alias("ts")).write.mode("overwrite").parquet(f"{marks}/batch={batch_id}")
+
+    return split
