@@ -1,5 +1,8 @@
 """Times the headline queries and prints one JSON line.
 
+As in the experiments, pre-processing is kept apart: every method, the baselines too, answers from structures that are stored before the
+clock starts; ``preprocessing`` has the seconds of making them. The queries after ``whole`` are timed with all they do.
+
 BENCH_SF_DIR names the tables, BENCH_CPUS the cores. ``--paper`` prints the sweeps of the experiments instead: for each method
 seconds relative to merging, and the counters of what each kernel does. ``--kernels`` times the kernels alone on
 synthetic sets of up to ten million members.
@@ -18,11 +21,9 @@ sys.path.insert(0, str(Path(__file__).resolve().parent))
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-HEADLINE = (
-    "m1_pair", "m1_optimal", "m2_same_count", "m2_k3", "m2_k4", "m3_m1", "m3_m2", "m3_m4", "m3_k3", "m3_k4", "m3_blocks", "m3_lowbits",
-    "m4_pair", "m4_k3", "base_merge", "base_hash", "base_lookup", "base_svs", "base_packed", "kernel_merge", "kernel_hash",
-    "kernel_lookup", "kernel_svs", "kernel_adaptive", "m3_filter_rate", "space_words", "batch_terms", "auto_plan", "bag_pair",
-)
+#: Queries that have no structure to store, or are about making one.
+WHOLE = ("m1_optimal", "m2_same_count", "m3_filter_rate", "space_words", "batch_terms", "auto_plan", "bag_pair")
+RUNS = 2
 
 
 def session():
@@ -41,36 +42,85 @@ def session():
     return s
 
 
-def run(spark, make) -> float:
+def timed(make) -> float:
     t = time.perf_counter()
-    make(spark, SF_DIR).write.format("noop").mode("overwrite").save()
+    make().write.format("noop").mode("overwrite").save()
     return time.perf_counter() - t
 
 
 def headline(spark) -> dict:
     from wordset.queries import QUERIES
-
-    for name in ("base_merge", "m3_m2"):  # code is compiled and files are cached
-        run(spark, QUERIES[name])
-    seconds = {name: round(statistics.median(run(spark, QUERIES[name]) for _ in range(2)), 3) for name in HEADLINE}
-    return {"metric": "headline_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": Path(SF_DIR).name.removeprefix("sf")}
+    from wordset.served import served
+
+    build, queries = served(spark, SF_DIR)
+    have, preprocessing = {}, {}
+    for name, make in build.items():
+        t = time.perf_counter()
+        have[name] = make()
+        preprocessing[name] = round(time.perf_counter() - t, 3)
+    asked = queries(have)
+    for name in ("base_merge", "m3_k3", "m3_blocks"):  # code is compiled and files are cached
+        timed(asked[name])
+    seconds = {name: round(statistics.median(timed(make) for _ in range(RUNS)), 3) for name, make in asked.items()}
+    seconds |= {name: round(statistics.median(timed(lambda: QUERIES[name](spark, SF_DIR)) for _ in range(2)), 3) for name in WHOLE}
+    ratio = lambda a, b: round(seconds[a] / seconds[b], 3)
+    relative = {
+        "m3_pair / merge": ratio("m3_m2", "base_merge_pair"),
+        "m3_k3 / merge": ratio("m3_k3", "base_merge"),
+        "m3_k4 / merge": ratio("m3_k4", "base_merge_k4"),
+        "m3_blocks_pair / merge": ratio("m3_blocks_pair", "base_merge_pair"),
+        "m3_blocks_k3 / merge": ratio("m3_blocks", "base_merge"),
+        "m3_blocks_k4 / merge": ratio("m3_blocks_k4", "base_merge_k4"),
+        "m2_k3 / merge": ratio("m2_k3", "base_merge"),
+        "m4_pair / merge": ratio("m4_pair", "base_merge_uneven"),
+    }
+    return {"metric": "headline_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": Path(SF_DIR).name.removeprefix("sf"), "relative": relative, "preprocessing": preprocessing}
 
 
 def paper(spark) -> dict:
-    """The experiments' sweeps: stored groups, one pair per query; merge = 1. Takes minutes."""
+    """The experiments' workloads by kernels on the same stored blocks: per-query times of their own, so that shares of queries won and worst
+    latencies mean something; and pre-processing against sorting. Takes minutes."""
     from wordset.config import Cfg
-    from wordset.operators import measures
+    from wordset.operators import baselines, blocks, fixed, measures, prefix
+    from wordset.operators import groups as G
+    from wordset.operators.kernels import METHODS
     from wordset.plans import workloads
+    from wordset.sources import families as fam
     from wordset.sources.tables import load
 
-    n = load(spark, SF_DIR, "orders").count()
-    out = {}
-    for name, points in (("equal", workloads.equal_points(n)), ("overlap", workloads.overlap_points(n)), ("ratio", workloads.ratio_points(n))):
-        work = workloads.work_sweep(*workloads.controlled(spark, SF_DIR, points), Cfg(m=4), ("scan", "merge", "hash", "lookup", "svs", "adaptive", "hybrid", "median", "skip", "packed", "probe"))
-        out[f"{name}_work"] = [r.asDict() for r in work.orderBy("qid", "method").collect()]
-        times = workloads.timed_sweep(spark, SF_DIR, points, Cfg(m=4), ["scan", "merge", "hash", "lookup", "probe"], 1).cache()
-        out[f"{name}_normalised"] = {r.method: round(r.normalised, 3) for r in measures.normalise(times).collect()}
-        out[f"{name}_won"] = {r.method: round(r.share, 3) for r in measures.winners(times).collect()}
+    cfg, n = Cfg(m=2), load(spark, SF_DIR, "orders").count()
+    docs = fam.term_docs(spark, SF_DIR)
+    loads = {name: workloads.controlled(spark, SF_DIR, points(n)) for name, points in (("equal", workloads.equal_points), ("overlap", workloads.overlap_points), ("ratio", workloads.ratio_points))}
+    loads["terms"] = (docs, workloads.term_queries(spark, SF_DIR))
+    loads["random_terms"] = (docs, workloads.random_terms(docs, {2: 600, 3: 300, 4: 100}))
+    out: dict = {}
+
+    def measured(name, times, queries):
+        r = lambda df, c: {x.method: round(x[c], 3) for x in df.collect()}
+        out[name] = {"normalised": r(measures.normalise(times), "normalised"), "won": r(measures.winners(times), "share"), "worst": r(measures.worst_latency(times, "scan"), "ratio"), "regret": r(measures.regret(times), "mean_regret"), "speedup": r(measures.speedup(times, "scan"), "times")}
+        if "k" in queries.columns:
+            by = times.join(queries.select("qid", "k"), "qid")
+            out[name]["by_k"] = {k: r(measures.normalise(by.filter(f"k = {k}")), "normalised") for k in (2, 3, 4, 5) if by.filter(f"k = {k}").head(1)}
+        else:
+            out[name]["sweep"] = [x.asDict() for x in measures.sweep_table(times, "qid").collect()]
+
+    for name, (sets, queries) in loads.items():
+        queries = queries.cache()
+        got = workloads.kernel_results(sets, queries, cfg, tuple(METHODS)).cache()
+        measured(name, got.select("method", "qid", "seconds"), queries)
+        if name in ("equal", "terms"):
+            coded = workloads.kernel_results(sets, queries, cfg, ("merge", "lookup", "scan"), ("gamma", "delta", "lowbits"), 1)
+            coded = coded.selectExpr("concat(method, '_', codec) as method", "qid", "seconds").cache()
+            measured(f"{name}_coded", coded.unionByName(got.filter("method = 'merge'").select("method", "qid", "seconds")), queries)
+    f1 = fam.supp_orders(spark, SF_DIR).cache()
+    builders = {
+        "fixed": lambda: fixed.build(f1, cfg),
+        "prefix": lambda: prefix.build(f1, cfg).groups,
+        "scan_m2": lambda: G.build(f1, cfg).groups,
+        "scan_m4": lambda: G.build(f1, cfg.with_(m=4)).groups,
+        **{f"blocks_{c}": lambda c=c: blocks.build_blocks(f1, cfg, codec=c) for c in blocks.CODECS},
+    }
+    out["preprocessing / sorting"] = {name: round(x, 2) for name, x in measures.preprocess_cost(builders, lambda: baselines.sort_only(f1), RUNS)}
     return out
 
 

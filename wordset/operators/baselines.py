@@ -6,14 +6,25 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wordset.config import Cfg
+from wordset.functions.store import written
 from wordset.operators.groups import dealt_by_element, longest, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
 
 def _legs(sets: DataFrame, queries: DataFrame):
-    sets = pruned(sets, queries)
-    q = query_sets(queries, set_stats(sets))
-    return sets, q, longest(queries), lambda rank: sets.join(small_side(q.filter(F.col("rank") == rank).select("qid", "k", "set_id")), "set_id").drop("set_id")
+    """The named sets, the legs of all queries, the largest k, and the members of the sets at a rank. Sets that ``stored`` wrote are read as they lie."""
+    sets, sizes = (sets, sets.wordset_sizes) if hasattr(sets, "wordset_sizes") else (named := pruned(sets, queries), set_stats(named))
+    q = written(query_sets(queries, sizes), "legs")
+    legs = small_side(q.select("qid", "k", "rank", "set_id"))
+    k_max = longest(queries)
+    return sets, q, k_max, lambda rank: sets.join(legs.filter(F.col("rank") == rank).drop("rank"), "set_id").drop("set_id")
+
+
+def stored(sets: DataFrame) -> DataFrame:
+    """The sets as a table clustered by set, with their sizes beside: what the baselines have as their own pre-processing."""
+    out = written(sets.repartitionByRange("set_id", "elem").sortWithinPartitions("set_id", "elem"), "stored-sets")
+    out.wordset_sizes = written(set_stats(out), "sizes")
+    return out
 
 
 def merge(sets: DataFrame, queries: DataFrame) -> DataFrame:

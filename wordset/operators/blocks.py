@@ -138,30 +138,50 @@ def run_stored(blocks: DataFrame, stats: DataFrame, queries: DataFrame, cfg: Cfg
     return met.mapInArrow(on_worker(__name__, "kernel_batches", cfg, methods, m, codec), schema)
 
 
+class _Column:
+    """A field of an array of structs: numbers, or slices of numbers without a copy."""
+
+    def __init__(self, values: pa.Array):
+        self.raw = values
+        if pa.types.is_list(values.type):
+            self.offsets, self.flat = values.offsets.to_numpy(), values.values.to_numpy(zero_copy_only=False)
+
+    def __getitem__(self, i: int):
+        return self.flat[self.offsets[i] : self.offsets[i + 1]] if pa.types.is_list(self.raw.type) else self.raw[i].as_py()
+
+
 def kernel_batches(batches, cfg: Cfg, methods: tuple[str, ...], m: int, codec: str):
     for b in batches:
-        out = []
-        for qid, bs in zip(b["qid"].to_pylist(), b["bs"].to_pylist(), strict=True):
+        rows, held_all = [], []
+        bounds, structs = b["bs"].offsets.to_numpy(), b["bs"].values
+        col = {f.name: _Column(structs.field(f.name)) for f in structs.type}
+        for i, qid in enumerate(b["qid"].to_pylist()):
             held, t0 = [], time.perf_counter_ns()
-            for x in bs:
-                if codec != "plain":
-                    x["zs"], x["ns"] = decode_sizes(x["head"], x["z0"], len(x["imgs"]) // m)
-                g = np.array(x["g"], np.int64).view(np.uint64) if codec == "plain" else decode_members(x["payload"], x["t"], x["zs"], x["ns"], cfg, codec)
-                held.append(kernels.Block(x["t"], np.array(x["zs"], np.int64).view(np.uint64), np.array(x["ns"], np.int64), np.array(x["imgs"], np.int64).view(np.uint64).reshape(-1, m), g))
+            for j in range(bounds[i], bounds[i + 1]):
+                t, imgs = col["t"][j], col["imgs"][j].view(np.uint64).reshape(-1, m)
+                if codec == "plain":
+                    zs, ns, g = col["zs"][j], col["ns"][j], col["g"][j].view(np.uint64)
+                else:
+                    zs, ns = decode_sizes(col["head"][j], col["z0"][j], len(imgs))
+                    g = decode_members(col["payload"][j], t, zs, ns, cfg, codec)
+                held.append(kernels.Block(t, np.asarray(zs, np.int64).view(np.uint64), np.asarray(ns, np.int64), imgs, g))
             decoding = time.perf_counter_ns() - t0 if codec != "plain" else 0  # coded blocks are decoded for every query
             for method in methods:
                 t0 = time.perf_counter_ns()
                 common, count = kernels.METHODS[method](held, cfg)
                 nanos = time.perf_counter_ns() - t0 + decoding
                 if codec == "plain":
-                    elems = np.array(bs[0]["elem"], np.int64)[np.searchsorted(held[0].g, common)]
+                    elems = col["elem"][bounds[i]][np.searchsorted(held[0].g, common)]
                 else:  # intersected among places in the order, which are one to one with elements
                     elems = hashing.g_inverse_array(pa.array(common.view(np.int64)), cfg).to_numpy()
-                out.append((method, qid, elems.tolist(), *(count.get(c, 0) for c in COUNTERS), nanos))
-        cols = list(zip(*out, strict=True)) or [[]] * (4 + len(COUNTERS))
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(cols[0], pa.string()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.list_(pa.int64())), *(pa.array(c, pa.int64()) for c in cols[3:])], ["method", "qid", "elems", *COUNTERS, "nanos"]
-        )
+                rows.append((method, qid, *(count.get(c, 0) for c in COUNTERS), nanos))
+                held_all.append(elems)
+        if not rows:
+            continue
+        cols = list(zip(*rows, strict=True))
+        offsets = np.cumsum([0, *map(len, held_all)]).astype(np.int32)
+        lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(held_all).astype(np.int64)))
+        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.int64()), lists, *(pa.array(c, pa.int64()) for c in cols[2:])], ["method", "qid", "elems", *COUNTERS, "nanos"])
 
 
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, method: str = "scan", **how) -> DataFrame:

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
-from wordset.operators.groups import pruned, query_sets, set_stats
+from wordset.operators.groups import longest, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
 
@@ -125,7 +125,19 @@ def overlaps(groups: DataFrame, how: str = "asof", extra: list[str] | None = Non
 
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, sizes=None, how: str = "asof", bag: bool = False) -> DataFrame:
     """``qid, elem[, freq]`` of queries of one or two sets."""
-    groups = written(query_groups(sets, queries, cfg, sizes, bag), "fixed-groups")
+    return meet(written(query_groups(sets, queries, cfg, sizes, bag), "fixed-groups"), cfg, how, bag)
+
+
+def intersect_stored(groups: DataFrame, stats: DataFrame, queries: DataFrame, cfg: Cfg, how: str = "asof") -> DataFrame:
+    """The same from groups that ``build`` made and a table keeps, with the sizes of their sets."""
+    q = query_sets(queries, stats)
+    if longest(queries) > 2:
+        raise ValueError("runs of equal count don't align for more than two sets; fold pairs instead")
+    return meet(groups.join(small_side(q.select("qid", "k", F.col("rank").alias("side"), "set_id")), "set_id"), cfg, how)
+
+
+def meet(groups: DataFrame, cfg: Cfg, how: str = "asof", bag: bool = False) -> DataFrame:
+    """Common members of groups ``qid, k, side, p, inf, sup, img_1, elems``."""
     names = [c for ws in cfg.images(1) for c in ws]
     # images travel with the ranges, members are read for pairs that pass only
     met = written(overlaps(groups, how, names).filter(words.images_meet("a_", "b_", cfg, 1)).select("qid", "a_p", "b_p"), "met")

@@ -66,7 +66,7 @@ def filter_rate_all_prefixes(index: Index, queries: DataFrame, m: int) -> DataFr
 def merge_cases(index: Index, queries: DataFrame, m: int) -> DataFrame:
     """Per query: aligned chains, chains that pass all images, and of these the useful and the wasted merges."""
     alive, q, _ = scan.survivors(index, queries, m)
-    got = scan.fetch(index, alive, q)
+    got = scan.fetch(index, alive, q).filter(F.size("e") > 0)
     passed = alive.groupBy("qid").agg(F.count(F.lit(1)).alias("passed"))
     useful = got.filter(F.size("e") > 0).groupBy("qid").agg(F.count(F.lit(1)).alias("useful"), F.sum(F.size("e")).alias("r"))
     out = queries.select("qid").join(passed, "qid", "left").join(useful, "qid", "left")

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from wordset.config import Cfg
 from wordset.functions import hashing
+from wordset.functions.store import written
 from wordset.operators.groups import longest, pruned, query_sets, set_stats
 from wordset.plans.sizing import small_side
 
@@ -18,16 +19,15 @@ from wordset.plans.sizing import small_side
 def intersect(sets: DataFrame, queries: DataFrame, cfg: Cfg, how: str = "join") -> DataFrame:
     """``qid, elem``. ``join``: members meet on (prefix, place), both sides dealt alike; ``broadcast``: the small side goes to
     every task behind a check of its size, so that the large sets are never shuffled."""
-    sets = pruned(sets, queries)
-    sizes = set_stats(sets)
+    sets, sizes = (sets, sets.wordset_sizes) if hasattr(sets, "wordset_sizes") else (near := pruned(sets, queries), set_stats(near))
     q = query_sets(queries, sizes)
-    q = q.join(q.filter("rank = 1").select("qid", F.expr(hashing.bits_of_sql("n")).cast("int").alias("t")), "qid")
+    q = written(q.withColumn("t", F.expr(f"max(if(rank = 1, {hashing.bits_of_sql('n')}, null)) over (partition by qid)").cast("int")), "legs")
+    legs = small_side(q.select("qid", "k", "rank", "t", "set_id"))
     rows = sets.select("set_id", "elem", hashing.g("elem", cfg).alias("g"))
     k_max = longest(queries)
 
     def leg(rank: int) -> DataFrame:
-        mine = q.filter(F.col("rank") == rank).select("qid", "k", "t", "set_id")
-        return rows.join(small_side(mine), "set_id").select("qid", "k", F.expr(hashing.prefix_sql("g", "t", cfg)).alias("z"), "g", "elem")
+        return rows.join(legs.filter(F.col("rank") == rank), "set_id").select("qid", "k", F.expr(hashing.prefix_sql("g", "t", cfg)).alias("z"), "g", "elem")
 
     now = leg(1)
     for rank in range(2, k_max + 1):  # set i is searched for what sets 1 to i-1 have in common

@@ -8,6 +8,7 @@ shared by all groups below it, and is dropped when an image is zero. Only then a
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,7 +16,7 @@ from wordset.config import Cfg
 from wordset.functions import hashing, words
 from wordset.functions.store import written
 from wordset.operators.groups import Index, longest, query_sets
-from wordset.plans.sizing import small_side
+from wordset.plans.sizing import BROADCAST_ROWS, literal_frame, small_side
 
 
 def _names(cfg: Cfg, m: int) -> list[str]:
@@ -31,22 +32,43 @@ def legs(index: Index, queries: DataFrame) -> DataFrame:
     return q.select("qid", "k", "rank", "set_id", "t", F.lag("t").over(by.orderBy("rank")).alias("t_prev"), F.sort_array(F.collect_list(F.struct("rank", "t")).over(by)).alias("ts"))
 
 
-#: Named sets up to which a scan of stored groups gets their names as a filter, which skips files and row groups of other sets.
-IN_LIST = 1000
+#: Rows of (query, set) up to which a batch is planned on the driver; larger ones are planned by Spark.
+SMALL_BATCH = 1000
+_LEGS = pa.schema([("qid", pa.int64()), ("k", pa.int32()), ("rank", pa.int32()), ("set_id", pa.string()), ("t", pa.int32()), ("t_prev", pa.int32()), ("ts", pa.list_(pa.struct([("rank", pa.int32()), ("t", pa.int32())])))])
 
 
-def named(index: Index, queries: DataFrame) -> Index:
-    """The index restricted to the sets that the queries name, if these are few."""
-    names = [r.set_id for r in queries.select(F.explode("set_ids").alias("set_id")).distinct().limit(IN_LIST + 1).collect()]
-    if len(names) > IN_LIST:
-        return index
-    return Index(index.groups.filter(F.col("set_id").isin(names)), index.stats.filter(F.col("set_id").isin(names)), index.cfg, index.method, index.bag, index.meta)
+def planned(index: Index, queries: DataFrame) -> tuple[Index, DataFrame, int, int | None]:
+    """The index restricted to the sets that the queries name, their legs, the largest k, and a bound on the groups that may be read.
+
+    A small batch needs one look at the sizes of its sets: names become a filter by which a scan of stored groups skips the files and row
+    groups of other sets, and the bound on groups tells whether they can be broadcast. A large batch is a table like any other."""
+    pairs = queries.select("qid", F.explode(F.array_distinct("set_ids")).alias("set_id")).limit(SMALL_BATCH + 1).collect()
+    if not pairs:
+        raise ValueError("a query needs at least one set")
+    if len(pairs) > SMALL_BATCH:
+        return index, written(legs(index, queries), "legs"), longest(queries), None
+    names = sorted({p.set_id for p in pairs})
+    near = Index(index.groups.filter(F.col("set_id").isin(names)), index.stats.filter(F.col("set_id").isin(names)), index.cfg, index.method, index.bag, index.meta)
+    sizes = {r.set_id: (r.n, r.t) for r in near.stats.select("set_id", "n", "t").collect()}
+    by: dict[int, list[str]] = {}
+    for p in pairs:
+        by.setdefault(p.qid, []).append(p.set_id)
+    rows, bound = [], 0
+    for qid, asked in by.items():
+        if not all(s in sizes for s in asked):
+            continue  # the result is empty
+        order = sorted(asked, key=lambda s: (sizes[s][0], s))
+        ts = [(i, sizes[s][1]) for i, s in enumerate(order, 1)]
+        rows += [(qid, len(order), i, s, sizes[s][1], ts[i - 2][1] if i > 1 else None, ts) for i, s in enumerate(order, 1)]
+        bound += len(order) << ts[-1][1]
+    rows = [(*r[:-1], [{"rank": i, "t": t} for i, t in r[-1]]) for r in rows]
+    return near, literal_frame(queries.sparkSession, rows, _LEGS), max(map(len, by.values())), bound
 
 
 def _leg(index: Index, q: DataFrame, rank: int, columns: list[str]) -> DataFrame:
     """The groups of the sets at one rank of all queries, keyed by their prefix cut to the length before."""
     mine = q.filter(F.col("rank") == rank).select("qid", "k", "set_id", F.col("t").alias("qt"), "t_prev")
-    rows = index.groups.select("set_id", "t", "z", *columns).join(small_side(mine), "set_id")
+    rows = index.groups.select("set_id", "t", "z", *columns).join(mine, "set_id")
     return rows.withColumn("zkey", F.expr("shiftrightunsigned(z, t - coalesce(t_prev, t))"))
 
 
@@ -67,16 +89,14 @@ def align_images(index: Index, q: DataFrame, k_max: int, m: int, memo: bool = Tr
     return out
 
 
-def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True) -> tuple[DataFrame, DataFrame, int]:
+def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True, plan: tuple | None = None) -> tuple[DataFrame, DataFrame, int]:
     """Chains of groups that pass all images: ``qid, k, z, t_k, ts``; the legs; the largest k."""
     cfg = index.cfg
     m = cfg.m if m is None else m
     if m > cfg.m:
         raise ValueError("the index has fewer images")
-    k_max = longest(queries)
-    q = written(legs(index, queries), "legs")
-    if not k_max:
-        raise ValueError("a query needs at least one set")
+    _, q, k_max, _ = plan = plan or planned(index, queries)
+    index = plan[0]
     steps = align_images(index, q, k_max, m, memo)
     done = [s.filter(F.col("k") == r).select("qid", "k", "z", *(f"l_{c}" for c in _names(cfg, m))) for r, s in enumerate(steps, 1)]
     full = done[0]
@@ -86,24 +106,44 @@ def survivors(index: Index, queries: DataFrame, m: int | None = None, memo: bool
     return full.join(last, F.col("qid") == F.col("q_qid")).drop("q_qid"), q, k_max
 
 
-def fetch(index: Index, alive: DataFrame, q: DataFrame, elems=None, finest: bool = False) -> DataFrame:
-    """Members common to all groups of each surviving chain: ``qid, z, e``.
+def _wanted(index: Index, alive: DataFrame, q: DataFrame, bound: int | None) -> DataFrame:
+    """The groups that surviving chains name, with their members.
 
-    The groups that chains name are a table of (set, prefix), and members are read by one join with it: broadcast while it is small, so that
-    the members of groups that images proved empty never leave the scan. A chain then meets its k short lists in one shuffle.
-    From the largest set down (``finest``) or from the smallest up. ``elems`` turns the group's member array into the one to
-    intersect (a filter by image bits)."""
+    They are a table of (set, prefix), and members are read by one join with it: broadcast while it is small, so that
+    the members of groups that images proved empty never leave the scan. ``bound`` is a proven bound on its rows; without one they are counted."""
     legs_ = q.select(F.col("qid").alias("w_qid"), "rank", F.col("set_id").alias("w_set"))
     at = F.expr("shiftrightunsigned(z, t_k - get(ts, rank - 1).t)").alias("w_z")
-    wanted = alive.join(small_side(legs_), F.col("qid") == F.col("w_qid")).select("qid", F.col("z").alias("chain"), "k", "rank", "w_set", at, *(c for c in alive.columns if c.startswith("l_")))
-    wanted = written(wanted, "wanted")
-    rows = index.groups.select("set_id", "z", "elems").join(small_side(wanted), (F.col("set_id") == F.col("w_set")) & (F.col("z") == F.col("w_z")))
+    wanted = alive.join(legs_, F.col("qid") == F.col("w_qid")).select("qid", F.col("z").alias("chain"), "t_k", "k", "rank", "w_set", at, *(c for c in alive.columns if c.startswith("l_")))
+    wanted = F.broadcast(wanted) if bound is not None and bound <= BROADCAST_ROWS else small_side(written(wanted, "wanted"))
+    return index.groups.select("set_id", "z", "elems").join(wanted, (F.col("set_id") == F.col("w_set")) & (F.col("z") == F.col("w_z")))
+
+
+def gather(index: Index, alive: DataFrame, q: DataFrame, bound: int | None = None) -> DataFrame:
+    """``qid, elem[, freq]``: members of surviving chains that all k sets have. A member counts in the one chain that has its own
+    prefix, so a group that stands above several chains sends each member once."""
+    rows = _wanted(index, alive, q, bound)
+    if index.bag:
+        rows = rows.select("qid", "k", "chain", "t_k", F.explode("elems").alias("x")).select("qid", "k", "chain", "t_k", "x.elem", "x.freq")
+    else:  # places are computed again rather than read
+        rows = rows.select("qid", "k", "chain", "t_k", F.explode("elems.elem").alias("elem"))
+    rows = rows.filter(F.expr(hashing.prefix_sql(hashing.g_sql("elem", index.cfg), "t_k", index.cfg)) == F.col("chain"))
+    if index.bag:
+        return rows.groupBy("qid", "elem", "k").agg(F.count(F.lit(1)).alias("c"), F.min("freq").alias("freq")).filter("c = k").select("qid", "elem", "freq")
+    return rows.groupBy("qid", "elem", "k").agg(F.count(F.lit(1)).alias("c")).filter("c = k").select("qid", "elem")
+
+
+def fetch(index: Index, alive: DataFrame, q: DataFrame, elems=None, finest: bool = False, bound: int | None = None) -> DataFrame:
+    """Members common to all groups of each surviving chain: ``qid, z, e``, by meeting a chain's k short lists one after the other.
+
+    From the largest set down (``finest``) or from the smallest up. ``elems`` turns the group's member array into the one to
+    intersect (a filter by image bits)."""
+    rows = _wanted(index, alive, q, bound)
     order = F.col("rank") if not finest else -F.col("rank")
     lists = rows.select("qid", "chain", "k", F.struct(order.alias("o"), (elems(F.col("elems")) if elems else F.col("elems")).alias("e")).alias("x")).filter(F.size("x.e") > 0)
     met = lists.groupBy("qid", "chain").agg(F.first("k").alias("k"), F.sort_array(F.collect_list("x")).alias("xs")).filter(F.size("xs") == F.col("k"))
     meet = _bag_meet if index.bag else F.array_intersect
     e = F.aggregate(F.slice("xs", F.lit(2), F.size("xs")), F.element_at("xs", 1)["e"], lambda acc, x: meet(acc, x["e"]))
-    return met.select("qid", F.col("chain").alias("z"), e.alias("e")).filter(F.size("e") > 0)
+    return met.select("qid", F.col("chain").alias("z"), e.alias("e"))
 
 
 def _bag_meet(a, b):
@@ -115,15 +155,15 @@ def _bag_meet(a, b):
 
 
 def _emit(got: DataFrame, bag: bool) -> DataFrame:
-    one = got.select("qid", F.explode("e").alias("x"))
+    one = got.select("qid", F.explode_outer("e").alias("x")).filter("x is not null")  # an inner one would be guarded by the same fold again
     return one.select("qid", F.col("x.elem").alias("elem"), *([F.col("x.freq").alias("freq")] if bag else []))
 
 
-def intersect(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True, finest: bool = False) -> DataFrame:
+def intersect(index: Index, queries: DataFrame, m: int | None = None, memo: bool = True) -> DataFrame:
     """``qid, elem[, freq]`` of queries ``(qid, set_ids)``; a query with an unknown or empty set has no rows."""
-    index = named(index, queries)
-    alive, q, _ = survivors(index, queries, m, memo)
-    return _emit(fetch(index, alive, q, finest=finest), index.bag)
+    plan = planned(index, queries)
+    alive, q, _ = survivors(index, queries, m, memo, plan)
+    return gather(plan[0], alive, q, plan[3])
 
 
 def common_bits(index: Index, m: int) -> object:
@@ -142,6 +182,6 @@ def common_bits(index: Index, m: int) -> object:
 
 def intersect_by_bits(index: Index, queries: DataFrame, memo: bool = True, finest: bool = True) -> DataFrame:
     """As ``intersect`` with one image, but only members that hash to a common bit are compared at all."""
-    index = named(index, queries)
-    alive, q, _ = survivors(index, queries, 1, memo)
-    return _emit(fetch(index, alive, q, common_bits(index, 1), finest), index.bag)
+    plan = planned(index, queries)
+    alive, q, _ = survivors(index, queries, 1, memo, plan)
+    return _emit(fetch(plan[0], alive, q, common_bits(index, 1), finest, plan[3]), index.bag)

@@ -102,7 +102,7 @@ def intersect_limit(ix: SetIndex, names: list[str], n: int, method: str = "auto"
 def is_disjoint(ix: SetIndex, queries: DataFrame) -> DataFrame:
     """``qid, disjoint``: proven by images alone where no chain of groups passes, else by members."""
     alive, q, _ = scan.survivors(ix.index, queries)
-    hit = scan.fetch(ix.index, alive, q).select("qid").distinct().withColumn("hit", F.lit(True))
+    hit = scan.gather(ix.index, alive, q).select("qid").distinct().withColumn("hit", F.lit(True))
     return queries.select("qid").join(hit, "qid", "left").select("qid", F.col("hit").isNull().alias("disjoint"))
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,6 +14,7 @@ from wordset.functions.store import written
 from wordset.operators import baselines, blocks, fixed, kernels, measures, prefix, probe, scan
 from wordset.operators import groups as G
 from wordset.plans import api, planner, workloads
+from wordset.plans.sizing import literal_frame
 from wordset.sources import families as fam
 from wordset.sources.tables import load
 
@@ -50,7 +52,7 @@ F_SQL = {
 
 def named_queries(spark: SparkSession, names: list[list[str]]) -> DataFrame:
     """Queries from lists of set names; a handful of literals, not data."""
-    return spark.createDataFrame(list(enumerate(names)), "qid long, set_ids array<string>")
+    return literal_frame(spark, list(enumerate(names)), pa.schema([("qid", pa.int64()), ("set_ids", pa.list_(pa.string()))]))
 
 
 def suppliers(k: int, n: int = 20) -> list[list[str]]:
