@@ -247,6 +247,35 @@ def test_filter_phase_reads_no_members(f1):
     assert "NestedLoop" not in physical and "CartesianProduct" not in physical
 
 
+def test_members_are_read_by_survivors(f1):
+    """The scan of members meets a broadcast of the surviving groups before any exchange."""
+    q = frames(f1, PAIRS[:2])
+    ix = G.build(f1, Cfg(m=2), keep=True)
+    plan = scan.planned(ix, q)
+    alive, legs, _ = scan.survivors(ix, q, plan=plan)
+    text = scan._wanted(plan[0], alive, legs, plan[3])._jdf.queryExecution().executedPlan().toString()
+    reads = [line for line in text.splitlines() if "FileScan" in line and "elems" in line]
+    at = next(i for i, line in enumerate(text.splitlines()) if line in reads)
+    join = max(i for i, line in enumerate(text.splitlines()[:at]) if "BroadcastHashJoin" in line)
+    assert len(reads) == 1 and "In(set_id" in reads[0]
+    assert not any("Exchange" in line for line in text.splitlines()[join:at])
+
+
+def test_blocks_are_bounded(spark):
+    from wordset.operators import blocks
+
+    sets = spark.range(40_000).select(F.lit("a").alias("set_id"), (F.col("id") * 7).alias("elem"))
+    sizes = [r.n for r in blocks.build_blocks(sets, Cfg(m=1), 10).select(F.size("g").alias("n")).collect()]
+    assert sum(sizes) == 40_000 and len(sizes) == 64 and max(sizes) < 2 << 10
+
+
+def test_many_predicates(spark):
+    df = spark.createDataFrame([(1, 5), (2, 6), (2, 500), (None, 5)], "k int, x int")
+    conditions = [f"x < {500 + i}" for i in range(130)]
+    assert [r.elem for r in api.intersect_predicates(df, "k", conditions).collect()] == [1, 2]
+    assert [r.elem for r in api.intersect_predicates(df, "k", [*conditions, "x = 500"]).collect()] == [2]
+
+
 # ---- streams
 
 
