@@ -1,6 +1,9 @@
 """From raw documents to packed training sequences: the text operators as five stages.
 
 Each stage reads what its predecessor wrote and decides on all of it. All but the last return the columns of ``documents``.
+
+Edge cases: a null text counts as empty, has the least toxicity and fails the rules; rows with a null or repeated doc_id are judged like others, equal ones leave one
+row; very long texts are taken whole; further columns pass through, whatever their names; an empty table gives no pieces.
 """
 
 from __future__ import annotations
