@@ -201,8 +201,26 @@ def test_best_fit_takes_the_tightest_window():
 
 
 def test_little_padding(tables):
-    share = packing.padding(packing.packed(tables["documents"].repartition(1), VOCAB)).first().share
-    assert share < 0.02
+    shares = [packing.padding(packing.packed(tables["documents"].repartition(n), VOCAB)).first().share for n in (1, 60)]
+    assert max(shares) < 0.02 and abs(shares[0] - shares[1]) < 0.001  # however the documents lie in files
+
+
+def test_bins_are_bounded():
+    assert [packing.bins(n, 8) for n in (0, 1, 40_000, 10**6, 10**8)] == [1, 1, 2, 8, 191]
+    assert all(-(-n // packing.bins(n, 8)) <= packing.MOST for n in (5, packing.MOST + 1, 10**9))
+
+
+def test_several_bins_hold_every_piece_once(docs, monkeypatch):
+    whole = Counter(tuple(r)[:5] for r in packing.packed(docs, VOCAB).collect())
+    monkeypatch.setattr(packing, "FEWEST", 2)
+    pieces = packing.packed(docs, VOCAB).collect()
+    assert Counter(tuple(r)[:5] for r in pieces) == whole
+    by_seq = defaultdict(list)
+    for p in pieces:
+        by_seq[p.sequence_id].append((p.offset, p.length))
+    for ps in by_seq.values():
+        assert [o for o, _ in sorted(ps)] == [sum(n for _, n in sorted(ps)[:i]) for i in range(len(ps))] and sum(n for _, n in ps) <= 1024
+    assert len({q >> packing.LOCAL_BITS for q in by_seq if q >> packing.BIN_BIT}) > 1
 
 
 # ---- 3 byte-pair encoding

@@ -4,12 +4,14 @@ Documents are encoded and closed by one separator id. Full windows are cut off t
 are sequences as they are. The remainders, longest first, go each into the open window with the least room that
 still takes them; a segment tree over the remaining capacity finds it in logarithmic time.
 
-Every input partition packs its own documents, so nothing is shuffled, and a task run again gives the same
-sequences. Only four numbers per remainder are held in memory. What a partition wastes is part of its last windows.
+Encoding gives the full windows and a table of remainders, one short row per document and no text. These rows are dealt
+round to bins of at most 2^19, and every bin is packed by itself in a fixed order: what a bin wastes is part of its last windows, so
+padding does not depend on how the documents lie in files, and no row goes to a bin by its content, so repeated rows
+make none larger. A task run again gives the same sequences.
 
 Edge cases: null and empty texts are the separator alone; repeated rows are packed each; an empty table gives no
-pieces; doc_id may be null; of equally long remainders the one read first goes first; very long texts are full windows and one remainder; other columns play no part, whatever
-their names. A vocabulary file that splits texts in another way is refused.
+pieces; doc_id may be null; of equally long remainders the one with the least doc_id, start and checksum is placed first, a null doc_id last; very long texts are full
+windows and one remainder; other columns play no part, whatever their names. A vocabulary file that splits texts in another way is refused.
 """
 
 from __future__ import annotations
@@ -23,14 +25,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wordset.functions.store import written
 from wordset.functions.worker import on_worker
 from wordset.llm import bpe
 
 WINDOW = 1024
 SEPARATOR = 0
 _SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-#: Bits of a sequence_id that count within a partition.
-LOCAL_BITS = 36
+#: Bits of a sequence_id that count within a partition; the bit that tells a bin's sequences from full windows.
+LOCAL_BITS, BIN_BIT = 36, 62
+#: Remainders in a bin: no more than the last, so that a task's memory is bounded, and no fewer than the first for the sake of more tasks.
+FEWEST, MOST = 1 << 14, 1 << 19
 
 
 class TightestFit:
@@ -114,39 +119,59 @@ def _encoder(path: str) -> WholeTextEncoder:
     return WholeTextEncoder(path)
 
 
-def pack_batches(batches, path: str, window: int):
+def _rows(columns) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in columns], [x.split()[0] for x in _SCHEMA.split(", ")])
+
+
+def cut_batches(batches, path: str, window: int):
+    """The pieces of each document: full windows, which are sequences, and a remainder without one."""
     from pyspark import TaskContext
 
     c = _encoder(path)
     base = TaskContext.get().partitionId() << LOCAL_BITS
     made = 0
-    rest: list[tuple] = []
     close = SEPARATOR.to_bytes(4, "little")
-
-    def batch(rows):
-        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows, strict=True)], [x.split()[0] for x in _SCHEMA.split(", ")])
-
     for b in batches:
         rows = []
         for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text"), strict=True):
             ids = c.encode(text.as_py()) + close
             n = len(ids) // 4
-            for start in range(0, n - window + 1, window):
-                rows.append((doc, start, window, zlib.crc32(ids[4 * start : 4 * (start + window)]), n, base + made, 0))
-                made += 1
-            if n % window:
-                start = n - n % window
-                rest.append((doc, start, n - start, zlib.crc32(ids[4 * start :]), n))
+            for start in range(0, n, window):
+                piece = ids[4 * start : 4 * (start + window)]
+                full = len(piece) == 4 * window
+                rows.append((doc, start, len(piece) // 4, zlib.crc32(piece), n, base + made if full else None, 0 if full else None))
+                made += full
         if rows:
-            yield batch(rows)
-    where = best_fit([r[2] for r in rest], window, made)
-    for at in range(0, len(rest), 10_000):
-        yield batch([(*r, base + w, o) for r, (w, o) in zip(rest[at : at + 10_000], where[at : at + 10_000], strict=True)])
+            yield _rows(zip(*rows, strict=True))
+
+
+def fit_batches(batches, window: int):
+    """The remainders of one bin with their places."""
+    from pyspark import TaskContext
+
+    if not (batches := [b for b in batches if b.num_rows]):
+        return
+    base = (1 << BIN_BIT) + (TaskContext.get().partitionId() << LOCAL_BITS)
+    rest = pa.Table.from_batches(batches).sort_by([(x, "ascending") for x in ("length", "doc_id", "start", "ids_crc32")])
+    where = np.array(best_fit(rest.column("length").to_pylist(), window), np.int64)
+    kept = [rest.column(x).combine_chunks() for x in ("doc_id", "start", "length", "ids_crc32", "doc_tokens")]
+    for at in range(0, len(where), 10_000):
+        part = where[at : at + 10_000]
+        yield _rows([*(x.slice(at, 10_000) for x in kept), base + part[:, 0], part[:, 1]])
+
+
+def bins(remainders: int, tasks: int) -> int:
+    """How many bins: as many as there are tasks at a time, but neither smaller than FEWEST nor larger than MOST."""
+    return max(1, -(-remainders // MOST), min(tasks, remainders // FEWEST))
 
 
 def packed(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
     """One row per piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(on_worker(__name__, "pack_batches", path, window), _SCHEMA)
+    cut = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(on_worker(__name__, "cut_batches", path, window), _SCHEMA)
+    pieces = written(cut, "pieces")
+    rest = pieces.where(F.col("length") < window)
+    n = bins(rest.count(), docs.sparkSession.sparkContext.defaultParallelism)
+    return pieces.where(F.col("length") == window).unionAll(rest.repartition(n).mapInArrow(on_worker(__name__, "fit_batches", window), _SCHEMA))
 
 
 def padding(pieces: DataFrame, window: int = WINDOW) -> DataFrame:
