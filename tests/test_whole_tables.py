@@ -28,3 +28,11 @@ def test_counters_of_every_kernel(spark, sf):
     want = {(m, j, r) for m in kernels.METHODS for j, (_, _, r) in enumerate(workloads.equal_points(n)) if r}
     got = {(x.method, x.qid, x.r) for x in queries.QUERIES["work_counters"](spark, sf).collect()}
     assert len(kernels.METHODS) == 11 and want <= got
+
+
+def test_bounds_are_of_groups_of_the_table(spark, sf, tmp_path):
+    """Twice the suppliers with the same orders make twice the groups; bounds stay what they are."""
+    one = spark.read.parquet(f"{sf}/lineitem.parquet")
+    one.unionByName(one.withColumn("l_suppkey", F.col("l_suppkey") + 1_000_000)).write.parquet(f"{tmp_path}/lineitem.parquet")
+    a, b = ({(r.w, r.m): (r.one_image, r.m_images, r.groups) for r in queries.QUERIES["bounds"](spark, d).collect()} for d in (sf, str(tmp_path)))
+    assert len(a) == 20 and b == {k: (x, y, 2 * n) for k, (x, y, n) in a.items()}
