@@ -107,6 +107,7 @@ def test_a_member_is_sent_once(frame, spark, monkeypatch):
     for n in (1, 100):
         q = spark.createDataFrame([(i, ["a", "b"]) for i in range(n)], "qid long, set_ids array<string>")
         assert [r.r for r in cells.sizes(two, q).collect()] == [two.count()]
+        assert [r.r for r in measures.results(two, q).filter("qid = 0").collect()] == [two.count()]
 
 
 def test_bits_in_numpy_are_those_of_sql(spark):
