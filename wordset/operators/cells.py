@@ -31,9 +31,9 @@ BATCH = 50_000
 MAP_WORDS = 1 << 22
 
 
-def cut_of(members: int) -> int:
-    """Leading bits of a cell."""
-    return max(hashing.bit_length(-(-members >> CELL_BITS) if members else 1), min(SPREAD, hashing.bit_length(max(1, members >> FEWER))))
+def cut_of(members: int, larger: int = 0) -> int:
+    """Leading bits of a cell; of one ``larger`` by so many bits."""
+    return max(hashing.bit_length(-(-members >> CELL_BITS + larger) if members else 1), min(SPREAD, hashing.bit_length(max(1, members >> FEWER))))
 
 
 def _images_needed(cfg: Cfg) -> None:
@@ -41,7 +41,7 @@ def _images_needed(cfg: Cfg) -> None:
         raise ValueError("the images of cells are hashed by mulshift and cw31 into one word")
 
 
-def _run(sets: DataFrame, queries: DataFrame, cfg: Cfg, kernel: str, schema: str, *how, whole: bool = False) -> DataFrame:
+def _run(sets: DataFrame, queries: DataFrame, cfg: Cfg, kernel: str, schema: str, *how, whole: bool = False, larger: int = 0) -> DataFrame:
     """What the worker's ``kernel`` returns for all cells, of all passes; ``sets`` are those that the queries name, stored.
 
     Members come as their places, or as themselves under an order of 64 bits. ``whole``: a group of a set that is cut by fewer bits than cells
@@ -49,7 +49,7 @@ def _run(sets: DataFrame, queries: DataFrame, cfg: Cfg, kernel: str, schema: str
     spark = sets.sparkSession
     numbers = set_stats(sets).select("set_id", "n", F.monotonically_increasing_id().alias("no"))
     stats = written(numbers.withColumn("t", F.expr(hashing.t_scan_sql("n", cfg)).cast("int")), "set-numbers")
-    bits = cut_of(stats.agg(F.sum("n")).first()[0] or 0)
+    bits = cut_of(stats.agg(F.sum("n")).first()[0] or 0, larger)
     rows = sets.join(small_side(stats.select("set_id", "no", "t")), "set_id").select("no", "t", "elem", hashing.g("elem", cfg).alias("g"))
     cell = F.expr(hashing.prefix_sql("g", bits, cfg))
     value = F.col("elem" if cfg.universe_bits == 64 else "g").alias("v")
@@ -274,7 +274,7 @@ def kernel_results(sets: DataFrame, queries: DataFrame, cfg: Cfg, methods: tuple
     if not set(methods) <= set(kernels.METHODS) or not set(codecs) <= set(blocks.CODECS):
         raise ValueError(f"methods must be of {sorted(kernels.METHODS)} and codecs of {blocks.CODECS}")
     _images_needed(cfg)
-    rows = _run(sets, queries, cfg, "run_methods", "codec string, method string, qid long, r long, nanos long", tuple(methods), m, tuple(codecs))
+    rows = _run(sets, queries, cfg, "run_methods", "codec string, method string, qid long, r long, nanos long", tuple(methods), m, tuple(codecs), larger=len(methods) * len(codecs) > 1)  # calls cost more than members there
     return rows.groupBy("codec", "method", "qid").agg(F.sum("r").alias("r"), (F.sum("nanos") / 1e9).alias("seconds"))
 
 
