@@ -123,3 +123,13 @@ def test_other_hashes_are_refused(frame, asked):
     for cfg in (Cfg(g="xx64"), Cfg(h="perm"), Cfg(w=256)):
         with pytest.raises(ValueError):
             cells.filter_rate(frame, asked, cfg, 1)
+
+
+def test_packed_codes_of_a_cut_set_compare_few_words():
+    """Buckets are of the bits in which members of a block differ, so a candidate meets a word or two however finely a set is cut."""
+    import numpy as np
+
+    g = np.arange(4000, dtype=np.uint64) * np.uint64(64) + np.uint64(5 << 26)
+    one = kernels.Block(6, np.array([5], np.uint64), np.array([len(g)]), np.ones((1, 1), np.uint64), g)
+    common, count = kernels.packed_codes([one, one], CFG)
+    assert common.tolist() == g.tolist() and count["comparisons"] < 8 * len(g)
